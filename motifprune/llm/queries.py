@@ -1,9 +1,10 @@
 """The operators' queries and the SQL of those that SQL can express."""
 
-from motifprune.llm import exact_dedup, html_text, language_id, near_dedup, packing, quality, sharding, token_output
+from motifprune.llm import decontamination, exact_dedup, html_text, language_id, near_dedup, packing, quality, sharding, token_output
 
 QUERIES = {
     "op1_best_fit_packing": packing.op1_best_fit_packing,
+    "op2_latent_decontamination": decontamination.op2_latent_decontamination,
     "op3_quality_rules": quality.op3_quality_rules,
     "op4_exact_dedup": exact_dedup.op4_exact_dedup,
     "op5_token_parquet": token_output.op5_token_parquet,
