@@ -1,6 +1,6 @@
 """The operators' queries and the SQL of those that SQL can express."""
 
-from motifprune.llm import decontamination, exact_dedup, html_text, language_id, near_dedup, packing, quality, sharding, token_output
+from motifprune.llm import decontamination, exact_dedup, html_text, language_id, lm_scoring, near_dedup, packing, quality, sharding, token_output
 
 QUERIES = {
     "op1_best_fit_packing": packing.op1_best_fit_packing,
@@ -9,6 +9,7 @@ QUERIES = {
     "op4_exact_dedup": exact_dedup.op4_exact_dedup,
     "op5_token_parquet": token_output.op5_token_parquet,
     "op6_url_differencing": html_text.op6_url_differencing,
+    "op7_context_mixing": lm_scoring.op7_context_mixing,
     "op8_setsketch_near_dedup": near_dedup.op8_setsketch_near_dedup,
     "op9_label_propagation_shards": sharding.op9_label_propagation_shards,
     "op10_language_id": language_id.op10_language_id,
