@@ -24,6 +24,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from motifprune.llm import common
 
@@ -99,15 +100,15 @@ def train(docs: DataFrame, rows: int = TRAIN_ROWS) -> KernelModel | None:
     return fit_kernel(np.stack([np.unpackbits(np.frombuffer(c, dtype=np.uint8)).astype(bool) for _, _, c in got]), [x for _, x, _ in got])
 
 
-def predict(docs: DataFrame, model: KernelModel | None) -> DataFrame:
-    """(doc_id, lang_pred, score) of every row."""
+def predict(docs: DataFrame, model: KernelModel | None, keep: tuple[str, ...] = ("doc_id",)) -> DataFrame:
+    """The columns `keep` of every row, with lang_pred and score."""
     spark = docs.sparkSession
     shared = spark.sparkContext.broadcast(model)
 
     def scored(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         m = shared.value
         for batch in batches:
-            texts = batch.column(1).to_pylist()
+            texts = batch.columns[-1].to_pylist()
             langs, scores = [UNKNOWN] * len(texts), np.zeros(len(texts))
             known = [k for k, t in enumerate(texts) if m and t and _LETTER.search(t)]
             for a in range(0, len(known), 128):
@@ -116,9 +117,10 @@ def predict(docs: DataFrame, model: KernelModel | None) -> DataFrame:
                 odds = np.exp(SHARPNESS * (margins - margins.max(axis=1, keepdims=True)))
                 for k, best, share in zip(at, margins.argmax(axis=1), odds.max(axis=1) / odds.sum(axis=1)):
                     langs[k], scores[k] = m.languages[best], share
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(langs, pa.string()), pa.array(scores)], ["doc_id", "lang_pred", "score"])
+            yield pa.RecordBatch.from_arrays([*batch.columns[:-1], pa.array(langs, pa.string()), pa.array(scores)], [*keep, "lang_pred", "score"])
 
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(scored, "doc_id long, lang_pred string, score double")
+    rows = docs.select(*keep, F.col("text").alias("text_scored"))
+    return rows.mapInArrow(scored, T.StructType([*rows.schema.fields[:-1], T.StructField("lang_pred", T.StringType()), T.StructField("score", T.DoubleType())]))
 
 
 def op10_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -125,7 +125,7 @@ def _sketched(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             sets = [shingles(t) for t in part.column(1).to_pylist()]
             names = [xxhash.xxh3_64_intdigest(s.tobytes()) - (1 << 63) if len(s) else None for s in sets]
             rows = registers(sets)
-            yield pa.RecordBatch.from_arrays([part.column(0), pa.array([len(s) for s in sets], pa.int64()), pa.array(names, pa.int64()), pa.array([r.tobytes() for r in rows], pa.binary())], ["doc_id", "n_shingles", "v", "registers"])
+            yield pa.RecordBatch.from_arrays([part.column(0), part.column(2), pa.array([len(s) for s in sets], pa.int64()), pa.array(names, pa.int64()), pa.array([r.tobytes() for r in rows], pa.binary())], ["doc_id", "text_hash", "n_shingles", "v", "registers"])
 
 
 def _banded(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -229,9 +229,9 @@ def _hashed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
 
 def near_duplicates(docs: DataFrame, percent: int = PERCENT) -> DataFrame:
-    """(doc_id, n_shingles, component_id, kept) of every row."""
+    """(doc_id, n_shingles, component_id, kept, text_hash) of every row."""
     texts = common.texts_of(docs)
-    sketches = common.written(texts.mapInArrow(_sketched, "doc_id long, n_shingles long, v long, registers binary"), "sketches")
+    sketches = common.written(texts.withColumn("text_hash", F.xxhash64("text")).mapInArrow(_sketched, "doc_id long, text_hash long, n_shingles long, v long, registers binary"), "sketches")
     sets = sketches.where("v IS NOT NULL")
     vertices = common.written(sets.groupBy("v").agg(F.min("doc_id").alias("low"), F.any_value("registers").alias("registers")), "vertices")
 
@@ -295,7 +295,7 @@ def near_duplicates(docs: DataFrame, percent: int = PERCENT) -> DataFrame:
     else:
         named = named.withColumnRenamed("low", "component_id")
     rows = sketches.drop("registers").join(named, "v", "left").withColumn("component_id", F.coalesce("component_id", "doc_id"))
-    return rows.select("doc_id", "n_shingles", "component_id", F.col("doc_id").eqNullSafe(F.col("component_id")).alias("kept"))
+    return rows.select("doc_id", "n_shingles", "component_id", F.col("doc_id").eqNullSafe(F.col("component_id")).alias("kept"), "text_hash")
 
 
 def op8_setsketch_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
