@@ -219,7 +219,7 @@ def _stream_total(spark: SparkSession, sf_dir: str) -> DataFrame:
     g = graph_of(spark, sf_dir, "basket_r25")
     cut_lineage(g.edges.limit(0))  # makes sure that a checkpoint folder is set
     path = f"{spark.sparkContext._jsc.sc().getCheckpointDir().get()}/edge-stream-{abs(hash(sf_dir))}"
-    timed = g.edges.withColumn("ts", F.timestamp_seconds(F.pmod(F.xxhash64("src", "dst"), F.lit(4)) * 60))
+    timed = g.edges.withColumn("ts", F.timestamp_seconds(F.lit(1_700_000_000) + F.pmod(F.xxhash64("src", "dst"), F.lit(4)) * 60))
     timed.repartition(4, "ts").write.mode("overwrite").parquet(path)
     found = running_matches(spark, path, CATALOGUE["triangle"])
     return spark.createDataFrame([(sum(n for _, n in found),)], "cnt long")
