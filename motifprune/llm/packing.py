@@ -31,7 +31,11 @@ PIECES_PER_GROUP, FULL_ENOUGH = 8192, 0.997
 
 
 def sum_of_squares(lengths: np.ndarray, capacity: int) -> tuple[np.ndarray, np.ndarray]:
-    """(sequence, offset) of each piece; longest pieces are placed first, ties in the order given."""
+    """(sequence, offset) of each piece; longest pieces are placed first, ties in the order given.
+
+    Of the open sequences that can take a piece, it goes to one whose gap leaves the least sum of squares; a
+    new one is opened only if none can.
+    """
     open_by_gap: list[list[int]] = [[] for _ in range(capacity + 1)]
     count = np.zeros(capacity + 1, dtype=np.int64)
     sequence = np.empty(len(lengths), dtype=np.int64)
@@ -40,19 +44,13 @@ def sum_of_squares(lengths: np.ndarray, capacity: int) -> tuple[np.ndarray, np.n
     for at in np.argsort(-lengths, kind="stable"):
         size = int(lengths[at])
         gaps = np.flatnonzero(count[size:]) + size
-        best, least = capacity, 2 * count[capacity - size] + 1 if size < capacity else 0
         if len(gaps):
             after = gaps - size
-            change = np.where(after > 0, 2 * count[after] + 2, 1) - 2 * count[gaps]
-            k = int(change.argmin())
-            if change[k] <= least or gaps[k] == size:
-                best, least = int(gaps[k]), change[k]
-                own = open_by_gap[best].pop()
-                count[best] -= 1
-            else:
-                own, made = made, made + 1
+            best = int(gaps[(np.where(after > 0, 2 * count[after] + 2, 1) - 2 * count[gaps]).argmin()])
+            own = open_by_gap[best].pop()
+            count[best] -= 1
         else:
-            own, made = made, made + 1
+            best, own, made = capacity, made, made + 1
         sequence[at], offset[at] = own, capacity - best
         if best > size:
             open_by_gap[best - size].append(own)
