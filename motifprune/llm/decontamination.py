@@ -215,8 +215,9 @@ def fit_latent(docs: DataFrame, items: list[Item], rank: int = RANK) -> Latent:
     shift = 1e-9 * np.linalg.norm(sketch) + 1e-12
     shifted = sketch + shift * test
     core = test.T @ shifted
-    root = np.linalg.cholesky((core + core.T) / 2 + shift * np.eye(size))
-    axes, _, _ = np.linalg.svd(np.linalg.solve(root, shifted.T).T, full_matrices=False)
+    strengths, turns = np.linalg.eigh((core + core.T) / 2)
+    sound = strengths > 1e-8 * max(1e-300, strengths.max())
+    axes, _, _ = np.linalg.svd(shifted @ (turns[:, sound] / np.sqrt(strengths[sound])), full_matrices=False)
     axes = axes[:, :rank]
     rest = b - (b @ axes) @ axes.T  # what the leading directions miss of each item
     bad = rest[(rest**2).sum(axis=1) > 1 - CAPTURED].T
