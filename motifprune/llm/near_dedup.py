@@ -3,8 +3,8 @@
 A document's set of five-word shingles is summarised in registers: each shingle draws exponentially
 spaced ascending points, each point falls into another register, and a register keeps the truncated
 logarithm of its least point. Registers of unions are the maxima of registers, and two sets agree in a
-register about as often as they share elements, so bands of registers find candidates: with 32 bands of
-4 a pair at the threshold escapes with probability below 1e-10. Within a bucket, a joint maximum
+register about as often as they share elements, so bands of registers find candidates: with 42 bands of
+6 a pair at the threshold escapes with probability below 1e-8. Within a bucket, a joint maximum
 likelihood estimate of the similarity from the registers' order (above, below, equal) removes pairs far
 below the threshold, and what remains is confirmed on the full sets.
 
@@ -33,8 +33,8 @@ from motifprune.llm import common
 from motifprune.llm.components import components
 
 WORDS, PERCENT = 5, 85
-REGISTERS, BAND, BASE, RATE, TOP = 128, 4, 1.001, 20.0, 65534
-BLOCK, DEVIATIONS = 256, 5.0
+REGISTERS, BANDS, BAND, BASE, RATE, TOP = 256, 42, 6, 1.001, 20.0, 65534
+BLOCK, DEVIATIONS, FILTER_BITS = 1024, 5.0, 24
 _ODD = np.array([0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9, 0xD6E8FEB86659FD93, 0xA0761D6478BD642F], dtype=np.uint64)
 
 
@@ -132,72 +132,87 @@ def _banded(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for batch in batches:
         v = batch.column(0).to_numpy()
         rows = np.frombuffer(b"".join(batch.column(1).to_pylist()), dtype=np.uint16).reshape(-1, REGISTERS)
-        words = np.ascontiguousarray(rows).view(np.uint64)
-        keys = mix(words + np.arange(1, words.shape[1] + 1, dtype=np.uint64) * _ODD[1]).view(np.int64)
-        yield pa.RecordBatch.from_arrays([pa.array(keys.ravel()), pa.array(np.repeat(v, words.shape[1]))], ["bucket", "v"])
+        parts = rows[:, : BANDS * BAND].reshape(-1, BANDS, BAND).astype(np.uint64)
+        keys = np.broadcast_to(np.arange(1, BANDS + 1, dtype=np.uint64) * _ODD[1], parts.shape[:2])
+        for j in range(BAND):
+            keys = mix(keys + (parts[:, :, j] + np.uint64(1)) * _ODD[j % 5])
+        keys = keys.view(np.int64)
+        yield pa.RecordBatch.from_arrays([pa.array(keys.ravel()), pa.array(np.repeat(v, BANDS))], ["bucket", "v"])
+
+
+def _block_pairs(starts: np.ndarray, ends: np.ndarray) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    """Index pairs within blocks, some hundred thousand at a time."""
+    held, size = [], 0
+    sizes = ends - starts
+    for s in np.unique(sizes[sizes > 1]):
+        at = starts[sizes == s]
+        i, k = np.triu_indices(int(s), 1)
+        many = max(1, 200_000 // len(i))
+        for lo in range(0, len(at), many):
+            own = at[lo : lo + many, None]
+            held.append(((own + i).ravel(), (own + k).ravel()))
+            size += len(held[-1][0])
+            if size >= 200_000:
+                yield np.concatenate([x for x, _ in held]), np.concatenate([y for _, y in held])
+                held, size = [], 0
+    if held:
+        yield np.concatenate([x for x, _ in held]), np.concatenate([y for _, y in held])
 
 
 def _pairs_of_blocks(least: float, forest: bool):
-    """Plausible pairs of each block of rows sorted by (bucket, block); rows: bucket, block, v, comp, outer, registers.
+    """Plausible pairs within blocks of rows sorted by (bucket, block); rows: bucket, block, v, comp, outer, registers.
 
-    Only pairs of different components count, and with outer rows only those that have one.
+    Only pairs of different components count, and with outer rows only those that have one. A forest keeps
+    a pair only if it joins components that the task's earlier pairs have not joined.
     """
 
-    def of_block(v, comp, outer, rows) -> list[tuple[int, int]]:
-        found = []
-        for i in range(len(v) - 1):
-            rest = np.flatnonzero((comp[i + 1 :] != comp[i]) & (v[i + 1 :] != v[i]) & ((outer[i + 1 :] | outer[i]) if outer.any() else True)) + i + 1
-            if len(rest):
-                same = (rows[rest] == rows[i]).mean(axis=1)
-                rest, same = rest[same >= least - 0.1], same[same >= least - 0.1]
-                est = likely_similarity(rows[rest], np.broadcast_to(rows[i], rows[rest].shape)) if len(rest) else same
-                found += [(-e, i, int(k)) for e, k in zip(est, rest) if e >= least]
-        if forest:
-            root = {int(c): int(c) for c in comp}
-
-            def top(c):
-                while root[c] != c:
-                    root[c] = root[root[c]]
-                    c = root[c]
-                return c
-
-            tree = []
-            for e, i, k in sorted(found):
-                a, b = top(int(comp[i])), top(int(comp[k]))
-                if a != b:
-                    root[a] = b
-                    tree.append((e, i, k))
-            found = tree
-        return [(int(min(v[i], v[k])), int(max(v[i], v[k]))) for _, i, k in found]
-
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        held = None
+        held, root = None, {}
+
+        def top(c: int) -> int:
+            while (up := root.setdefault(c, c)) != c:
+                root[c] = c = root[up] if up in root else up
+            return c
+
         for batch in _and_none(batches):
             if batch is not None:
-                held = batch if held is None else pa.Table.from_batches([held, batch]).combine_chunks().to_batches()[0] if held.num_rows and batch.num_rows else batch if batch.num_rows else held
+                held = batch if held is None or not held.num_rows else pa.Table.from_batches([held, batch]).combine_chunks().to_batches()[0] if batch.num_rows else held
             if held is None or not held.num_rows:
                 continue
             bucket, block = held.column(0).to_numpy(), held.column(1).to_numpy()
             starts = np.flatnonzero(np.concatenate([[True], (bucket[1:] != bucket[:-1]) | (block[1:] != block[:-1])]))
             ends = np.concatenate([starts[1:], [len(bucket)]])
+            rest = len(bucket)
             if batch is not None:  # the last block may go on in the next batch
                 starts, ends, rest = starts[:-1], ends[:-1], int(starts[-1])
-            else:
-                rest = len(bucket)
             v, comp, outer = held.column(2).to_numpy(), held.column(3).to_numpy(), np.array(held.column(4).to_pylist(), dtype=bool)
             rows = np.frombuffer(b"".join(held.column(5).to_pylist()), dtype=np.uint16).reshape(-1, REGISTERS)
-            pairs = []
-            two = ends - starts == 2
-            i = starts[two][comp[starts[two]] != comp[starts[two] + 1]]
-            if len(i):
-                ok = likely_similarity(rows[i], rows[i + 1]) >= least
-                low, high = np.minimum(v[i], v[i + 1])[ok], np.maximum(v[i], v[i + 1])[ok]
-                pairs += zip(low.tolist(), high.tolist())
-            for a, b in zip(starts[~two], ends[~two]):
-                if b - a > 2:
-                    pairs += of_block(v[a:b], comp[a:b], outer[a:b], rows[a:b])
-            pairs = sorted(set(pairs))
-            yield pa.RecordBatch.from_arrays([pa.array([p[k] for p in pairs], pa.int64()) for k in (0, 1)], ["a", "b"])
+            any_outer = np.zeros(len(v), dtype=bool)
+            if outer.any():
+                for x, y in zip(starts, ends):
+                    any_outer[x:y] = outer[x:y].any()
+            for i, k in _block_pairs(starts, ends):
+                ok = (comp[i] != comp[k]) & (v[i] != v[k]) & (outer[i] | outer[k] | ~any_outer[i])
+                i, k = i[ok], k[ok]
+                low, high = np.minimum(v[i], v[k]), np.maximum(v[i], v[k])
+                order = np.lexsort((high, low))
+                fresh = np.ones(len(order), dtype=bool)
+                fresh[1:] = (low[order][1:] != low[order][:-1]) | (high[order][1:] != high[order][:-1])
+                i, k = i[order][fresh], k[order][fresh]
+                same = np.concatenate([np.empty(0), *((rows[i[c : c + 20_000]] == rows[k[c : c + 20_000]]).mean(axis=1) for c in range(0, len(i), 20_000))])
+                i, k = i[same >= least - 0.1], k[same >= least - 0.1]
+                est = np.concatenate([np.empty(0), *(likely_similarity(rows[i[c : c + 20_000]], rows[k[c : c + 20_000]]) for c in range(0, len(i), 20_000))])
+                i, k, est = i[est >= least], k[est >= least], est[est >= least]
+                low, high = np.minimum(v[i], v[k]), np.maximum(v[i], v[k])
+                if forest and len(i):
+                    kept = []
+                    for at in np.lexsort((high, low, -np.round(est, 1))):
+                        x, y = top(int(comp[i[at]])), top(int(comp[k[at]]))
+                        if x != y:
+                            root[max(x, y)] = min(x, y)
+                            kept.append(at)
+                    low, high = low[kept], high[kept]
+                yield pa.RecordBatch.from_arrays([pa.array(low, pa.int64()), pa.array(high, pa.int64())], ["a", "b"])
             held = held.slice(rest)
 
     return run
@@ -221,16 +236,38 @@ def _confirmed(percent: int):
     return run
 
 
-def _hashed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    for batch in batches:
-        sets = [shingles(t) for t in batch.column(0).to_pylist()]
-        names = [xxhash.xxh3_64_intdigest(s.tobytes()) - (1 << 63) if len(s) else None for s in sets]
-        yield pa.RecordBatch.from_arrays([pa.array(names, pa.int64()), pa.array([s.tobytes() for s in sets], pa.binary())], ["v", "hashes"])
+def _hashed(wanted):
+    """Full sets (v, hashes) of the texts whose slot is among the wanted; rows: slot, text."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        bits = wanted.value
+        for batch in batches:
+            slot = batch.column(0).to_numpy()
+            texts = batch.column(1).filter(pa.array((bits[slot >> 3] >> (slot & 7) & 1).astype(bool)))
+            sets = [shingles(t) for t in texts.to_pylist()]
+            names = [xxhash.xxh3_64_intdigest(s.tobytes()) - (1 << 63) if len(s) else None for s in sets]
+            yield pa.RecordBatch.from_arrays([pa.array(names, pa.int64()), pa.array([s.tobytes() for s in sets], pa.binary())], ["v", "hashes"])
+
+    return run
+
+
+def _slots_set(ids: DataFrame) -> np.ndarray:
+    """A bitmap of fixed size with the slots of ids set; what it lets through beyond them is joined away."""
+    bits = np.zeros(1 << FILTER_BITS - 3, dtype=np.uint8)
+    slots = ids.select(_slot()).distinct().toPandas()["slot"].to_numpy()  # at most 2**FILTER_BITS
+    np.bitwise_or.at(bits, slots >> 3, np.left_shift(1, slots & 7).astype(np.uint8))
+    return bits
+
+
+def _slot():
+    return F.pmod(F.xxhash64("doc_id"), F.lit(1 << FILTER_BITS)).cast("int").alias("slot")
 
 
 def near_duplicates(docs: DataFrame, percent: int = PERCENT) -> DataFrame:
     """(doc_id, n_shingles, component_id, kept, text_hash) of every row."""
     texts = common.texts_of(docs)
+    spark = docs.sparkSession
+    tasks = int(spark.conf.get("spark.sql.shuffle.partitions"))  # by count, as small rows carry much work
     sketches = common.written(texts.withColumn("text_hash", F.xxhash64("text")).mapInArrow(_sketched, "doc_id long, text_hash long, n_shingles long, v long, registers binary"), "sketches")
     sets = sketches.where("v IS NOT NULL")
     vertices = common.written(sets.groupBy("v").agg(F.min("doc_id").alias("low"), F.any_value("registers").alias("registers")), "vertices")
@@ -252,14 +289,17 @@ def near_duplicates(docs: DataFrame, percent: int = PERCENT) -> DataFrame:
         nonlocal tested, links, labels
         mixed = blocks.groupBy("bucket", "block").agg(F.min("comp").alias("c0"), F.max("comp").alias("c1")).where("c0 <> c1").select("bucket", "block")
         rows = blocks.join(mixed, ["bucket", "block"]).join(vertices.select("v", "registers"), "v")
-        rows = rows.select("bucket", "block", "v", "comp", "outer", "registers").repartition("bucket", "block").sortWithinPartitions("bucket", "block", "v")
+        rows = rows.select("bucket", "block", "v", "comp", "outer", "registers").repartition(tasks, "bucket", "block").sortWithinPartitions("bucket", "block", "v")
         pairs = rows.mapInArrow(_pairs_of_blocks(least, forest), "a long, b long").distinct()
         if tested is not None:
             pairs = pairs.join(tested, ["a", "b"], "left_anti")
         pairs = common.written(pairs, "pairs")
+        if pairs.isEmpty():
+            return False
         wanted = pairs.select(F.col("a").alias("v")).union(pairs.select(F.col("b").alias("v"))).distinct()
-        ids = wanted.join(vertices.select("v", "low"), "v").select(F.col("low").alias("doc_id")).distinct()
-        found = texts.join(ids, "doc_id", "left_semi").select("text").mapInArrow(_hashed, "v long, hashes binary").dropDuplicates(["v"])
+        ids = wanted.join(vertices.select("v", "low"), "v").select(F.col("low").alias("doc_id"))
+        chosen = spark.sparkContext.broadcast(_slots_set(ids))
+        found = texts.select(_slot(), "text").mapInArrow(_hashed(chosen), "v long, hashes binary").join(wanted, "v", "left_semi").dropDuplicates(["v"])
         found = common.written(found, "shingles")
         a, b = (found.select(F.col("v").alias(k), F.col("hashes").alias(f"h{k}")) for k in "ab")
         good = pairs.join(a, "a").join(b, "b").select("a", "b", "ha", "hb").mapInArrow(_confirmed(percent), "a long, b long")
@@ -274,18 +314,15 @@ def near_duplicates(docs: DataFrame, percent: int = PERCENT) -> DataFrame:
     inner = lambda: labelled().withColumn("outer", F.lit(False))
     if test(inner(), forest=True):
         test(inner(), forest=False)
-    large = members.where(F.col("n") > BLOCK)
-    for forest in (True, False):
-        if large.isEmpty():
-            break
-        rows = labelled().where(F.col("n") > BLOCK)
-        sizes = rows.groupBy("bucket", "comp").agg(F.count("*").alias("size"))
-        main = sizes.groupBy("bucket").agg(F.max(F.struct("size", "comp"))["comp"].alias("main"), F.count("*").alias("comps")).where("comps > 1")
-        rows = rows.join(main.drop("comps"), "bucket")
+    rows = labelled().where(F.col("n") > BLOCK)
+    sizes = rows.groupBy("bucket", "comp").agg(F.count("*").alias("size"))
+    main = sizes.groupBy("bucket").agg(F.max(F.struct("size", "comp"))["comp"].alias("main"), F.count("*").alias("comps")).where("comps > 1")
+    main = common.written(main.drop("comps"), "mixed-buckets")
+    if not main.isEmpty():  # what a large bucket holds beside its main component, against all of its blocks
+        rows = rows.join(main, "bucket")
         blocks = rows.select("bucket", "block").distinct()
         outside = rows.where("comp <> main").drop("block").join(blocks, "bucket").withColumn("outer", F.lit(True))
-        inside = rows.where("comp = main").withColumn("outer", F.lit(False))
-        test(inside.unionByName(outside), forest)
+        test(rows.where("comp = main").withColumn("outer", F.lit(False)).unionByName(outside), forest=False)
 
     named = vertices.select("v", "low")
     if labels is not None:
