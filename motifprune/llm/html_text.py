@@ -185,76 +185,79 @@ def shared_lines(own: list[int], other: list[int]) -> set[int]:
     return set() if len(got) * 5 >= 4 * max(len(own), len(other)) else set(got)
 
 
-_PARSED = "page_id long, url string, host string, path string, texts array<string>, lines array<long>, has_main boolean"
+_PARSED = "row_id long, page_id long, url string, host string, path string, texts array<string>, lines array<long>, has_main boolean"
 
 
 def _parsed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for batch in batches:
         rows = []
-        for page_id, url, page in zip(*(c.to_pylist() for c in batch.columns)):
+        for row_id, page_id, url, page in zip(*(c.to_pylist() for c in batch.columns)):
             found, has_main = blocks(page)
             texts = [t for t, inside in found if inside or not has_main]
             m = _URL.match(url or "")
             host, path = (m[1].lower(), m[2]) if m else ("", url or "")
-            rows.append((page_id, url, host, re.sub(r"\.html?$", "", path.rstrip("/")), texts, [] if has_main else [xxhash.xxh3_64_intdigest(t) - (1 << 63) for t in texts], has_main))
-        kinds = (pa.int64(), pa.string(), pa.string(), pa.string(), pa.list_(pa.string()), pa.list_(pa.int64()), pa.bool_())
-        yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(list(zip(*rows)) or [[]] * 7, kinds)], [f.split(" ")[0] for f in _PARSED.split(", ")])
+            rows.append((row_id, page_id, url, host, re.sub(r"\.html?$", "", path.rstrip("/")), texts, [] if has_main else [xxhash.xxh3_64_intdigest(t) - (1 << 63) for t in texts], has_main))
+        kinds = (pa.int64(), pa.int64(), pa.string(), pa.string(), pa.string(), pa.list_(pa.string()), pa.list_(pa.int64()), pa.bool_())
+        yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(list(zip(*rows)) or [[]] * 8, kinds)], [f.split(" ")[0] for f in _PARSED.split(", ")])
 
 
-_PAIRED = "page_id long, url string, texts array<string>, lines array<long>, has_main boolean, host string, part int, place string, gone array<int>"
+_PAIRED = "row_id long, lines array<long>, host string, part int, place string, gone array<int>"
 
 
 def _paired(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Rows of one sorted range with the lines to delete; the first and last row are told by `place`."""
+    """Rows of one sorted range with the lines to delete; the first and last row are told by `place` and keep their lines."""
     names = [f.split(" ")[0] for f in _PAIRED.split(", ")]
-    kinds = (pa.int64(), pa.string(), pa.list_(pa.string()), pa.list_(pa.int64()), pa.bool_(), pa.string(), pa.int32(), pa.string(), pa.list_(pa.int32()))
+    kinds = (pa.int64(), pa.list_(pa.int64()), pa.string(), pa.int32(), pa.string(), pa.list_(pa.int32()))
 
     def out(rows):
-        return pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(list(zip(*rows)) or [[]] * 9, kinds)], names)
+        rows = [(i, lines if place else [], host, part, place, sorted(gone)) for i, lines, host, part, place, gone in rows]
+        return pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(list(zip(*rows)) or [[]] * 6, kinds)], names)
 
-    last, first = None, True
+    last = None
     for batch in batches:
         done = []
         for r in zip(*(c.to_pylist() for c in batch.columns)):
-            row = [*r, "first" if first else "", set()]
-            first = False
+            row = [*r, "first" if last is None else "", set()]
             if last is not None:
-                if last[5] == row[5]:
-                    last[8] |= shared_lines(last[3], row[3])
-                    row[8] |= shared_lines(row[3], last[3])
-                done.append([*last[:8], sorted(last[8])])
+                if last[2] == row[2]:
+                    last[5] |= shared_lines(last[1], row[1])
+                    row[5] |= shared_lines(row[1], last[1])
+                done.append(last)
             last = row
         yield out(done)
     if last is not None:
-        yield out([[*last[:7], last[7] + "last", sorted(last[8])]])
+        last[4] += "last"
+        yield out([last])
 
 
 def _edges(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for batch in batches:
         more = [sorted(shared_lines(own or [], other or [])) for own, other in zip(batch.column(1).to_pylist(), batch.column(2).to_pylist())]
-        yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(more, pa.list_(pa.int32()))], ["edge", "more"])
+        yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(more, pa.list_(pa.int32()))], ["row_id", "gone"])
 
 
 def main_texts(pages: DataFrame) -> DataFrame:
     """(page_id, url, text, n_chars) of every row."""
-    src = pages.select(F.col("page_id").cast("long").alias("page_id"), F.col("url").cast("string").alias("url"), F.coalesce(F.col("html"), F.lit("")).alias("html"))
+    src = pages.select(F.monotonically_increasing_id().alias("row_id"), F.col("page_id").cast("long").alias("page_id"), F.col("url").cast("string").alias("url"), F.coalesce(F.col("html"), F.lit("")).alias("html"))
     parsed = common.written(src.mapInArrow(_parsed, _PARSED), "pages")
-    order = ["host", "path", "page_id"]
-    sorted_rows = parsed.repartitionByRange(*order).sortWithinPartitions(*order).withColumn("part", F.spark_partition_id())
-    paired = common.written(sorted_rows.select("page_id", "url", "texts", "lines", "has_main", "host", "part").mapInArrow(_paired, _PAIRED), "paired")
-    edge = F.concat_ws("/", "part", "place")
-    # two rows a range: the last page of one is the neighbour of the first page of the next range that has pages
-    ends = paired.where("place <> ''").select("part", "place", "host", "lines", edge.alias("edge"))
-    firsts = ends.where("place LIKE 'first%'").select(F.lead("part").over(w := Window.orderBy("part")).alias("next_part"), "part")
-    lasts = ends.where("place LIKE '%last'").join(firsts, "part")
-    heads = ends.where("place LIKE 'first%'").select(F.col("part").alias("next_part"), F.col("host").alias("next_host"), F.col("lines").alias("next_lines"), F.col("edge").alias("next_edge"))
-    met = lasts.join(heads, "next_part").where(F.col("host") == F.col("next_host"))
-    both = met.select("edge", "lines", F.col("next_lines").alias("other")).union(met.select("next_edge", "next_lines", "lines"))
-    more = both.mapInArrow(_edges, "edge string, more array<int>").groupBy("edge").agg(F.flatten(F.collect_list("more")).alias("more"))
-    found = paired.withColumn("edge", F.when(F.col("place") != "", edge)).join(more, "edge", "left")
-    gone = F.array_union(F.col("gone"), F.coalesce("more", F.array().cast("array<int>")))
-    kept = F.when(F.col("has_main") | (F.size(gone) == 0), F.col("texts")).otherwise(F.filter(F.col("texts"), lambda _, k: ~F.array_contains(gone, k)))
-    text = F.concat_ws("\n\n", kept)
+    # Pages with a main part delete nothing and give nothing to delete: only the others are sorted and joined.
+    loose = parsed.where("NOT has_main AND size(lines) > 0")
+    order = ["host", "path", "page_id", "row_id"]
+    ranged = loose.select("row_id", "lines", "host", "path", "page_id").repartitionByRange(*order).sortWithinPartitions(*order)
+    paired = common.written(ranged.select("row_id", "lines", "host", F.spark_partition_id().alias("part")).mapInArrow(_paired, _PAIRED), "paired")
+    # Two rows a range: the last page of one is the neighbour of the first page of the next range that has pages.
+    ends = paired.where("place <> ''").select("row_id", "part", "place", "host", "lines")
+    firsts = ends.where("place LIKE 'first%'")
+    follow = firsts.select("part", F.lead("part").over(Window.orderBy("part")).alias("next_part"))
+    heads = firsts.select(F.col("part").alias("next_part"), F.col("host").alias("next_host"), F.col("lines").alias("next_lines"), F.col("row_id").alias("next_row"))
+    met = ends.where("place LIKE '%last'").join(follow, "part").join(heads, "next_part").where(F.col("host") == F.col("next_host"))
+    both = met.select("row_id", "lines", F.col("next_lines").alias("other")).union(met.select("next_row", "next_lines", "lines"))
+    more = both.mapInArrow(_edges, "row_id long, gone array<int>")
+    gone = paired.select("row_id", "gone").union(more).where("size(gone) > 0").groupBy("row_id").agg(F.flatten(F.collect_list("gone")).alias("gone"))
+    cut = loose.join(gone, "row_id", "left")
+    kept = F.when(F.col("gone").isNull(), F.col("texts")).otherwise(F.filter(F.col("texts"), lambda _, k: ~F.array_contains("gone", k)))
+    found = parsed.where("has_main OR size(lines) = 0").select("page_id", "url", "texts").unionByName(cut.select("page_id", "url", kept.alias("texts")))
+    text = F.concat_ws("\n\n", "texts")
     return found.select("page_id", "url", text.alias("text"), F.length(text).cast("long").alias("n_chars"))
 
 
