@@ -137,7 +137,7 @@ def _banded(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for j in range(BAND):
             keys = mix(keys + (parts[:, :, j] + np.uint64(1)) * _ODD[j % 5])
         keys = keys.view(np.int64)
-        yield pa.RecordBatch.from_arrays([pa.array(keys.ravel()), pa.array(np.repeat(v, BANDS))], ["bucket", "v"])
+        yield pa.RecordBatch.from_arrays([pa.array(keys.ravel()), pa.array(np.tile(np.arange(BANDS, dtype=np.int32), len(v))), pa.array(np.repeat(v, BANDS))], ["bucket", "band", "v"])
 
 
 def _block_pairs(starts: np.ndarray, ends: np.ndarray) -> Iterator[tuple[np.ndarray, np.ndarray]]:
@@ -160,10 +160,11 @@ def _block_pairs(starts: np.ndarray, ends: np.ndarray) -> Iterator[tuple[np.ndar
 
 
 def _pairs_of_blocks(least: float, forest: bool):
-    """Plausible pairs within blocks of rows sorted by (bucket, block); rows: bucket, block, v, comp, outer, registers.
+    """Plausible pairs within blocks of rows sorted by (bucket, block); rows: bucket, block, v, comp, outer, registers, band.
 
-    Only pairs of different components count, and with outer rows only those that have one. A forest keeps
-    a pair only if it joins components that the task's earlier pairs have not joined.
+    Only pairs of different components count, and with outer rows only those that have one. A pair that several
+    bands share is the first one's; where blocks part it there, the round over large buckets meets it. A forest
+    keeps a pair only if it joins components that the task's earlier pairs have not joined.
     """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -187,6 +188,7 @@ def _pairs_of_blocks(least: float, forest: bool):
                 starts, ends, rest = starts[:-1], ends[:-1], int(starts[-1])
             v, comp, outer = held.column(2).to_numpy(), held.column(3).to_numpy(), np.array(held.column(4).to_pylist(), dtype=bool)
             rows = np.frombuffer(b"".join(held.column(5).to_pylist()), dtype=np.uint16).reshape(-1, REGISTERS)
+            band = held.column(6).to_numpy()
             any_outer = np.zeros(len(v), dtype=bool)
             if outer.any():
                 for x, y in zip(starts, ends):
@@ -194,13 +196,13 @@ def _pairs_of_blocks(least: float, forest: bool):
             for i, k in _block_pairs(starts, ends):
                 ok = (comp[i] != comp[k]) & (v[i] != v[k]) & (outer[i] | outer[k] | ~any_outer[i])
                 i, k = i[ok], k[ok]
-                low, high = np.minimum(v[i], v[k]), np.maximum(v[i], v[k])
-                order = np.lexsort((high, low))
-                fresh = np.ones(len(order), dtype=bool)
-                fresh[1:] = (low[order][1:] != low[order][:-1]) | (high[order][1:] != high[order][:-1])
-                i, k = i[order][fresh], k[order][fresh]
-                same = np.concatenate([np.empty(0), *((rows[i[c : c + 20_000]] == rows[k[c : c + 20_000]]).mean(axis=1) for c in range(0, len(i), 20_000))])
-                i, k = i[same >= least - 0.1], k[same >= least - 0.1]
+                good = []
+                for c in range(0, len(i), 20_000):
+                    equal = rows[i[c : c + 20_000]] == rows[k[c : c + 20_000]]
+                    first = equal[:, : BANDS * BAND].reshape(-1, BANDS, BAND).all(axis=2).argmax(axis=1)
+                    good.append((equal.mean(axis=1) >= least - 0.1) & (first == band[i[c : c + 20_000]]))
+                good = np.concatenate([np.empty(0, dtype=bool), *good])
+                i, k = i[good], k[good]
                 est = np.concatenate([np.empty(0), *(likely_similarity(rows[i[c : c + 20_000]], rows[k[c : c + 20_000]]) for c in range(0, len(i), 20_000))])
                 i, k, est = i[est >= least], k[est >= least], est[est >= least]
                 low, high = np.minimum(v[i], v[k]), np.maximum(v[i], v[k])
@@ -272,10 +274,10 @@ def near_duplicates(docs: DataFrame, percent: int = PERCENT) -> DataFrame:
     sets = sketches.where("v IS NOT NULL")
     vertices = common.written(sets.groupBy("v").agg(F.min("doc_id").alias("low"), F.any_value("registers").alias("registers")), "vertices")
 
-    bands = vertices.select("v", "registers").mapInArrow(_banded, "bucket long, v long")
+    bands = vertices.select("v", "registers").mapInArrow(_banded, "bucket long, band int, v long")
     shared = bands.groupBy("bucket").agg(F.count("*").alias("n")).where("n > 1")
     salt = lambda n: F.when(n <= BLOCK, 0).otherwise(F.pmod(F.xxhash64("v", F.lit(8)), F.ceil(n / (BLOCK // 2)).cast("long"))).cast("long")
-    members = common.written(bands.join(shared, "bucket").select("bucket", "v", "n", salt(F.col("n")).alias("block")), "members")
+    members = common.written(bands.join(shared, "bucket").select("bucket", "band", "v", "n", salt(F.col("n")).alias("block")), "members")
 
     least, tested, links, labels = plausible(percent), None, None, None
 
@@ -289,7 +291,7 @@ def near_duplicates(docs: DataFrame, percent: int = PERCENT) -> DataFrame:
         nonlocal tested, links, labels
         mixed = blocks.groupBy("bucket", "block").agg(F.min("comp").alias("c0"), F.max("comp").alias("c1")).where("c0 <> c1").select("bucket", "block")
         rows = blocks.join(mixed, ["bucket", "block"]).join(vertices.select("v", "registers"), "v")
-        rows = rows.select("bucket", "block", "v", "comp", "outer", "registers").repartition(tasks, "bucket", "block").sortWithinPartitions("bucket", "block", "v")
+        rows = rows.select("bucket", "block", "v", "comp", "outer", "registers", "band").repartition(tasks, "bucket", "block").sortWithinPartitions("bucket", "block", "v")
         pairs = rows.mapInArrow(_pairs_of_blocks(least, forest), "a long, b long").distinct()
         if tested is not None:
             pairs = pairs.join(tested, ["a", "b"], "left_anti")
