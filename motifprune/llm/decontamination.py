@@ -89,6 +89,9 @@ def best_cover(item: Item, words: list[str], lo: int, hi: int) -> tuple[float, i
     if n < 5:
         ok = within(target, words[lo:hi])
         return (1.0 if ok else 0.0), lo, ok
+    here = set(words[lo:hi])
+    if sum(w in here for w in target) < PARAPHRASE * n:  # no subsequence can be longer than that
+        return 0.0, lo, False
     span, step = n + n // 2 + 1, max(1, n // 4)
     most, where = 0, lo
     for a in range(lo, max(lo + 1, hi - n // 2), step):
