@@ -61,7 +61,7 @@ def _stats(g: Graph) -> DataFrame:
     return g.stats_frame().select("n_vertices", "n_edges", "n_triangles", F.round(2 * m / (n * n), 9).alias("p1"), F.round(F.least(F.lit(1.0), 6 * t * n / (4 * m * m)), 9).alias("p2"))
 
 
-for g in ("basket_r", "coact", "colink"):
+for g in ("basket_r", "coact", "colink", "colink_all"):
     add(f"graph_stats_{g}", on(g, _stats), _with(g, f", {_TRIANGLES} SELECT CAST(n AS BIGINT) AS n_vertices, CAST(m AS BIGINT) AS n_edges, t AS n_triangles, round(2 * m / (n * n), 9) AS p1, round(least(1.0, 6 * t * n / (4 * m * m)), 9) AS p2 FROM tri, sizes"))
 
 
@@ -72,6 +72,8 @@ def _edges(g: Graph) -> DataFrame:
 add("interval_join_edges", on("coact", _edges), edges_sql("coact"))
 add("json_filter_edges", on("coact_json", _edges), edges_sql("coact_json"))
 add("line_sharing_edges", on("lines", _edges), edges_sql("lines"))
+add("line_sharing_edges_all", on("lines_all", _edges), edges_sql("lines_all"))
+add("colink_edges_all", on("colink_all", _edges), edges_sql("colink_all"))
 add("similar_vector_edges", on("embed", _edges), edges_sql("embed"))
 add("relabel_by_degree", on("basket_r25", lambda g: g.relabel("degree")[1]), _with("basket_r25", "SELECT u AS v, row_number() OVER (ORDER BY d, u) - 1 AS new_id FROM deg"))
 add("clique4_relabelled", on("basket_r", lambda g: match(g.relabel("degree")[0], CATALOGUE["clique4"], output="count")), _sql(CATALOGUE["clique4"], "basket_r"))
@@ -83,12 +85,16 @@ add("high_degree_subgraph", on("basket_r", lambda g: g.subgraph(g.degrees.where(
 for g in ("basket_r", "coact", "lines"):
     for k in (3, 4, 5):
         add(f"clique{k}_count_{g}", on(g, lambda x, k=k: counting.count_cliques(x, k)), _sql(Pattern.of([(a, b) for a in range(k) for b in range(a)]), g))
+for k in (3, 4):  # the cliques of 5 of one line that a tenth of the documents share are beyond listing
+    add(f"clique{k}_count_lines_all", on("lines_all", lambda x, k=k: counting.count_cliques(x, k)), _sql(Pattern.of([(a, b) for a in range(k) for b in range(a)]), "lines_all"))
 for w in WORKLOAD:
     for variant in ("edge", "vertex"):
         for g in ("basket_r", "coact") if w in WORKLOAD[:5] else ("basket_r",):
             add(f"{w}_{variant}_{g}", on(g, lambda x, w=w, v=variant: match(x, CATALOGUE[w], v, output="count")), _sql(CATALOGUE[w], g, variant))
 for w in ("clique4", "near_clique5", "clique5"):
     add(f"{w}_vertex_colink", on("colink", lambda x, w=w: match(x, CATALOGUE[w], "vertex", output="count")), _sql(CATALOGUE[w], "colink", "vertex"))
+for w in ("clique4", "near_clique5", "clique5"):
+    add(f"{w}_vertex_colink_all", on("colink_all", lambda x, w=w: match(x, CATALOGUE[w], "vertex", output="count")), _sql(CATALOGUE[w], "colink_all", "vertex"))
 for w in ("path4", "star4", "cycle4", "tailed_triangle", "diamond", "cycle5", "bowtie"):
     add(f"{w}_edge_basket_r25", on("basket_r25", lambda x, w=w: match(x, CATALOGUE[w], output="count")), _sql(CATALOGUE[w], "basket_r25"))
 add("house5_rows_edge", on("basket_r25", lambda g: match(g, CATALOGUE["house5"])), _sql(CATALOGUE["house5"], "basket_r25", "edge", "rows"))
@@ -182,7 +188,7 @@ def _prefix_sizes(g: Graph) -> DataFrame:
 add("prefix_set_sizes", on("basket_r", _prefix_sizes), _with("basket_r", _COMMON + " SELECT u AS u1, w AS u2, n FROM meet WHERE u < w"))
 
 # ------------------------------------------------------------------ applications
-for k, g in ((3, "basket_r25"), (4, "basket_r25"), (3, "colink")):
+for k, g in ((3, "basket_r25"), (4, "basket_r25"), (3, "colink"), (3, "colink_all")):
     names = {p.canonical_form(): n for n, p in CATALOGUE.items() if p.n == k}
     parts = [f"SELECT '{names[p.canonical_form()]}' AS shape, {len(p.edges)} AS n_edges, cnt FROM ({_sql(p, g, 'vertex')})" for p in connected_shapes(k)]
     add(f"motif{k}_census_{g}", on(g, lambda x, k=k: counting.motif_census(x, k)), " UNION ALL ".join(parts))

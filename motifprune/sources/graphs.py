@@ -72,6 +72,25 @@ kept AS (SELECT holder, item FROM held WHERE item IN (SELECT item FROM meeting))
 SELECT x.holder AS a, y.holder AS b FROM kept x JOIN kept y ON x.item = y.item WHERE x.holder < y.holder"""
 
 
+HOLDERS_A_BLOCK = 64
+
+
+def _all_holders(items: str, dialect: str) -> str:
+    """Pairs of holders of an item, however many hold it; items: SQL of (holder, item), distinct.
+
+    For Spark the holders of an item are dealt into blocks, and each pair of blocks meets under a key of its own,
+    so no key has more than about HOLDERS_A_BLOCK squared pairs. Each pair of holders meets once an item.
+    """
+    if dialect == "duckdb":
+        return f"""
+WITH held AS ({items}) SELECT x.holder AS a, y.holder AS b FROM held x JOIN held y ON x.item = y.item WHERE x.holder < y.holder"""
+    return f"""
+WITH held AS ({items}), meeting AS (SELECT item AS met, CAST(ceil(count(*) / {HOLDERS_A_BLOCK}) AS INT) AS n FROM held GROUP BY item HAVING count(*) > 1),
+dealt AS (SELECT holder, item, n, CAST(pmod(xxhash64(holder), n) AS INT) AS own FROM held JOIN meeting ON item = met),
+spread AS (SELECT holder, item, own, explode(sequence(0, n - 1)) AS other FROM dealt)
+SELECT x.holder AS a, y.holder AS b FROM spread x JOIN spread y ON x.item = y.item AND x.own = y.other AND x.other = y.own WHERE x.holder < y.holder"""
+
+
 def graph_rule(name: str, dialect: str = "spark", window: int = 300, cap: int = 20, cosine: float = 0.3, filters: str = "") -> str:
     """SQL of the pairs (a, b) of a derived graph; dialect is spark or duckdb."""
     duck = dialect == "duckdb"
@@ -99,12 +118,14 @@ FROM (SELECT user_id, event_type, ts, explode(array(unix_micros(ts) DIV {span},
 JOIN (SELECT user_id, event_type, ts, unix_micros(ts) DIV {span} AS slot FROM {src}) y
 ON x.event_type = y.event_type AND x.slot = y.slot
 WHERE x.user_id <> y.user_id AND y.ts >= x.ts AND unix_micros(y.ts) <= unix_micros(x.ts) + {span}"""
-    if name == "lines":
+    if name in ("lines", "lines_all"):
         cut = "unnest(string_split(text, chr(10)))" if duck else r"explode(split(text, '\n'))"
-        return _holders(f"SELECT DISTINCT holder, item FROM (SELECT doc_id AS holder, {cut} AS item FROM documents) WHERE length(item) >= 20", 60)
-    if name == "colink":
+        items = f"SELECT DISTINCT holder, item FROM (SELECT doc_id AS holder, {cut} AS item FROM documents) WHERE length(item) >= 20"
+        return _holders(items, 60) if name == "lines" else _all_holders(items, dialect)
+    if name in ("colink", "colink_all"):
         cut = "unnest(regexp_extract_all(html, 'href=\"([^\"]+)\"', 1))" if duck else "explode(regexp_extract_all(html, 'href=\"([^\"]+)\"', 1))"
-        return _holders(f"SELECT DISTINCT page_id AS holder, {cut} AS item FROM pages", cap)
+        items = f"SELECT DISTINCT page_id AS holder, {cut} AS item FROM pages"
+        return _holders(items, cap) if name == "colink" else _all_holders(items, dialect)
     if name == "embed" and duck:
         return f"SELECT x.vec_id AS a, y.vec_id AS b FROM embeddings x JOIN embeddings y ON x.vec_id < y.vec_id WHERE list_cosine_similarity(CAST(x.embedding AS DOUBLE[]), CAST(y.embedding AS DOUBLE[])) >= {cosine}"
     raise ValueError(f"no graph rule {name}")
@@ -112,9 +133,9 @@ WHERE x.user_id <> y.user_id AND y.ts >= x.ts AND unix_micros(y.ts) <= unix_micr
 
 TABLES = {
     "basket": ["lineitem"], "basket_r": ["lineitem"], "basket_r25": ["lineitem"], "commerce": ["customer", "supplier", "lineitem", "orders"],
-    "coact": ["events"], "coact_json": ["events"], "lines": ["documents"], "colink": ["pages"], "embed": ["embeddings"],
+    "coact": ["events"], "coact_json": ["events"], "lines": ["documents"], "lines_all": ["documents"], "colink": ["pages"], "colink_all": ["pages"], "embed": ["embeddings"],
 }
-GRAPHS = ("basket", "basket_r", "basket_r25", "coact", "coact600", "commerce", "lines", "colink", "embed")
+GRAPHS = ("basket", "basket_r", "basket_r25", "coact", "coact600", "commerce", "lines", "lines_all", "colink", "colink_all", "embed")
 
 
 def rule_options(name: str) -> tuple[str, dict]:

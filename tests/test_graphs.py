@@ -25,6 +25,23 @@ def test_derived_graphs_match_their_sql(spark, duck, name):
     assert {tuple(r) for r in Graph.from_testdata(spark, SF, name).edges.collect()} == set(duck.execute(edges_sql(name)).fetchall())
 
 
+def test_items_with_many_holders_keep_all_pairs(spark, tmp_path):
+    line, other = "a line that very many documents share", "a line of just two documents"
+    rows = [(k, f"{line}\nonly here {k:030d}" + (f"\n{other}" if k == 3 else "")) for k in range(150)] + [(500, other), (501, None), (502, "")]
+    spark.createDataFrame(rows, "doc_id long, text string").write.parquet(str(tmp_path / "documents.parquet"))
+    pages = [(k, f'<a href="/home"></a><a href="/p{k}">') for k in range(70)]
+    spark.createDataFrame(pages, "page_id long, html string").write.parquet(str(tmp_path / "pages.parquet"))
+    con = duckdb.connect()
+    for t in ("documents", "pages"):
+        con.execute(f"CREATE VIEW {t} AS SELECT * FROM '{tmp_path}/{t}.parquet/*.parquet'")
+    want = {(a, b) for b in range(150) for a in range(b)} | {(3, 500)}
+    for name, pairs in (("lines_all", want), ("colink_all", {(a, b) for b in range(70) for a in range(b)})):
+        got = [tuple(r) for r in Graph.from_testdata(spark, str(tmp_path), name).edges.collect()]
+        assert len(got) == len(pairs) and set(got) == pairs
+        assert set(con.execute(edges_sql(name)).fetchall()) == pairs
+    assert queries.QUERIES["line_sharing_edges_all"](spark, str(tmp_path)).count() == len(want)
+
+
 @pytest.mark.parametrize("name", ["graph_stats_basket_r", "clique4_count_lines", "house5_vertex_basket_r", "aux_graph_1_3_4", "gain_exact", "comparisons_by_degree_none", "motif4_census_basket_r25", "labelled_triangle", "support_chain", "topk_roots", "cube_report", "session_counts", "last_click_before_purchase"])
 def test_queries_match_their_oracles(spark, duck, name):
     got = queries.QUERIES[name](spark, SF)
