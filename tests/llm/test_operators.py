@@ -194,6 +194,36 @@ def test_decisions_form_a_distribution():
     assert total == pytest.approx(1.0, abs=1e-9)
 
 
+def test_every_context_has_counts_of_its_own(spark, monkeypatch):
+    rng = np.random.default_rng(3)
+    texts = [" ".join(f"w{k}" for k in rng.integers(0, 3000, 300)) for _ in range(120)]
+    frame = spark.createDataFrame([(k, t) for k, t in enumerate(texts)], "doc_id long, text string").repartition(4)
+    learn = F.col("doc_id") < 90
+    words = [lm_scoring.words_of(t) for t in texts]
+    counts = Counter(w for t in words[:90] for w in t) + Counter({lm_scoring.END: 90})
+    code = lm_scoring.huffman(sorted(counts.items(), key=lambda x: (-x[1], x[0])), 1)
+    want = {}
+    d = lm_scoring.decisions(words[:90], code, lm_scoring.KEY_BITS)
+    for slots in d.slots:
+        for key, bit in zip(slots.tolist(), d.bit.tolist()):
+            want.setdefault(key, [0, 0])[bit] += 1
+    assert len(want) > 1 << lm_scoring.TABLE_BITS  # more than one table of fixed size can tell apart
+    shared = spark.sparkContext.broadcast(code)
+    placed = frame.select("doc_id", "text", learn.alias("learn"), F.pmod("doc_id", F.lit(5)).cast("long").alias("chunk")).cache()
+    odds = lm_scoring.context_odds(placed, shared, 7).collect()
+    for chunk in range(5):
+        own = [words[r["doc_id"]] for r in placed.where(F.col("chunk") == chunk).collect()]
+        _, keys = lm_scoring._cells(own, code)
+        got = np.frombuffer(b"".join(bytes(r["odds"]) for r in sorted((r for r in odds if r["chunk"] == chunk), key=lambda r: r["slice"])), dtype=np.int8)
+        zeros, ones = np.array([want.get(k, [0, 0]) for k in keys.tolist()]).T
+        assert (got == lm_scoring._eighths(zeros, ones)).all() and ((got == 0) == (zeros + ones == 0)).all() and (got == 0).any()
+    scores = lambda: {r["doc_id"]: round(r["score"], 6) for r in lm_scoring.score(frame, learn).collect()}
+    whole = scores()
+    monkeypatch.setattr(lm_scoring, "CHUNK_CHARS", 20_000)
+    monkeypatch.setattr(lm_scoring, "SLICE_CHARS", 9_000)
+    assert scores() == whole and len(whole) == 120
+
+
 def test_model_beats_unigrams_on_held_out_texts(spark):
     docs = spark.read.parquet("/root/testdata/sf0.01/documents.parquet")
     got = lm_scoring.score(docs, common.remainder_of(F.col("doc_id"), 7) != 2).where(common.remainder_of(F.col("doc_id"), 7) == 2)
