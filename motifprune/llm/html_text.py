@@ -2,17 +2,17 @@
 
 A page is cut into blocks of text, each with the part of the page it stands in. Within a host, pages are
 ordered by URL path; each is aligned with its neighbours on either side by a longest common subsequence
-of block hashes, and blocks shared with a neighbour are deleted as the site's own. Where the markup names
-an article or main part, that part is kept whole, so that copies of an article on one host do not delete
-each other, and what the markup itself names as menu, header, footer, side bar, notice, advert, form,
-script, style or reader comment goes in any case. Two pages that share most of their blocks are copies,
-not a template, and delete nothing from each other.
+of block hashes, and blocks shared with a neighbour are deleted as the site's own, in every page alike. What
+the markup itself names as menu, header, footer, side bar, notice, advert, form, script, style or reader
+comment takes no part and goes in any case; where it names an article or main part, blocks outside that
+part are aligned like others but do not stand in the text. Two pages that share most of their blocks, or most
+blocks of their article or main parts, are copies, not a template, and delete nothing from each other.
 
 Pages are sorted by range over (host, path), so a host with a third of all pages is split; the pages at
 the edges of neighbouring ranges are paired through a table of two rows a range.
 
-Defined results: null html is empty and gives an empty text; a page with neither article nor neighbour
-keeps all blocks not excluded by the markup; unclosed and stray tags are borne; repeated pages are
+Defined results: null html is empty and gives an empty text; a page without neighbour keeps all blocks not
+excluded by the markup, within its article or main part if it has one; unclosed and stray tags are borne; repeated pages are
 neighbours like others; ties in the order are settled by page_id; an empty table yields no rows.
 """
 
@@ -177,15 +177,27 @@ def j_end(y: list[int], wanted: list[int]) -> int:
     return at
 
 
+def _copies(shared: int, own: int, other: int) -> bool:
+    return shared * 5 >= 4 * max(own, other)
+
+
 def shared_lines(own: list[int], other: list[int]) -> set[int]:
-    """Positions of own lines that the other page shares, unless the two pages are copies."""
+    """Positions of own lines that the other page shares, unless the two pages are copies; the last bit tells lines of a main part."""
     if not own or not other:
         return set()
-    got = common_subsequence(own, other)
-    return set() if len(got) * 5 >= 4 * max(len(own), len(other)) else set(got)
+    got = common_subsequence([x >> 1 for x in own], [x >> 1 for x in other])
+    mine, theirs = sum(x & 1 for x in own), sum(x & 1 for x in other)
+    if _copies(len(got), len(own), len(other)) or mine and theirs and _copies(sum(own[k] & 1 for k in got), mine, theirs):
+        return set()
+    return set(got)
+
+
+def _line(text: str, inside: bool) -> int:
+    """A hash of a block; its last bit tells whether it stands in an article or main part."""
+    return xxhash.xxh3_64_intdigest(text) - (1 << 63) & ~1 | inside
 
 
-_PARSED = "row_id long, page_id long, url string, host string, path string, texts array<string>, lines array<long>, has_main boolean"
+_PARSED = "row_id long, page_id long, url string, host string, path string, texts array<string>, lines array<long>"
 
 
 def _parsed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -193,12 +205,12 @@ def _parsed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         rows = []
         for row_id, page_id, url, page in zip(*(c.to_pylist() for c in batch.columns)):
             found, has_main = blocks(page)
-            texts = [t for t, inside in found if inside or not has_main]
+            texts = [t if inside or not has_main else "" for t, inside in found]  # a block outside is aligned only
             m = _URL.match(url or "")
             host, path = (m[1].lower(), m[2]) if m else ("", url or "")
-            rows.append((row_id, page_id, url, host, re.sub(r"\.html?$", "", path.rstrip("/")), texts, [] if has_main else [xxhash.xxh3_64_intdigest(t) - (1 << 63) for t in texts], has_main))
-        kinds = (pa.int64(), pa.int64(), pa.string(), pa.string(), pa.string(), pa.list_(pa.string()), pa.list_(pa.int64()), pa.bool_())
-        yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(list(zip(*rows)) or [[]] * 8, kinds)], [f.split(" ")[0] for f in _PARSED.split(", ")])
+            rows.append((row_id, page_id, url, host, re.sub(r"\.html?$", "", path.rstrip("/")), texts, [_line(*f) for f in found]))
+        kinds = (pa.int64(), pa.int64(), pa.string(), pa.string(), pa.string(), pa.list_(pa.string()), pa.list_(pa.int64()))
+        yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(list(zip(*rows)) or [[]] * 7, kinds)], [f.split(" ")[0] for f in _PARSED.split(", ")])
 
 
 _PAIRED = "row_id long, lines array<long>, host string, part int, place string, gone array<int>"
@@ -240,8 +252,7 @@ def main_texts(pages: DataFrame) -> DataFrame:
     """(page_id, url, text, n_chars) of every row."""
     src = pages.select(F.monotonically_increasing_id().alias("row_id"), F.col("page_id").cast("long").alias("page_id"), F.col("url").cast("string").alias("url"), F.coalesce(F.col("html"), F.lit("")).alias("html"))
     parsed = common.written(src.mapInArrow(_parsed, _PARSED), "pages")
-    # Pages with a main part delete nothing and give nothing to delete: only the others are sorted and joined.
-    loose = parsed.where("NOT has_main AND size(lines) > 0")
+    loose = parsed.where("size(lines) > 0")
     order = ["host", "path", "page_id", "row_id"]
     ranged = loose.select("row_id", "lines", "host", "path", "page_id").repartitionByRange(*order).sortWithinPartitions(*order)
     paired = common.written(ranged.select("row_id", "lines", "host", F.spark_partition_id().alias("part")).mapInArrow(_paired, _PAIRED), "paired")
@@ -255,8 +266,8 @@ def main_texts(pages: DataFrame) -> DataFrame:
     more = both.mapInArrow(_edges, "row_id long, gone array<int>")
     gone = paired.select("row_id", "gone").union(more).where("size(gone) > 0").groupBy("row_id").agg(F.flatten(F.collect_list("gone")).alias("gone"))
     cut = loose.join(gone, "row_id", "left")
-    kept = F.when(F.col("gone").isNull(), F.col("texts")).otherwise(F.filter(F.col("texts"), lambda _, k: ~F.array_contains("gone", k)))
-    found = parsed.where("has_main OR size(lines) = 0").select("page_id", "url", "texts").unionByName(cut.select("page_id", "url", kept.alias("texts")))
+    kept = F.filter(F.col("texts"), lambda t, k: (t != "") & ~F.coalesce(F.array_contains("gone", k), F.lit(False)))
+    found = parsed.where("size(lines) = 0").select("page_id", "url", "texts").unionByName(cut.select("page_id", "url", kept.alias("texts")))
     text = F.concat_ws("\n\n", "texts")
     return found.select("page_id", "url", text.alias("text"), F.length(text).cast("long").alias("n_chars"))
 

@@ -328,3 +328,14 @@ def test_common_subsequence():
         got = [a[k] for k in html_text.common_subsequence(a, b)]
         it = iter(b)
         assert all(x in it for x in got) and len(got) == length(a, b)
+
+
+def test_pages_with_a_main_part_are_paired_too(spark):
+    page = lambda k, own: (k, f"http://h.org/a{k}", f"<body><p>Site line</p><main><div>Signed up by all</div>{''.join(f'<p>own {k} {j}</p>' for j in range(own))}<div>Read on below</div></main></body>")
+    copies = [(k, f"http://c.org/b{k}", "<body><article><p>one</p><p>two</p><p>three</p></article><p>" + f"{k} " * 3 + "</p></body>") for k in (10, 11)]
+    plain = (3, "http://h.org/a3", "<body><div>Signed up by all</div><p>plain own</p><p>more own</p></body>")
+    rows = [page(1, 3), page(2, 4), plain, (4, "http://h.org/z", "<body><div>Site line</div><p>last own</p><p>its end</p></body>"), *copies]
+    got = {r["page_id"]: r["text"] for r in html_text.main_texts(spark.createDataFrame(rows, "page_id long, url string, html string")).collect()}
+    assert got[1].split("\n\n") == [f"own 1 {j}" for j in range(3)] and got[2].split("\n\n") == [f"own 2 {j}" for j in range(4)]
+    assert got[10] == got[11] == "one\n\ntwo\n\nthree"
+    assert got[3].split("\n\n") == ["plain own", "more own"]
