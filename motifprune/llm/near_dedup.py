@@ -4,9 +4,9 @@ A document's set of five-word shingles is summarised in registers: each shingle
 spaced ascending points, each point falls into another register, and a register keeps the truncated
 logarithm of its least point. Registers of unions are the maxima of registers, and two sets agree in a
 register about as often as they share elements, so bands of registers find candidates: with 42 bands of
-6 a pair at the threshold escapes with probability below 1e-8. Within a bucket, a joint maximum
-likelihood estimate of the similarity from the registers' order (above, below, equal) removes pairs far
-below the threshold, and what remains is confirmed on the full sets.
+6 a pair at the threshold shares none with probability below 3e-9. Within a bucket, a joint maximum
+likelihood estimate of the similarity from the sets' sizes and the registers' order (above, below, equal)
+removes pairs far below the threshold, and what remains is confirmed on the full sets.
 
 Equal sets are one vertex. Buckets are cut into blocks of bounded size. A first round tests a spanning
 forest of each block's plausible pairs, so that a large group of copies is joined by few tests; later
@@ -34,7 +34,7 @@ from motifprune.llm.components import components
 
 WORDS, PERCENT = 5, 85
 REGISTERS, BANDS, BAND, BASE, RATE, TOP = 256, 42, 6, 1.001, 20.0, 65534
-BLOCK, DEVIATIONS, FILTER_BITS = 1024, 5.0, 24
+BLOCK, DEVIATIONS, FILTER_BITS = 1024, 7.0, 24
 _ODD = np.array([0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9, 0xD6E8FEB86659FD93, 0xA0761D6478BD642F], dtype=np.uint64)
 
 
@@ -90,13 +90,17 @@ def registers(sets: list[np.ndarray], m: int = REGISTERS) -> np.ndarray:
     return np.clip(np.where(np.isinf(least), 0, k), 0, TOP + 1).astype(np.uint16).reshape(-1, m)
 
 
-def likely_similarity(a: np.ndarray, b: np.ndarray, steps: int = 30) -> np.ndarray:
-    """Maximum likelihood similarity of register rows a and b, from how many are above, below and equal."""
+def likely_similarity(a: np.ndarray, b: np.ndarray, n_a: np.ndarray | None = None, n_b: np.ndarray | None = None, steps: int = 30) -> np.ndarray:
+    """Maximum likelihood similarity of register rows a and b, from how many are above, below and equal.
+
+    n_a and n_b are the sets' sizes; without them the mean registers, which grow as a size's logarithm, give the ratio.
+    """
     above, below = (a > b).sum(axis=-1).astype(float), (a < b).sum(axis=-1).astype(float)
     equal = a.shape[-1] - above - below
-    # Relative sizes from the registers themselves; the mean register grows as the set's logarithm.
-    log = np.log(BASE) * (a.mean(axis=-1, dtype=np.float64) - b.mean(axis=-1, dtype=np.float64))
-    u = 1 / (1 + np.exp(-log))
+    if n_a is None or n_b is None:
+        u = 1 / (1 + np.exp(-np.log(BASE) * (a.mean(axis=-1, dtype=np.float64) - b.mean(axis=-1, dtype=np.float64))))
+    else:
+        u = np.asarray(n_a / (n_a + n_b), dtype=np.float64)
     v = 1 - u
     chance = lambda x: -np.log1p(-np.clip(x, 1e-12, 1) * (BASE - 1) / BASE) / np.log(BASE)
 
@@ -160,7 +164,7 @@ def _block_pairs(starts: np.ndarray, ends: np.ndarray) -> Iterator[tuple[np.ndar
 
 
 def _pairs_of_blocks(least: float, forest: bool):
-    """Plausible pairs within blocks of rows sorted by (bucket, block); rows: bucket, block, v, comp, outer, registers, band.
+    """Plausible pairs within blocks of rows sorted by (bucket, block); rows: bucket, block, v, comp, outer, registers, band, n_shingles.
 
     Only pairs of different components count, and with outer rows only those that have one. A pair that several
     bands share is the first one's; where blocks part it there, the round over large buckets meets it. A forest
@@ -188,7 +192,7 @@ def _pairs_of_blocks(least: float, forest: bool):
                 starts, ends, rest = starts[:-1], ends[:-1], int(starts[-1])
             v, comp, outer = held.column(2).to_numpy(), held.column(3).to_numpy(), np.array(held.column(4).to_pylist(), dtype=bool)
             rows = np.frombuffer(b"".join(held.column(5).to_pylist()), dtype=np.uint16).reshape(-1, REGISTERS)
-            band = held.column(6).to_numpy()
+            band, n = held.column(6).to_numpy(), held.column(7).to_numpy().astype(float)
             any_outer = np.zeros(len(v), dtype=bool)
             if outer.any():
                 for x, y in zip(starts, ends):
@@ -203,7 +207,7 @@ def _pairs_of_blocks(least: float, forest: bool):
                     good.append((equal.mean(axis=1) >= least - 0.1) & (first == band[i[c : c + 20_000]]))
                 good = np.concatenate([np.empty(0, dtype=bool), *good])
                 i, k = i[good], k[good]
-                est = np.concatenate([np.empty(0), *(likely_similarity(rows[i[c : c + 20_000]], rows[k[c : c + 20_000]]) for c in range(0, len(i), 20_000))])
+                est = np.concatenate([np.empty(0), *(likely_similarity(rows[x], rows[y], n[x], n[y]) for x, y in ((i[c : c + 20_000], k[c : c + 20_000]) for c in range(0, len(i), 20_000)))])
                 i, k, est = i[est >= least], k[est >= least], est[est >= least]
                 low, high = np.minimum(v[i], v[k]), np.maximum(v[i], v[k])
                 if forest and len(i):
@@ -272,7 +276,7 @@ def near_duplicates(docs: DataFrame, percent: int = PERCENT) -> DataFrame:
     tasks = int(spark.conf.get("spark.sql.shuffle.partitions"))  # by count, as small rows carry much work
     sketches = common.written(texts.withColumn("text_hash", F.xxhash64("text")).mapInArrow(_sketched, "doc_id long, text_hash long, n_shingles long, v long, registers binary"), "sketches")
     sets = sketches.where("v IS NOT NULL")
-    vertices = common.written(sets.groupBy("v").agg(F.min("doc_id").alias("low"), F.any_value("registers").alias("registers")), "vertices")
+    vertices = common.written(sets.groupBy("v").agg(F.min("doc_id").alias("low"), F.any_value("n_shingles").alias("n"), F.any_value("registers").alias("registers")), "vertices")
 
     bands = vertices.select("v", "registers").mapInArrow(_banded, "bucket long, band int, v long")
     shared = bands.groupBy("bucket").agg(F.count("*").alias("n")).where("n > 1")
@@ -290,8 +294,8 @@ def near_duplicates(docs: DataFrame, percent: int = PERCENT) -> DataFrame:
         """Confirms the blocks' plausible pairs; whether that gave links."""
         nonlocal tested, links, labels
         mixed = blocks.groupBy("bucket", "block").agg(F.min("comp").alias("c0"), F.max("comp").alias("c1")).where("c0 <> c1").select("bucket", "block")
-        rows = blocks.join(mixed, ["bucket", "block"]).join(vertices.select("v", "registers"), "v")
-        rows = rows.select("bucket", "block", "v", "comp", "outer", "registers", "band").repartition(tasks, "bucket", "block").sortWithinPartitions("bucket", "block", "v")
+        rows = blocks.join(mixed, ["bucket", "block"]).join(vertices.select("v", "registers", F.col("n").alias("n_shingles")), "v")
+        rows = rows.select("bucket", "block", "v", "comp", "outer", "registers", "band", "n_shingles").repartition(tasks, "bucket", "block").sortWithinPartitions("bucket", "block", "v")
         pairs = rows.mapInArrow(_pairs_of_blocks(least, forest), "a long, b long").distinct()
         if tested is not None:
             pairs = pairs.join(tested, ["a", "b"], "left_anti")
@@ -314,8 +318,8 @@ def near_duplicates(docs: DataFrame, percent: int = PERCENT) -> DataFrame:
         return True
 
     inner = lambda: labelled().withColumn("outer", F.lit(False))
-    if test(inner(), forest=True):
-        test(inner(), forest=False)
+    test(inner(), forest=True)
+    test(inner(), forest=False)  # also where the forest gave no link: it leaves pairs out
     rows = labelled().where(F.col("n") > BLOCK)
     sizes = rows.groupBy("bucket", "comp").agg(F.count("*").alias("size"))
     main = sizes.groupBy("bucket").agg(F.max(F.struct("size", "comp"))["comp"].alias("main"), F.count("*").alias("comps")).where("comps > 1")

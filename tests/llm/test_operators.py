@@ -339,3 +339,31 @@ def test_pages_with_a_main_part_are_paired_too(spark):
     assert got[1].split("\n\n") == [f"own 1 {j}" for j in range(3)] and got[2].split("\n\n") == [f"own 2 {j}" for j in range(4)]
     assert got[10] == got[11] == "one\n\ntwo\n\nthree"
     assert got[3].split("\n\n") == ["plain own", "more own"]
+
+
+def test_estimate_takes_the_sizes_that_are_known():
+    b = near_dedup.registers([np.arange(1, 400, dtype=np.uint64)])
+    a = b.copy()
+    a[0, :20] -= 5000  # a few far registers make the mean tell a wrong ratio of sizes
+    least = near_dedup.plausible(85)
+    assert near_dedup.likely_similarity(a, b)[0] < least <= near_dedup.likely_similarity(a, b, np.array([340.0]), np.array([400.0]))[0]
+    assert least < 0.7  # the binomial tail below it is under 1e-8
+
+
+def test_links_that_the_first_forest_leaves_out(spark):
+    for seed in range(200):
+        w = [f"s{seed}x{k}" for k in range(215)]
+        texts = [" ".join(w[:200]), " ".join(w[15:200] + [f"own{k}" for k in range(20)]), " ".join(w[15:])]
+        sets = [near_dedup.shingles(t) for t in texts]
+        regs, n = near_dedup.registers(sets), np.array([float(len(s)) for s in sets])
+        names = [near_dedup.xxhash.xxh3_64_intdigest(s.tobytes()) - (1 << 63) for s in sets]
+        order = []
+        for x, y in ((0, 1), (1, 2), (0, 2)):
+            est = near_dedup.likely_similarity(regs[x], regs[y], n[x], n[y])
+            order.append((-round(float(est), 1), min(names[x], names[y]), max(names[x], names[y]), (x, y)))
+        if sorted(order)[-1][3] == (0, 2) and all(o[0] < -0.75 for o in order):
+            break
+    rows = list(enumerate(texts))
+    want = near_brute(rows)
+    got = near_dedup.near_duplicates(spark.createDataFrame(rows, "doc_id long, text string").coalesce(1)).collect()
+    assert Counter((r["doc_id"], r["n_shingles"], r["component_id"]) for r in got) == want and len({r["component_id"] for r in got}) == 2
