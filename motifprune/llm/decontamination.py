@@ -5,7 +5,9 @@ the whole corpus. Their Gram matrix is sketched in one distributed pass (each pa
 passages with a random test matrix and back), together with the benchmark's own passages, and a Nyström
 eigendecomposition of the sketch gives the singular directions. Directions of items that the leading ones
 capture badly are appended, so no item is lost to truncation. Overlapping windows of every whole text are
-folded into that space; a window whose cosine with an item reaches MIN_COSINE is a candidate. A candidate
+folded into that space; a window whose cosine with an item reaches MIN_COSINE is a candidate. So is, whatever its
+cosine, each place where SEED words of an item stand in a row, so no verbatim copy is lost to terms that are
+common in the corpus; such a row's cosine is null if no window found it. A candidate
 counts as a leak if the longest common subsequence of words covers SAME of the item within a span not
 much longer than the item, or PARAPHRASE of it and the item's answer (its last sentence) stands there
 word for word.
@@ -23,7 +25,7 @@ from __future__ import annotations
 import math
 import re
 from collections.abc import Iterator
-from dataclasses import dataclass
+from dataclasses import dataclass, field
 
 import numpy as np
 import pandas as pd
@@ -36,7 +38,7 @@ from motifprune.llm import common
 RANK, EXTRA, PASSAGE, BLOCK_ITEMS = 96, 8, 64, 1024
 COMMON_SHARE, LEAST_COMMON, OWN_TERMS = 0.1, 5, 8
 SHORT_ITEM, WINDOWS = 24, ((48, 16), (96, 32))  # (words, stride) for items up to SHORT_ITEM words, and for others
-MIN_COSINE, SAME, PARAPHRASE, CAPTURED = 0.3, 0.8, 0.6, 0.5
+MIN_COSINE, SAME, PARAPHRASE, CAPTURED, SEED = 0.3, 0.8, 0.6, 0.5, 4
 HITS = "doc_id long, item_id long, at_word long, cosine double, covered double, answer_found boolean"
 _WORD = re.compile(r"\w+")
 _SENTENCE = re.compile(r"(?<=[.!?])\s+|\n")
@@ -110,6 +112,16 @@ class Latent:
     axes: np.ndarray  # terms x directions
     items: list[Item]
     folded: np.ndarray  # items x directions, unit rows
+    seeds: dict[int, dict[tuple, list[tuple[int, int]]]] = field(default_factory=dict)  # by length: (item number, place in it)
+
+
+def seeds_of(items: list[Item]) -> dict[int, dict[tuple, list[tuple[int, int]]]]:
+    out: dict[int, dict[tuple, list[tuple[int, int]]]] = {}
+    for k, item in enumerate(items):
+        n = min(SEED, len(item.words))
+        for at in range(len(item.words) - n + 1):
+            out.setdefault(n, {}).setdefault(item.words[at : at + n], []).append((k, at))
+    return out
 
 
 def _vectors(ids: np.ndarray, rows: np.ndarray, idf: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -229,15 +241,36 @@ def fit_latent(docs: DataFrame, items: list[Item], rank: int = RANK) -> Latent:
         axes = np.hstack([axes, more[:, strength > 1e-3]])
     folded = b @ axes
     folded /= np.maximum(1e-9, np.linalg.norm(folded, axis=1))[:, None]
-    return Latent(terms, idf, axes.astype(np.float32), items, folded.astype(np.float32))
+    return Latent(terms, idf, axes.astype(np.float32), items, folded.astype(np.float32), seeds_of(items))
 
 
-def leaks_of(words: list[str], m: Latent) -> list[tuple[int, int, float, float, bool]]:
+def leaks_of(words: list[str], m: Latent) -> list[tuple[int, int, float | None, float, bool]]:
     """(item number, word, cosine, covered share, answer found) of each item that the text holds."""
+    best = _by_windows(words, m)
+    _by_seeds(words, m, best)
+    return [(k, *v) for k, v in sorted(best.items())]
+
+
+def _by_seeds(words: list[str], m: Latent, best: dict[int, tuple]) -> None:
+    """Adds to best what stands around each run of SEED words of an item (of all its words, if they are fewer)."""
+    tried = set()
+    for n, grams in m.seeds.items():
+        for p, gram in enumerate(zip(*(words[j:] for j in range(n)))):
+            for k, at in grams.get(gram, ()):
+                size, start = len(m.items[k].words), p - at
+                if (k, start) in tried or k in best and best[k][2] == 1:
+                    continue
+                tried.add((k, start))
+                share, where, answered = best_cover(m.items[k], words, max(0, start - size // 2), min(len(words), start + 2 * size + 1))
+                if (share >= SAME or share >= PARAPHRASE and answered) and (k not in best or share > best[k][2]):
+                    best[k] = (where, best[k][1] if k in best else None, share, answered)
+
+
+def _by_windows(words: list[str], m: Latent) -> dict[int, tuple]:
+    best: dict[int, tuple] = {}
     at, ids = _occurrences(words, m.terms)
     if not len(at):
-        return []
-    best: dict[int, tuple] = {}
+        return best
     long_item = np.array([len(i.words) > SHORT_ITEM for i in m.items])
     for kind, (width, stride) in enumerate(WINDOWS):
         chosen = np.flatnonzero(long_item == bool(kind))
@@ -260,7 +293,7 @@ def leaks_of(words: list[str], m: Latent) -> list[tuple[int, int, float, float,
             share, where, answered = best_cover(item, words, max(0, start - len(item.words) // 2), min(len(words), start + width + len(item.words) // 2))
             if (share >= SAME or share >= PARAPHRASE and answered) and (k not in best or share > best[k][2]):
                 best[k] = (where, float(cosine[r, c]), share, answered)
-    return [(k, *v) for k, v in sorted(best.items())]
+    return best
 
 
 def leaks(docs: DataFrame, benchmark: DataFrame) -> DataFrame:

@@ -367,3 +367,16 @@ def test_links_that_the_first_forest_leaves_out(spark):
     want = near_brute(rows)
     got = near_dedup.near_duplicates(spark.createDataFrame(rows, "doc_id long, text string").coalesce(1)).collect()
     assert Counter((r["doc_id"], r["n_shingles"], r["component_id"]) for r in got) == want and len({r["component_id"] for r in got}) == 2
+
+
+def test_verbatim_items_are_found_below_the_cosine_bound(spark, monkeypatch):
+    item = " ".join(f"q{k}" for k in range(26))
+    items = decontamination.items_of([(1, item), (2, "short key"), (3, " ".join(f"r{k}" for k in range(120)))])
+    corpus = spark.createDataFrame([(k, item + " filler words here") for k in range(20)], "doc_id long, text string")
+    model = decontamination.fit_latent(corpus, items)
+    monkeypatch.setattr(decontamination, "MIN_COSINE", 2.0)  # no window is a candidate
+    for k, i in enumerate(items):
+        for lead in (0, 7, 61):
+            text = ["other"] * lead + list(i.words) + ["more"] * 50
+            assert [(h[0], h[2], h[3]) for h in decontamination.leaks_of(text, model)] == [(k, None, 1.0)]
+    assert decontamination.leaks_of(["short", "other", "key"] + list(items[0].words[:12]), model) == []
