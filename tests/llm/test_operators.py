@@ -380,3 +380,14 @@ def test_verbatim_items_are_found_below_the_cosine_bound(spark, monkeypatch):
             text = ["other"] * lead + list(i.words) + ["more"] * 50
             assert [(h[0], h[2], h[3]) for h in decontamination.leaks_of(text, model)] == [(k, None, 1.0)]
     assert decontamination.leaks_of(["short", "other", "key"] + list(items[0].words[:12]), model) == []
+
+
+def test_weights_move_after_each_word():
+    code = lm_scoring.huffman([(b"", 9), (b"a", 5), (b"b", 3)], 1)
+    d = lm_scoring.decisions([[b"b"] * 20], code)
+    tables = np.zeros((lm_scoring.TABLES, 1 << lm_scoring.TABLE_BITS), dtype=np.int8)
+    assert len(set(d.block.tolist())) == 21
+    one = lm_scoring.mix_online(lm_scoring.decisions([[b"b"]], code), 1, code, tables)[0]
+    two = lm_scoring.mix_online(lm_scoring.decisions([[b"b"] * 2], code), 1, code, tables)[0]
+    all_ = lm_scoring.mix_online(d, 1, code, tables)[0]
+    assert all_ - two > 18 * (two - one)  # later words of a short text cost less
