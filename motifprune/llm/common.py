@@ -5,9 +5,9 @@ from __future__ import annotations
 import re
 import tempfile
 import uuid
+from array import array
 from functools import lru_cache
 
-import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -58,12 +58,12 @@ def remainder_of(doc_id, modulus: int):
 
 
 _LETTERS, _SIGNS = "A-Za-zÀ-ÖØ-öø-ÿ", ".,;:!?&%$#*|"
-#: Texts made of these alone are cut into their words by _PLAIN_PART just as the vocabularies' own patterns do.
-_PLAIN = re.compile(rf"(?: ?(?:[{_LETTERS}]+|[{_SIGNS}]+)|\n(?=\S|\Z))+\Z")
-_PLAIN_PART = re.compile(rf" ?(?:[{_LETTERS}]+|[{_SIGNS}]+)|\n")
-_ODD_SPACE = re.compile(r"\s\s|\A\s|\s\Z")
-_EDGE = re.compile(r"(?<=\S)(?= \S)")
+#: A piece that these parts cover is cut into its words by them just as the word-level vocabulary's own pattern does.
+_PLAIN_PART = re.compile(rf"[{_LETTERS}]+|[{_SIGNS}]+")
+#: White space to Python alone, or to the vocabulary's pattern alone.
+_ODD_SPACE = re.compile("[\x1c-\x1f\u200b\ufeff]")
 _LONGEST = 64
+CACHE_BYTES, ENTRY_BYTES = 48 << 20, 160  # a worker's room for ids met, and what an entry takes beside its letters and ids
 
 
 def _byte_letters() -> dict[int, str]:
@@ -73,74 +73,97 @@ def _byte_letters() -> dict[int, str]:
     return {b: chr(b) for b in shown} | {b: chr(256 + k) for k, b in enumerate(hidden)}
 
 
+def tokenizer(file: str):
+    import public_tokenizers
+    from tokenizers import Tokenizer
+
+    tok = Tokenizer.from_file(public_tokenizers.path(file))
+    tok.encode_special_tokens = True
+    return tok
+
+
+class ByteEncoder:
+    """Ids of a byte-level vocabulary of the tokenizers library, by tiktoken's faster merging of the same ranks.
+
+    Ids of such a vocabulary ascend with the merges, so they serve as ranks. Texts with lone surrogates
+    go through the tokenizers library itself.
+    """
+
+    def __init__(self, file: str) -> None:
+        import json
+
+        import public_tokenizers
+        import tiktoken
+
+        with open(public_tokenizers.path(file), encoding="utf-8") as f:
+            own = json.load(f)
+        byte_of = {c: b for b, c in _byte_letters().items()}
+        special = {t["id"] for t in own.get("added_tokens", [])}
+        ranks = {bytes(byte_of[c] for c in word): k for word, k in own["model"]["vocab"].items() if k not in special}
+        self._encode = tiktoken.Encoding("own", pat_str=public_tokenizers.PATTERN, mergeable_ranks=ranks, special_tokens={}).encode_to_numpy
+
+    def ids_bytes(self, text: str) -> bytes:
+        """The text's ids as little-endian unsigned 32-bit bytes."""
+        return self._encode(text, disallowed_special=()).astype("<u4", copy=False).tobytes()
+
+
 class _Pieces(dict):
-    """piece -> ids as little-endian 32-bit bytes; filled on demand, bounded by `room` entries."""
+    """piece -> ids as little-endian 32-bit bytes; filled on demand, bounded by `room` bytes."""
 
-    def __init__(self, lead: str, encode, room: int) -> None:
+    def __init__(self, encode, room: int) -> None:
         super().__init__()
-        self.lead, self.encode, self.room = lead, encode, room
+        self.encode, self.room = encode, room
 
     def __missing__(self, piece: str) -> bytes:
-        out = self.encode(self.lead + piece)
-        if len(self) < self.room and len(piece) < _LONGEST:
+        out = self.encode(piece)
+        if self.room > 0 and len(piece) < _LONGEST:
+            self.room -= len(piece) + len(out) + ENTRY_BYTES
             self[piece] = out
         return out
 
 
-class CachedEncoder:
-    """A tokenizers-library encoder that keeps the ids of pieces it has met.
+class WordEncoder:
+    """Ids of a word-level vocabulary that drops white space, keeping the ids of pieces met.
 
-    A text is cut before each single space that stands between two other characters. Neither the
-    byte-level nor the word-level vocabulary's splitting looks across such a place, so the ids of a
-    text are those of its pieces in turn. Texts with other white space at a cut keep it inside a piece.
-    Pieces of plain Latin letters and signs go to the vocabulary's model word by word, all others
-    through the whole tokenizer.
+    No word of such a vocabulary reaches across white space, so a text's ids are those of its pieces in turn.
+    Pieces of plain Latin letters and signs go to the vocabulary's model word by word, all others through the
+    whole tokenizer.
     """
 
-    def __init__(self, file: str, *, space_kept: bool, room: int = 900_000) -> None:
-        import public_tokenizers
-        from tokenizers import Tokenizer
-
-        self._tok = Tokenizer.from_file(public_tokenizers.path(file))
-        self._tok.encode_special_tokens = True
+    def __init__(self, file: str, room: int = CACHE_BYTES) -> None:
+        self._tok = tokenizer(file)
         self._model = self._tok.model
         self._model._resize_cache(0)
         self._letters = _byte_letters()
-        self._space_kept = space_kept
-        self._words: dict[str, bytes] = {}
-        self._room = room
-        self._first = _Pieces("", self._encode, room // 4)
-        self._rest = _Pieces(" ", self._encode, room // 4) if space_kept else self._first
-
-    def _encode(self, piece: str) -> bytes:
-        if len(piece) < _LONGEST and _PLAIN.match(piece):
-            parts = _PLAIN_PART.findall(piece)
-            if not self._space_kept:
-                parts = [p.strip().lower() for p in parts if p != "\n"]
-            return b"".join(self._word(p) for p in parts)
-        return np.asarray(self._tok.encode(piece, add_special_tokens=False).ids, dtype="<u4").tobytes()
+        self._words = _Pieces(self._word, room // 2)
+        self._pieces = _Pieces(self._piece, room // 2)
 
     def _word(self, word: str) -> bytes:
-        got = self._words.get(word)
-        if got is None:
-            got = np.asarray([t.id for t in self._model.tokenize(word.encode().decode("latin-1").translate(self._letters))], dtype="<u4").tobytes()
-            if len(self._words) < self._room:
-                self._words[word] = got
-        return got
+        return array("I", [t.id for t in self._model.tokenize(word.encode().decode("latin-1").translate(self._letters))]).tobytes()
+
+    def _piece(self, piece: str) -> bytes:
+        if len(piece) < _LONGEST:
+            stem = piece.rstrip(_SIGNS)
+            if stem.isalpha() and stem.isascii():
+                return self._words[stem.lower()] + (self._words[piece[len(stem) :]] if len(stem) < len(piece) else b"")
+            parts = _PLAIN_PART.findall(piece)
+            if sum(map(len, parts)) == len(piece):
+                return b"".join([self._words[p.lower()] for p in parts])
+        return array("I", self._tok.encode(piece, add_special_tokens=False).ids).tobytes()
 
     def ids_bytes(self, text: str) -> bytes:
         """The text's ids as little-endian unsigned 32-bit bytes."""
-        if not text:
-            return b""
         if _ODD_SPACE.search(text):
-            head, *tail = _EDGE.split(text)
-            tail = [x[1:] for x in tail]
-        else:
-            head, *tail = text.split(" ")
-        return self._first[head] + b"".join(map(self._rest.__getitem__, tail))
+            return array("I", self._tok.encode(text, add_special_tokens=False).ids).tobytes()
+        return b"".join(map(self._pieces.__getitem__, text.split()))
+
+
+def CachedEncoder(file: str, *, space_kept: bool) -> ByteEncoder | WordEncoder:  # noqa: N802
+    """The encoder of a byte-level vocabulary, which keeps white space, or of a word-level one."""
+    return ByteEncoder(file) if space_kept else WordEncoder(file)
 
 
-@lru_cache(maxsize=4)
-def encoder(file: str, space_kept: bool) -> CachedEncoder:
+@lru_cache(maxsize=1)
+def encoder(file: str, space_kept: bool) -> ByteEncoder | WordEncoder:
     """One encoder for each Python worker, which Spark reuses between tasks."""
     return CachedEncoder(file, space_kept=space_kept)

@@ -35,6 +35,7 @@ from motifprune.llm.components import components
 WORDS, PERCENT = 5, 85
 REGISTERS, BANDS, BAND, BASE, RATE, TOP = 256, 42, 6, 1.001, 20.0, 65534
 BLOCK, DEVIATIONS, FILTER_BITS = 1024, 7.0, 24
+KEPT_WORDS = 150_000  # about 30 MB in each worker
 _ODD = np.array([0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9, 0xD6E8FEB86659FD93, 0xA0761D6478BD642F], dtype=np.uint64)
 
 
@@ -48,7 +49,7 @@ def mix(x: np.ndarray) -> np.ndarray:
 class _WordHashes(dict):
     def __missing__(self, word: bytes) -> int:
         h = xxhash.xxh64_intdigest(word)
-        if len(self) < 500_000:
+        if len(self) < KEPT_WORDS and len(word) < 64:
             self[word] = h
         return h
 

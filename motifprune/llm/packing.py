@@ -6,9 +6,12 @@ one that it closes, and into the tightest of equally good ones. Packing works on
 pieces dealt by a hash, so no task grows with the corpus; pieces of sequences that a group leaves
 ill-filled are packed again in fewer groups.
 
+Of the two published ways to open a sequence (only if none can take the piece, or whenever the sum prefers it)
+each group keeps the one that takes fewer.
+
 Defined results: a null text counts as empty and still yields one piece (its end id); rows repeated
 with the same id are packed each; an empty table yields no rows; columns beside doc_id and text are
-not read. Sequence numbers are unique but carry no order.
+not read; texts of any length are cut into pieces. Sequence numbers are unique but carry no order.
 """
 
 from __future__ import annotations
@@ -31,10 +34,16 @@ PIECES_PER_GROUP, FULL_ENOUGH = 8192, 0.997
 
 
 def sum_of_squares(lengths: np.ndarray, capacity: int) -> tuple[np.ndarray, np.ndarray]:
+    """(sequence, offset) of each piece, by whichever of the two rules for opening takes fewer sequences."""
+    late, free = (_placed(lengths, capacity, opening) for opening in (False, True))
+    return late if late[0].max(initial=-1) <= free[0].max(initial=-1) else free
+
+
+def _placed(lengths: np.ndarray, capacity: int, opening: bool) -> tuple[np.ndarray, np.ndarray]:
     """(sequence, offset) of each piece; longest pieces are placed first, ties in the order given.
 
-    Of the open sequences that can take a piece, it goes to one whose gap leaves the least sum of squares; a
-    new one is opened only if none can.
+    A piece goes to an open sequence whose gap leaves the least sum of squares; a new one is opened only if none
+    can take it or, if `opening` is among the choices, where that leaves a smaller sum.
     """
     open_by_gap: list[list[int]] = [[] for _ in range(capacity + 1)]
     count = np.zeros(capacity + 1, dtype=np.int64)
@@ -44,13 +53,18 @@ def sum_of_squares(lengths: np.ndarray, capacity: int) -> tuple[np.ndarray, np.n
     for at in np.argsort(-lengths, kind="stable"):
         size = int(lengths[at])
         gaps = np.flatnonzero(count[size:]) + size
+        best = capacity
         if len(gaps):
             after = gaps - size
-            best = int(gaps[(np.where(after > 0, 2 * count[after] + 2, 1) - 2 * count[gaps]).argmin()])
+            change = np.where(after > 0, 2 * count[after] + 2, 1) - 2 * count[gaps]
+            least = change.argmin()
+            if not opening or size == capacity or change[least] <= 2 * count[capacity - size] + 1:
+                best = int(gaps[least])
+        if best < capacity:
             own = open_by_gap[best].pop()
             count[best] -= 1
         else:
-            best, own, made = capacity, made, made + 1
+            own, made = made, made + 1
         sequence[at], offset[at] = own, capacity - best
         if best > size:
             open_by_gap[best - size].append(own)

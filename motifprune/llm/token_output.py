@@ -4,8 +4,9 @@ Rows are range-partitioned by doc_id and sorted, so each file holds a contiguous
 groups and page indexes let a reader skip to some documents or read the metadata columns alone. Format
 version 2 pages store ids by dictionary and fall back to delta packing, counters by delta packing.
 
-Defined results: a null text counts as empty and yields the end id alone; null ids come first; rows
-repeated with one id keep any order among themselves; an empty table yields no rows.
+Defined results: a null text counts as empty and yields the end id alone; texts of any length are one row;
+null ids come first; rows repeated with one id keep any order among themselves; an empty table yields no
+rows; columns beside doc_id and text are not read.
 """
 
 from __future__ import annotations
@@ -56,7 +57,18 @@ def read_tokens(spark: SparkSession, path: str) -> DataFrame:
     rows = spark.read.schema(SCHEMA).parquet(path)
     parts = rows.groupBy("part").agg(F.sum("n_tokens").alias("n"))
     before = parts.select("part", (F.sum("n").over(Window.orderBy("part").rowsBetween(Window.unboundedPreceding, -1))).alias("before"))
-    return rows.join(before, "part").withColumn("start", F.coalesce("before", F.lit(0)) + F.col("start_in_part")).drop("before", "part", "start_in_part")
+    # one row a range of write_tokens: as many as the shuffle had partitions
+    return rows.join(F.broadcast(before), "part").withColumn("start", F.coalesce("before", F.lit(0)) + F.col("start_in_part")).drop("before", "part", "start_in_part")
+
+
+def read_documents(spark: SparkSession, path: str, low: int, high: int) -> DataFrame:
+    """(doc_id, n_tokens, tokens) of ids from low to high; files, row groups and pages of other ids are skipped."""
+    return spark.read.schema(SCHEMA).parquet(path).where(F.col("doc_id").between(low, high)).select("doc_id", "n_tokens", "tokens")
+
+
+def read_sizes(spark: SparkSession, path: str) -> DataFrame:
+    """(doc_id, n_tokens) of every row; the token column is not read."""
+    return spark.read.schema(SCHEMA).parquet(path).select("doc_id", "n_tokens")
 
 
 def digests(rows: DataFrame) -> DataFrame:
