@@ -4,15 +4,16 @@ A document's set of five-word shingles is summarised in registers: each shingle
 spaced ascending points, each point falls into another register, and a register keeps the truncated
 logarithm of its least point. Registers of unions are the maxima of registers, and two sets agree in a
 register about as often as they share elements, so bands of registers find candidates: with 42 bands of
-6 a pair at the threshold shares none with probability below 3e-9. Within a bucket, a joint maximum
-likelihood estimate of the similarity from the sets' sizes and the registers' order (above, below, equal)
-removes pairs far below the threshold, and what remains is confirmed on the full sets.
+6 (51 of 5 below 85 percent) a pair at the threshold shares none with probability below 3e-9. Within a bucket, a
+joint maximum likelihood estimate of the similarity from the sets' sizes and the registers' order (above, below,
+equal) removes pairs far below the threshold, and what remains is confirmed on the full sets.
 
-Equal sets are one vertex. Buckets are cut into blocks of bounded size. A first round tests a spanning
-forest of each block's plausible pairs, so that a large group of copies is joined by few tests; later
-rounds test every plausible pair that is not yet in one component, then members outside a large bucket's
-main component against all of its blocks. So no link between different texts is lost, and no group's pairs
-are all emitted.
+Equal sets are one vertex. Buckets are cut into blocks of bounded size. A spanning forest of each block's
+plausible pairs is confirmed first, so that a large group of copies is joined by few tests. Members of a large bucket
+outside its main component then meet all of its blocks, two blocks at a time. What plausible pairs connect is
+a group; groups that are not one component yet are tested whole: cut into blocks of bounded size, each pair of
+blocks compares its full sets in one task and tells only links that join components. So no link between different
+texts is lost, no group's pairs are emitted, and no task holds more than two blocks.
 
 Defined results: null and empty texts have the empty set and stand alone; texts under five words have
 one shingle; rows with equal ids are separate rows of one component if their sets link; an empty table
@@ -33,8 +34,9 @@ from motifprune.llm import common
 from motifprune.llm.components import components
 
 WORDS, PERCENT = 5, 85
-REGISTERS, BANDS, BAND, BASE, RATE, TOP = 256, 42, 6, 1.001, 20.0, 65534
-BLOCK, DEVIATIONS, FILTER_BITS = 1024, 7.0, 24
+REGISTERS, BASE, RATE, TOP = 256, 1.001, 20.0, 65534
+BLOCK, DEVIATIONS, FILTER_BITS, FILTER_PART = 1024, 7.0, 27, 15
+TEST_ROWS, TEST_HASHES = 256, 100_000  # of a block whose full sets are compared
 KEPT_WORDS = 150_000  # about 30 MB in each worker
 _ODD = np.array([0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9, 0xD6E8FEB86659FD93, 0xA0761D6478BD642F], dtype=np.uint64)
 
@@ -117,6 +119,12 @@ def likely_similarity(a: np.ndarray, b: np.ndarray, n_a: np.ndarray | None = Non
     return (low + high) / 2
 
 
+def banding(percent: int) -> tuple[int, int]:
+    """(bands, registers a band): shorter bands for lower thresholds."""
+    band = 6 if percent >= 85 else 5
+    return REGISTERS // band, band
+
+
 def plausible(percent: int) -> float:
     """The least estimate that a linked pair can show."""
     j = percent / 100
@@ -133,16 +141,19 @@ def _sketched(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             yield pa.RecordBatch.from_arrays([part.column(0), part.column(2), pa.array([len(s) for s in sets], pa.int64()), pa.array(names, pa.int64()), pa.array([r.tobytes() for r in rows], pa.binary())], ["doc_id", "text_hash", "n_shingles", "v", "registers"])
 
 
-def _banded(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    for batch in batches:
-        v = batch.column(0).to_numpy()
-        rows = np.frombuffer(b"".join(batch.column(1).to_pylist()), dtype=np.uint16).reshape(-1, REGISTERS)
-        parts = rows[:, : BANDS * BAND].reshape(-1, BANDS, BAND).astype(np.uint64)
-        keys = np.broadcast_to(np.arange(1, BANDS + 1, dtype=np.uint64) * _ODD[1], parts.shape[:2])
-        for j in range(BAND):
-            keys = mix(keys + (parts[:, :, j] + np.uint64(1)) * _ODD[j % 5])
-        keys = keys.view(np.int64)
-        yield pa.RecordBatch.from_arrays([pa.array(keys.ravel()), pa.array(np.tile(np.arange(BANDS, dtype=np.int32), len(v))), pa.array(np.repeat(v, BANDS))], ["bucket", "band", "v"])
+def _banded(bands: int, band: int):
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            v = batch.column(0).to_numpy()
+            rows = np.frombuffer(b"".join(batch.column(1).to_pylist()), dtype=np.uint16).reshape(-1, REGISTERS)
+            parts = rows[:, : bands * band].reshape(-1, bands, band).astype(np.uint64)
+            keys = np.broadcast_to(np.arange(1, bands + 1, dtype=np.uint64) * _ODD[1], parts.shape[:2])
+            for j in range(band):
+                keys = mix(keys + (parts[:, :, j] + np.uint64(1)) * _ODD[j % 5])
+            keys = keys.view(np.int64)
+            yield pa.RecordBatch.from_arrays([pa.array(keys.ravel()), pa.array(np.tile(np.arange(bands, dtype=np.int32), len(v))), pa.array(np.repeat(v, bands))], ["bucket", "band", "v"])
+
+    return run
 
 
 def _block_pairs(starts: np.ndarray, ends: np.ndarray) -> Iterator[tuple[np.ndarray, np.ndarray]]:
@@ -164,12 +175,12 @@ def _block_pairs(starts: np.ndarray, ends: np.ndarray) -> Iterator[tuple[np.ndar
         yield np.concatenate([x for x, _ in held]), np.concatenate([y for _, y in held])
 
 
-def _pairs_of_blocks(least: float, forest: bool):
-    """Plausible pairs within blocks of rows sorted by (bucket, block); rows: bucket, block, v, comp, outer, registers, band, n_shingles.
+def _forest_of_blocks(least: float, bands: int, band_size: int):
+    """A forest of plausible pairs within blocks of rows sorted by (bucket, block); rows: bucket, block, v, comp, half, registers, band, n_shingles.
 
-    Only pairs of different components count, and with outer rows only those that have one. A pair that several
-    bands share is the first one's; where blocks part it there, the round over large buckets meets it. A forest
-    keeps a pair only if it joins components that the task's earlier pairs have not joined.
+    Only pairs of different components and, in blocks that hold two halves, of different halves count. A pair that
+    several bands share is the first one's; where blocks part it there, the round over large buckets meets it.
+    Of the rest, those pairs stay that join what the task's earlier pairs have not joined.
     """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -188,37 +199,34 @@ def _pairs_of_blocks(least: float, forest: bool):
             bucket, block = held.column(0).to_numpy(), held.column(1).to_numpy()
             starts = np.flatnonzero(np.concatenate([[True], (bucket[1:] != bucket[:-1]) | (block[1:] != block[:-1])]))
             ends = np.concatenate([starts[1:], [len(bucket)]])
+            half = held.column(4).to_numpy()
+            halves = np.repeat(np.maximum.reduceat(half, starts) > 0, ends - starts)
             rest = len(bucket)
             if batch is not None:  # the last block may go on in the next batch
                 starts, ends, rest = starts[:-1], ends[:-1], int(starts[-1])
-            v, comp, outer = held.column(2).to_numpy(), held.column(3).to_numpy(), np.array(held.column(4).to_pylist(), dtype=bool)
+            v, comp = held.column(2).to_numpy(), held.column(3).to_numpy()
             rows = np.frombuffer(b"".join(held.column(5).to_pylist()), dtype=np.uint16).reshape(-1, REGISTERS)
             band, n = held.column(6).to_numpy(), held.column(7).to_numpy().astype(float)
-            any_outer = np.zeros(len(v), dtype=bool)
-            if outer.any():
-                for x, y in zip(starts, ends):
-                    any_outer[x:y] = outer[x:y].any()
             for i, k in _block_pairs(starts, ends):
-                ok = (comp[i] != comp[k]) & (v[i] != v[k]) & (outer[i] | outer[k] | ~any_outer[i])
+                ok = (comp[i] != comp[k]) & (v[i] != v[k]) & ((half[i] != half[k]) | ~halves[i])
                 i, k = i[ok], k[ok]
                 good = []
                 for c in range(0, len(i), 20_000):
                     equal = rows[i[c : c + 20_000]] == rows[k[c : c + 20_000]]
-                    first = equal[:, : BANDS * BAND].reshape(-1, BANDS, BAND).all(axis=2).argmax(axis=1)
+                    first = equal[:, : bands * band_size].reshape(-1, bands, band_size).all(axis=2).argmax(axis=1)
                     good.append((equal.mean(axis=1) >= least - 0.1) & (first == band[i[c : c + 20_000]]))
                 good = np.concatenate([np.empty(0, dtype=bool), *good])
                 i, k = i[good], k[good]
                 est = np.concatenate([np.empty(0), *(likely_similarity(rows[x], rows[y], n[x], n[y]) for x, y in ((i[c : c + 20_000], k[c : c + 20_000]) for c in range(0, len(i), 20_000)))])
                 i, k, est = i[est >= least], k[est >= least], est[est >= least]
                 low, high = np.minimum(v[i], v[k]), np.maximum(v[i], v[k])
-                if forest and len(i):
-                    kept = []
-                    for at in np.lexsort((high, low, -np.round(est, 1))):
-                        x, y = top(int(comp[i[at]])), top(int(comp[k[at]]))
-                        if x != y:
-                            root[max(x, y)] = min(x, y)
-                            kept.append(at)
-                    low, high = low[kept], high[kept]
+                kept = []
+                for at in np.lexsort((high, low, -np.round(est, 1))):
+                    x, y = top(int(comp[i[at]])), top(int(comp[k[at]]))
+                    if x != y:
+                        root[max(x, y)] = min(x, y)
+                        kept.append(at)
+                low, high = low[kept], high[kept]
                 yield pa.RecordBatch.from_arrays([pa.array(low, pa.int64()), pa.array(high, pa.int64())], ["a", "b"])
             held = held.slice(rest)
 
@@ -243,6 +251,39 @@ def _confirmed(percent: int):
     return run
 
 
+def _links_of_blocks(percent: int):
+    """Links among two blocks' full sets (rows: v, comp, half, hashes), as many as join different components."""
+
+    def run(rows: pa.Table) -> pa.Table:
+        v, comp, half = (rows.column(k).to_numpy() for k in ("v", "comp", "half"))
+        sets = [np.frombuffer(x.as_buffer(), dtype=np.uint64) for x in rows.column("hashes")]
+        n = np.array([len(x) for x in sets])
+        names, at = np.unique(np.concatenate(sets), return_inverse=True)
+        ends = np.cumsum(n)
+        starts = ends - n
+        met = np.zeros(len(names), dtype=np.int64)
+        first, second = np.flatnonzero(half == 0), np.flatnonzero(half > 0)
+        label = np.unique(comp, return_inverse=True)[1]
+        a, b = [], []
+        for k, x in enumerate(first):
+            others = second if len(second) else first[k + 1 :]
+            others = others[(label[others] != label[x]) & (100 * np.minimum(n[others], n[x]) >= percent * np.maximum(n[others], n[x]))]
+            if not len(others):
+                continue
+            own = at[starts[x] : ends[x]]
+            met[own] = 1
+            both = np.add.reduceat(met[at], starts)[others]
+            met[own] = 0
+            for y in others[100 * both >= percent * (n[others] + n[x] - both)]:
+                if label[x] != label[y]:
+                    label[label == label[y]] = label[x]
+                    a.append(min(v[x], v[y]))
+                    b.append(max(v[x], v[y]))
+        return pa.table([pa.array(a, pa.int64()), pa.array(b, pa.int64())], ["a", "b"])
+
+    return run
+
+
 def _hashed(wanted):
     """Full sets (v, hashes) of the texts whose slot is among the wanted; rows: slot, text."""
 
@@ -260,16 +301,53 @@ def _hashed(wanted):
 
 def _slots_set(ids: DataFrame) -> np.ndarray:
     """A bitmap of fixed size with the slots of ids set; what it lets through beyond them is joined away."""
-    bits = np.zeros(1 << FILTER_BITS - 3, dtype=np.uint8)
-    slots = ids.select(_slot()).distinct().toPandas()["slot"].to_numpy()  # at most 2**FILTER_BITS
-    np.bitwise_or.at(bits, slots >> 3, np.left_shift(1, slots & 7).astype(np.uint8))
-    return bits
+
+    def part(rows: pa.Table) -> pa.Table:
+        bits = np.zeros(1 << FILTER_PART - 3, dtype=np.uint8)
+        slots = rows.column("slot").to_numpy() & (1 << FILTER_PART) - 1
+        np.bitwise_or.at(bits, slots >> 3, np.left_shift(1, slots & 7).astype(np.uint8))
+        return pa.table([pa.array([rows.column("part")[0].as_py()], pa.int32()), pa.array([bits.tobytes()], pa.binary())], ["part", "bits"])
+
+    slots = ids.select(_slot()).distinct().withColumn("part", F.shiftright("slot", FILTER_PART))
+    bits = np.zeros(1 << FILTER_BITS - FILTER_PART, dtype=f"V{1 << FILTER_PART - 3}")
+    for r in slots.groupBy("part").applyInArrow(part, "part int, bits binary").collect():  # at most all of the bitmap
+        bits[r["part"]] = bytes(r["bits"])
+    return bits.view(np.uint8)
 
 
 def _slot():
     return F.pmod(F.xxhash64("doc_id"), F.lit(1 << FILTER_BITS)).cast("int").alias("slot")
 
 
+def _full_sets(texts: DataFrame, vertices: DataFrame, wanted: DataFrame) -> DataFrame:
+    """(v, hashes) of the wanted vertices, from one text each."""
+    ids = wanted.join(vertices.select("v", "low"), "v").select(F.col("low").alias("doc_id"))
+    chosen = texts.sparkSession.sparkContext.broadcast(_slots_set(ids))
+    found = texts.select(_slot(), "text").mapInArrow(_hashed(chosen), "v long, hashes binary")
+    return common.written(found.join(wanted, "v", "left_semi").dropDuplicates(["v"]), "shingles")
+
+
+def _ends(pairs: DataFrame) -> DataFrame:
+    return pairs.select(F.col("a").alias("v")).union(pairs.select(F.col("b").alias("v"))).distinct()
+
+
+def _met_in_twos(rows: DataFrame, by: str, most_rows: int, most_hashes: int) -> DataFrame:
+    """rows (by, v, comp, n_shingles) with `block` and `half`: all pairs of a group that are not both of its main component meet.
+
+    The main component's rows and all others are dealt into blocks of bounded size; each block of others meets
+    itself, each other one, and each block of the main component. Groups of one component yield no rows.
+    """
+    sizes = rows.groupBy(by, "comp").agg(F.count("*").alias("rows"), F.sum("n_shingles").alias("hashes"))
+    dealt = lambda c, h: F.greatest(F.lit(1), F.ceil(F.greatest(c / most_rows, h / most_hashes))).cast("long")
+    whole = sizes.groupBy(by).agg(F.max(F.struct("rows", "hashes", "comp")).alias("main"), F.sum("rows").alias("rows"), F.sum("hashes").alias("hashes"), F.count("*").alias("comps")).where("comps > 1")
+    whole = whole.select(by, F.col("main.comp").alias("main"), dealt(F.col("rows") - F.col("main.rows"), F.col("hashes") - F.col("main.hashes")).alias("outer"), dealt(F.col("main.rows"), F.col("main.hashes")).alias("inner"))
+    spread, inside = F.xxhash64("v", F.lit(8)), F.col("comp") == F.col("main")
+    got = rows.join(whole, by).withColumn("own", F.when(inside, F.col("outer") + F.pmod(spread, "inner")).otherwise(F.pmod(spread, "outer")))
+    got = got.withColumn("other", F.explode(F.sequence(F.lit(0).cast("long"), F.when(inside, F.col("outer")).otherwise(F.col("outer") + F.col("inner")) - 1)))
+    block = F.least("own", "other") * (F.col("outer") + F.col("inner")) + F.greatest("own", "other")
+    return got.withColumns({"block": block, "half": (F.col("own") > F.col("other")).cast("int")}).drop("main", "outer", "inner", "own", "other")
+
+
 def near_duplicates(docs: DataFrame, percent: int = PERCENT) -> DataFrame:
     """(doc_id, n_shingles, component_id, kept, text_hash) of every row."""
     texts = common.texts_of(docs)
@@ -277,59 +355,50 @@ def near_duplicates(docs: DataFrame, percent: int = PERCENT) -> DataFrame:
     tasks = int(spark.conf.get("spark.sql.shuffle.partitions"))  # by count, as small rows carry much work
     sketches = common.written(texts.withColumn("text_hash", F.xxhash64("text")).mapInArrow(_sketched, "doc_id long, text_hash long, n_shingles long, v long, registers binary"), "sketches")
     sets = sketches.where("v IS NOT NULL")
-    vertices = common.written(sets.groupBy("v").agg(F.min("doc_id").alias("low"), F.any_value("n_shingles").alias("n"), F.any_value("registers").alias("registers")), "vertices")
-
-    bands = vertices.select("v", "registers").mapInArrow(_banded, "bucket long, band int, v long")
-    shared = bands.groupBy("bucket").agg(F.count("*").alias("n")).where("n > 1")
-    salt = lambda n: F.when(n <= BLOCK, 0).otherwise(F.pmod(F.xxhash64("v", F.lit(8)), F.ceil(n / (BLOCK // 2)).cast("long"))).cast("long")
-    members = common.written(bands.join(shared, "bucket").select("bucket", "band", "v", "n", salt(F.col("n")).alias("block")), "members")
-
-    least, tested, links, labels = plausible(percent), None, None, None
-
-    def labelled() -> DataFrame:
-        if labels is None:
-            return members.withColumn("comp", F.col("v"))
-        return members.join(labels, "v", "left").withColumn("comp", F.coalesce("comp", "v"))
-
-    def test(blocks: DataFrame, forest: bool) -> bool:
-        """Confirms the blocks' plausible pairs; whether that gave links."""
-        nonlocal tested, links, labels
-        mixed = blocks.groupBy("bucket", "block").agg(F.min("comp").alias("c0"), F.max("comp").alias("c1")).where("c0 <> c1").select("bucket", "block")
-        rows = blocks.join(mixed, ["bucket", "block"]).join(vertices.select("v", "registers", F.col("n").alias("n_shingles")), "v")
-        rows = rows.select("bucket", "block", "v", "comp", "outer", "registers", "band", "n_shingles").repartition(tasks, "bucket", "block").sortWithinPartitions("bucket", "block", "v")
-        pairs = rows.mapInArrow(_pairs_of_blocks(least, forest), "a long, b long").distinct()
-        if tested is not None:
-            pairs = pairs.join(tested, ["a", "b"], "left_anti")
-        pairs = common.written(pairs, "pairs")
-        if pairs.isEmpty():
-            return False
-        wanted = pairs.select(F.col("a").alias("v")).union(pairs.select(F.col("b").alias("v"))).distinct()
-        ids = wanted.join(vertices.select("v", "low"), "v").select(F.col("low").alias("doc_id"))
-        chosen = spark.sparkContext.broadcast(_slots_set(ids))
-        found = texts.select(_slot(), "text").mapInArrow(_hashed(chosen), "v long, hashes binary").join(wanted, "v", "left_semi").dropDuplicates(["v"])
-        found = common.written(found, "shingles")
-        a, b = (found.select(F.col("v").alias(k), F.col("hashes").alias(f"h{k}")) for k in "ab")
-        good = pairs.join(a, "a").join(b, "b").select("a", "b", "ha", "hb").mapInArrow(_confirmed(percent), "a long, b long")
-        good = common.written(good, "links")
-        tested = pairs if tested is None else tested.union(pairs)
-        if good.isEmpty():
-            return False
-        links = good if links is None else links.union(good)
-        labels = components(links)
-        return True
-
-    inner = lambda: labelled().withColumn("outer", F.lit(False))
-    test(inner(), forest=True)
-    test(inner(), forest=False)  # also where the forest gave no link: it leaves pairs out
-    rows = labelled().where(F.col("n") > BLOCK)
-    sizes = rows.groupBy("bucket", "comp").agg(F.count("*").alias("size"))
-    main = sizes.groupBy("bucket").agg(F.max(F.struct("size", "comp"))["comp"].alias("main"), F.count("*").alias("comps")).where("comps > 1")
-    main = common.written(main.drop("comps"), "mixed-buckets")
-    if not main.isEmpty():  # what a large bucket holds beside its main component, against all of its blocks
-        rows = rows.join(main, "bucket")
-        blocks = rows.select("bucket", "block").distinct()
-        outside = rows.where("comp <> main").drop("block").join(blocks, "bucket").withColumn("outer", F.lit(True))
-        test(rows.where("comp = main").withColumn("outer", F.lit(False)).unionByName(outside), forest=False)
+    vertices = common.written(sets.groupBy("v").agg(F.min("doc_id").alias("low"), F.any_value("n_shingles").alias("n_shingles"), F.any_value("registers").alias("registers")), "vertices")
+
+    bands, band = banding(percent)
+    found = vertices.select("v", "registers").mapInArrow(_banded(bands, band), "bucket long, band int, v long")
+    shared = found.groupBy("bucket").agg(F.count("*").alias("n")).where("n > 1")
+    salt = F.when(F.col("n") <= BLOCK, 0).otherwise(F.pmod(F.xxhash64("v", F.lit(8)), F.ceil(F.col("n") / (BLOCK // 2)).cast("long"))).cast("long")
+    members = common.written(found.join(shared, "bucket").select("bucket", "band", "v", "n", salt.alias("block")), "members")
+
+    def plausible_forest(blocks: DataFrame) -> DataFrame:
+        """blocks: bucket, block, band, v, comp, half."""
+        rows = blocks.join(vertices.select("v", "registers", "n_shingles"), "v")
+        rows = rows.select("bucket", "block", "v", "comp", "half", "registers", "band", "n_shingles").repartition(tasks, "bucket", "block").sortWithinPartitions("bucket", "block", "v")
+        return common.written(rows.mapInArrow(_forest_of_blocks(plausible(percent), bands, band), "a long, b long").distinct(), "pairs")
+
+    def labelled(rows: DataFrame, links: DataFrame | None) -> DataFrame:
+        """rows with `comp`, the component of v by the links so far."""
+        if links is None:
+            return rows.withColumn("comp", F.col("v"))
+        return rows.join(links, "v", "left").withColumn("comp", F.coalesce("comp", "v"))
+
+    pairs = plausible_forest(members.withColumns({"comp": F.col("v"), "half": F.lit(0)}))
+    links, labels = None, None
+    if not pairs.isEmpty():
+        hashes = _full_sets(texts, vertices, _ends(pairs))
+        a, b = (hashes.select(F.col("v").alias(k), F.col("hashes").alias(f"h{k}")) for k in "ab")
+        links = common.written(pairs.join(a, "a").join(b, "b").select("a", "b", "ha", "hb").mapInArrow(_confirmed(percent), "a long, b long"), "links")
+        labels = None if links.isEmpty() else components(links)
+
+        large = labelled(members.where(F.col("n") > BLOCK).drop("block", "n"), labels)
+        more = pairs.limit(0)
+        if not large.isEmpty():  # pairs that the blocks of a large bucket part
+            sized = large.withColumn("n_shingles", F.lit(1))
+            more = plausible_forest(_met_in_twos(sized, "bucket", BLOCK // 2, BLOCK // 2).drop("n_shingles"))
+        if not more.isEmpty():
+            pairs = pairs.union(more)
+            hashes = _full_sets(texts, vertices, _ends(pairs))
+
+        groups = components(pairs).withColumnRenamed("comp", "grp")
+        rest = _met_in_twos(labelled(groups, labels).join(vertices.select("v", "n_shingles"), "v"), "grp", TEST_ROWS, TEST_HASHES)
+        rest = rest.join(hashes, "v").select("grp", "block", "v", "comp", "half", "hashes")
+        late = common.written(rest.groupBy("grp", "block").applyInArrow(_links_of_blocks(percent), "a long, b long"), "links")
+        if not late.isEmpty():
+            links = links.union(late)
+            labels = components(links)
 
     named = vertices.select("v", "low")
     if labels is not None:

@@ -391,3 +391,33 @@ def test_weights_move_after_each_word():
     two = lm_scoring.mix_online(lm_scoring.decisions([[b"b"] * 2], code), 1, code, tables)[0]
     all_ = lm_scoring.mix_online(d, 1, code, tables)[0]
     assert all_ - two > 18 * (two - one)  # later words of a short text cost less
+
+
+def test_large_bucket_of_mostly_unlinked_members(spark, monkeypatch):
+    monkeypatch.setattr(near_dedup, "BLOCK", 8)
+    monkeypatch.setattr(near_dedup, "TEST_ROWS", 4)
+    random.seed(11)
+    base = [f"b{k}" for k in range(200)]
+    texts = []
+    for k in range(60):  # variants of one text, most of them below the threshold to each other
+        w = list(base)
+        for at in random.sample(range(200), 5 if k % 3 else 2):
+            w[at] = f"v{k}x{at}"
+        texts.append((k, " ".join(w)))
+    want = near_brute(texts)
+    assert len({c for _, _, c in want}) > 5  # several components remain
+    for percent in (80, 85):
+        got = near_dedup.near_duplicates(spark.createDataFrame(texts, "doc_id long, text string"), percent).collect()
+        assert Counter((r["doc_id"], r["n_shingles"], r["component_id"]) for r in got) == near_brute(texts, percent)
+
+
+def test_pairs_of_blocks_meet_once_and_none_is_lost(spark):
+    rows = [(1, k, 0 if k < 9 else k, 10) for k in range(20)] + [(2, k, 5, 10) for k in range(30, 40)]
+    got = near_dedup._met_in_twos(spark.createDataFrame(rows, "grp long, v long, comp long, n_shingles long"), "grp", 4, 1000).collect()
+    assert {r["grp"] for r in got} == {1}  # a group of one component is left out
+    met = Counter()
+    for block in {r["block"] for r in got}:
+        own = [r for r in got if r["block"] == block]
+        halves = {r["half"] for r in own}
+        met.update((min(a["v"], b["v"]), max(a["v"], b["v"])) for x, a in enumerate(own) for b in own[:x] if len(halves) == 1 or a["half"] != b["half"])
+    assert {p for p in met if p[1] >= 9} == {(a, b) for b in range(9, 20) for a in range(b)} and max(met.values()) == 1
