@@ -421,3 +421,36 @@ def test_pairs_of_blocks_meet_once_and_none_is_lost(spark):
         halves = {r["half"] for r in own}
         met.update((min(a["v"], b["v"]), max(a["v"], b["v"])) for x, a in enumerate(own) for b in own[:x] if len(halves) == 1 or a["half"] != b["half"])
     assert {p for p in met if p[1] >= 9} == {(a, b) for b in range(9, 20) for a in range(b)} and max(met.values()) == 1
+
+
+def test_decontamination_recall_of_paraphrases(spark, real, monkeypatch):
+    random.seed(7)
+    bench = [(r["item_id"], r["text"]) for r in spark.read.parquet(f"{SF}/benchmark.parquet").limit(12).collect()]
+    items = decontamination.items_of(bench)
+    filler = [w for r in real.limit(6).collect() for w in decontamination.words_of(r["text"] or "")]
+    texts = []
+    for k in range(36):
+        own = list(items[k % len(items)].words)
+        for at in random.sample(range(len(own)), max(1, len(own) * (k % 4) // 12)):
+            own[at] = random.choice(filler)
+        lead = random.randrange(120)
+        texts.append((k, " ".join(filler[lead : 2 * lead] + own + filler[200 : 200 + lead])))
+    every = decontamination.word_numbers(items)
+    want = set()
+    for doc, text in texts:
+        ids = [every.get(w, -1) for w in decontamination.words_of(text)]
+        for i in items:
+            t = decontamination.target_of(i, every)
+            n = len(t.words)
+            spans = [ids[a : a + n + n // 2 + 1] for a in range(len(ids))]
+            if any(decontamination.covered(t.words, s) >= decontamination.SAME * n for s in spans):
+                want.add((doc, i.item_id))
+    docs = spark.createDataFrame(texts, "doc_id long, text string").union(real.select("doc_id", "text").where("false"))
+    frame = spark.createDataFrame(bench, "item_id long, text string")
+    rows = decontamination.leaks(docs, frame).collect()
+    got = {(r["doc_id"], r["item_id"]) for r in rows if r["covered"] >= decontamination.SAME}
+    assert len(want) >= 20 and got <= want and len(got & want) >= 0.9 * len(want)
+    monkeypatch.setattr(decontamination, "BLOCK_WORDS", 90)  # several blocks of items
+    assert len(decontamination.item_blocks(bench)) > 2
+    again = decontamination.leaks(docs, frame).collect()
+    assert {(r["doc_id"], r["item_id"]) for r in again if r["covered"] >= decontamination.SAME} == got
