@@ -2,18 +2,21 @@
 
 A page is cut into blocks of text, each with the part of the page it stands in. Within a host, pages are
 ordered by URL path; each is aligned with its neighbours on either side by a longest common subsequence
-of block hashes, and blocks shared with a neighbour are deleted as the site's own, in every page alike. What
-the markup itself names as menu, header, footer, side bar, notice, advert, form, script, style or reader
-comment takes no part and goes in any case; where it names an article or main part, blocks outside that
-part are aligned like others but do not stand in the text. Two pages that share most of their blocks, or most
-blocks of their article or main parts, are copies, not a template, and delete nothing from each other.
+of block hashes, and blocks shared with a neighbour are deleted as the site's own, in every page alike. All
+blocks of all pages are aligned. The markup assists: what it names as menu, header, footer, side bar, notice,
+advert, form or reader comment goes even if no neighbour shares it, and so do blocks outside of an article or main
+part where a page names one; scripts and styles are no blocks. Two pages that share most of the blocks
+which the markup leaves, or most blocks of their article or main parts, are copies, not a template, and delete
+nothing from each other.
 
-Pages are sorted by range over (host, path), so a host with a third of all pages is split; the pages at
-the edges of neighbouring ranges are paired through a table of two rows a range.
+Only block hashes are sorted, by range over (host, path), so a host with a third of all pages is split; the pages at
+the edges of neighbouring ranges are paired through a table of two rows a range. A second reading of the pages
+takes the deletions by a key of the page's id, URL and content.
 
 Defined results: null html is empty and gives an empty text; a page without neighbour keeps all blocks not
-excluded by the markup, within its article or main part if it has one; unclosed and stray tags are borne; repeated pages are
-neighbours like others; ties in the order are settled by page_id; an empty table yields no rows.
+excluded by the markup, within its article or main part if it has one; unclosed and stray tags are borne; pages of
+any length are aligned whole; repeated rows are one page when aligned and get the same text; ties in the order are
+settled by page_id and content; columns beside page_id, url and html are not read; an empty table yields no rows.
 """
 
 from __future__ import annotations
@@ -22,6 +25,7 @@ import html as html_lib
 import re
 from collections.abc import Iterator
 
+import numpy as np
 import pyarrow as pa
 import xxhash
 from pyspark.sql import DataFrame, SparkSession
@@ -55,26 +59,28 @@ def _excluded(attributes: str) -> bool:
     return False
 
 
-def blocks(page: str) -> tuple[list[tuple[str, bool]], bool]:
-    """[(text, inside an article or main part)] of what the markup does not exclude; whether there is such a part."""
-    out: list[tuple[str, bool]] = []
+def blocks(page: str) -> tuple[list[tuple[str, bool, bool]], bool]:
+    """[(text, inside an article or main part, excluded by the markup)]; whether there is an article or main part."""
+    out: list[tuple[str, bool, bool]] = []
     parts: list[str] = []
+    dropped: list[str] = []
     stack: list[tuple[str, bool, bool]] = []  # name, excluded, main
     has_main = False
 
     def flush() -> None:
-        if parts:
-            text = _SPACE.sub(" ", html_lib.unescape("".join(parts))).strip()
-            if text:
-                out.append((text, bool(stack) and stack[-1][2]))
-            parts.clear()
+        for held, excluded in ((parts, False), (dropped, True)):
+            if held:
+                text = _SPACE.sub(" ", html_lib.unescape("".join(held))).strip()
+                if text:
+                    out.append((text, bool(stack) and stack[-1][2], excluded))
+                held.clear()
 
     at, n = 0, len(page)
     while at < n:
         m = _TOKEN.search(page, at)
         end = m.start() if m else n
-        if end > at and not (stack and stack[-1][1]):
-            parts.append(page[at:end])
+        if end > at:
+            (dropped if stack and stack[-1][1] else parts).append(page[at:end])
         if not m:
             break
         at = m.end()
@@ -96,7 +102,7 @@ def blocks(page: str) -> tuple[list[tuple[str, bool]], bool]:
             while stack and stack[-1][0] in INLINE and not stack[-1][1]:
                 stack.pop()
         elif name == "br":
-            parts.append(" ") if not (stack and stack[-1][1]) else None
+            (dropped if stack and stack[-1][1] else parts).append(" ")
         if name in VOID or m[2].endswith("/") and name not in MAIN:
             continue
         if name in RAW:
@@ -123,11 +129,14 @@ def blocks(page: str) -> tuple[list[tuple[str, bool]], bool]:
     return out, has_main
 
 
+ALIGNED_BITS = 1 << 30  # of rows held at once
+
+
 def common_subsequence(a: list[int], b: list[int]) -> list[int]:
     """Positions in a of a longest common subsequence of a and b, by bit-parallel rows.
 
-    Equal ends are cut off first and only lines of both sides are aligned; very long rests are halved,
-    so that memory stays bounded.
+    Equal ends are cut off first and only lines of both sides are aligned; where the rows would take more than
+    ALIGNED_BITS, b is parted at the place that half of a aligns with best, so that memory stays bounded.
     """
     head = 0
     while head < min(len(a), len(b)) and a[head] == b[head]:
@@ -137,93 +146,118 @@ def common_subsequence(a: list[int], b: list[int]) -> list[int]:
         tail += 1
     both = set(a[head : len(a) - tail]) & set(b[head : len(b) - tail])
     x = [k for k in range(head, len(a) - tail) if a[k] in both]
-    y = [v for v in b[head : len(b) - tail] if v in both]
     found: list[int] = []
-    step = max(1, (1 << 28) // max(1, len(y)))  # bits of rows held at once
-    for lo in range(0, len(x), step):
-        part = x[lo : lo + step]
-        where: dict[int, int] = {}
-        for k, v in enumerate(y):
-            where[v] = where.get(v, 0) | 1 << k
-        full = (1 << len(y)) - 1
-        row, rows = full, []
-        for k in part:
-            u = row & where[a[k]]
-            row = ((row + u) | (row - u)) & full
-            rows.append(row)
-        j, got = len(y) - 1, []
-        for i in range(len(part) - 1, -1, -1):
-            before = rows[i - 1] if i else full
-            # cells of row i where the length grows: zero bits; walk back to where this row adds one
-            while j >= 0 and rows[i] >> j & 1:
-                j -= 1
-            if j < 0:
-                break
-            if before >> j & 1:
-                got.append(part[i])
-                j -= 1
-        found += got[::-1]
-        if got:  # what follows aligns with what is left of b
-            used = j_end(y, [a[k] for k in found[-len(got):]])
-            y = y[used:]
-    return [*range(head), *found, *range(len(a) - tail, len(a))]
-
-
-def j_end(y: list[int], wanted: list[int]) -> int:
-    """Where the earliest embedding of `wanted` in y ends."""
-    at = 0
-    for v in wanted:
-        at = y.index(v, at) + 1
-    return at
+    waiting = [(x, [v for v in b[head : len(b) - tail] if v in both])]
+    while waiting:
+        x, y = waiting.pop()
+        if len(x) < 2 or len(x) * len(y) <= ALIGNED_BITS:
+            found += _aligned(a, x, y)
+            continue
+        half = len(x) // 2
+        before = _lengths([a[k] for k in x[:half]], y)
+        after = _lengths([a[k] for k in reversed(x[half:])], y[::-1])[::-1]
+        cut = int((before + after).argmax())
+        waiting += [(x[:half], y[:cut]), (x[half:], y[cut:])]
+    return [*range(head), *sorted(found), *range(len(a) - tail, len(a))]
+
+
+def _rows(values: list[int], y: list[int]) -> Iterator[int]:
+    """After each value, the bits of y's places where the common length does not grow."""
+    where: dict[int, int] = {}
+    for k, v in enumerate(y):
+        where[v] = where.get(v, 0) | 1 << k
+    full = row = (1 << len(y)) - 1
+    for v in values:
+        u = row & where.get(v, 0)
+        row = ((row + u) | (row - u)) & full
+        yield row
+
+
+def _lengths(values: list[int], y: list[int]) -> np.ndarray:
+    """Length of a longest common subsequence of values with each beginning of y."""
+    row = (1 << len(y)) - 1
+    for row in _rows(values, y):  # the last one counts
+        pass
+    bits = np.unpackbits(np.frombuffer(row.to_bytes(len(y) // 8 + 1, "little"), dtype=np.uint8), bitorder="little")[: len(y)]
+    return np.concatenate([[0], np.cumsum(1 - bits.astype(np.int64))])
+
+
+def _aligned(a: list[int], x: list[int], y: list[int]) -> list[int]:
+    """Which places x of a align with y."""
+    rows = list(_rows([a[k] for k in x], y))
+    j, got = len(y) - 1, []
+    for i in range(len(x) - 1, -1, -1):
+        before = rows[i - 1] if i else (1 << len(y)) - 1
+        while j >= 0 and rows[i] >> j & 1:  # walk back to where the length grows
+            j -= 1
+        if j < 0:
+            break
+        if before >> j & 1:  # it is this row that adds one
+            got.append(x[i])
+            j -= 1
+    return got
+
+
+INSIDE, EXCLUDED, TAGS = 1, 2, 2  # the last bits of a line's hash
 
 
 def _copies(shared: int, own: int, other: int) -> bool:
-    return shared * 5 >= 4 * max(own, other)
+    return own > 0 and other > 0 and shared * 5 >= 4 * max(own, other)
 
 
 def shared_lines(own: list[int], other: list[int]) -> set[int]:
-    """Positions of own lines that the other page shares, unless the two pages are copies; the last bit tells lines of a main part."""
+    """Positions of own lines that the other page shares, unless the two pages are copies."""
     if not own or not other:
         return set()
-    got = common_subsequence([x >> 1 for x in own], [x >> 1 for x in other])
-    mine, theirs = sum(x & 1 for x in own), sum(x & 1 for x in other)
-    if _copies(len(got), len(own), len(other)) or mine and theirs and _copies(sum(own[k] & 1 for k in got), mine, theirs):
+    got = common_subsequence([x >> TAGS for x in own], [x >> TAGS for x in other])
+    left = lambda lines: sum(not x & EXCLUDED for x in lines)
+    main = lambda lines: sum(x & (INSIDE | EXCLUDED) == INSIDE for x in lines)
+    both = [own[k] for k in got]
+    if any(_copies(count(both), count(own), count(other)) for count in (left, main)):
         return set()
     return set(got)
 
 
-def _line(text: str, inside: bool) -> int:
-    """A hash of a block; its last bit tells whether it stands in an article or main part."""
-    return xxhash.xxh3_64_intdigest(text) - (1 << 63) & ~1 | inside
+def _line(text: str, inside: bool, excluded: bool) -> int:
+    """A hash of a block; its last bits tell the part of the page."""
+    return (xxhash.xxh3_64_intdigest(text) >> TAGS + 1 << TAGS) | INSIDE * inside | EXCLUDED * excluded
 
 
-_PARSED = "row_id long, page_id long, url string, host string, path string, texts array<string>, lines array<long>"
+_LINED = "key long, page_id long, host string, path string, lines array<long>"
+_PAIRED = "key long, page_id long, lines array<long>, host string, part int, place string, gone array<int>"
 
 
-def _parsed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+def _lined(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Lines of each page and its place in the order of its host."""
     for batch in batches:
         rows = []
-        for row_id, page_id, url, page in zip(*(c.to_pylist() for c in batch.columns)):
-            found, has_main = blocks(page)
-            texts = [t if inside or not has_main else "" for t, inside in found]  # a block outside is aligned only
+        for key, page_id, url, page in zip(*(c.to_pylist() for c in batch.columns)):
             m = _URL.match(url or "")
             host, path = (m[1].lower(), m[2]) if m else ("", url or "")
-            rows.append((row_id, page_id, url, host, re.sub(r"\.html?$", "", path.rstrip("/")), texts, [_line(*f) for f in found]))
-        kinds = (pa.int64(), pa.int64(), pa.string(), pa.string(), pa.string(), pa.list_(pa.string()), pa.list_(pa.int64()))
-        yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(list(zip(*rows)) or [[]] * 7, kinds)], [f.split(" ")[0] for f in _PARSED.split(", ")])
+            rows.append((key, page_id, host, re.sub(r"\.html?$", "", path.rstrip("/")), [_line(*f) for f in blocks(page)[0]]))
+        yield _batch(rows, _LINED, (pa.int64(), pa.int64(), pa.string(), pa.string(), pa.list_(pa.int64())))
+
+
+def _texts(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """The blocks that may stand in each page's text; others are empty, so that places stay."""
+    for batch in batches:
+        rows = []
+        for key, page_id, url, page in zip(*(c.to_pylist() for c in batch.columns)):
+            found, has_main = blocks(page)
+            rows.append((key, page_id, url, ["" if excluded or has_main and not inside else t for t, inside, excluded in found]))
+        yield _batch(rows, "key long, page_id long, url string, texts array<string>", (pa.int64(), pa.int64(), pa.string(), pa.list_(pa.string())))
 
 
-_PAIRED = "row_id long, lines array<long>, host string, part int, place string, gone array<int>"
+def _batch(rows: list[tuple], schema: str, kinds: tuple) -> pa.RecordBatch:
+    return pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(list(zip(*rows)) or [[]] * len(kinds), kinds)], [f.split(" ")[0] for f in schema.split(", ")])
 
 
 def _paired(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Rows of one sorted range with the lines to delete; the first and last row are told by `place` and keep their lines."""
-    names = [f.split(" ")[0] for f in _PAIRED.split(", ")]
-    kinds = (pa.int64(), pa.list_(pa.int64()), pa.string(), pa.int32(), pa.string(), pa.list_(pa.int32()))
+    """Rows of one sorted range that lose lines, with these; the first and last row are told by `place` and keep their lines."""
 
     def out(rows):
-        rows = [(i, lines if place else [], host, part, place, sorted(gone)) for i, lines, host, part, place, gone in rows]
-        return pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(list(zip(*rows)) or [[]] * 6, kinds)], names)
+        rows = [(key, page_id, lines if place else [], host, part, place, sorted(gone)) for key, page_id, lines, host, part, place, gone in rows if place or gone]
+        return _batch(rows, _PAIRED, (pa.int64(), pa.int64(), pa.list_(pa.int64()), pa.string(), pa.int32(), pa.string(), pa.list_(pa.int32())))
 
     last = None
     for batch in batches:
@@ -231,45 +265,51 @@ def _paired(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for r in zip(*(c.to_pylist() for c in batch.columns)):
             row = [*r, "first" if last is None else "", set()]
             if last is not None:
-                if last[2] == row[2]:
-                    last[5] |= shared_lines(last[1], row[1])
-                    row[5] |= shared_lines(row[1], last[1])
+                if last[:2] == row[:2]:
+                    continue  # a repeated row
+                if last[3] == row[3]:
+                    last[6] |= shared_lines(last[2], row[2])
+                    row[6] |= shared_lines(row[2], last[2])
                 done.append(last)
             last = row
         yield out(done)
     if last is not None:
-        last[4] += "last"
+        last[5] += "last"
         yield out([last])
 
 
 def _edges(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for batch in batches:
-        more = [sorted(shared_lines(own or [], other or [])) for own, other in zip(batch.column(1).to_pylist(), batch.column(2).to_pylist())]
-        yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(more, pa.list_(pa.int32()))], ["row_id", "gone"])
+        more = [sorted(shared_lines(own or [], other or [])) for own, other in zip(batch.column(2).to_pylist(), batch.column(3).to_pylist())]
+        yield pa.RecordBatch.from_arrays([*batch.columns[:2], pa.array(more, pa.list_(pa.int32()))], ["key", "page_id", "gone"])
 
 
-def main_texts(pages: DataFrame) -> DataFrame:
-    """(page_id, url, text, n_chars) of every row."""
-    src = pages.select(F.monotonically_increasing_id().alias("row_id"), F.col("page_id").cast("long").alias("page_id"), F.col("url").cast("string").alias("url"), F.coalesce(F.col("html"), F.lit("")).alias("html"))
-    parsed = common.written(src.mapInArrow(_parsed, _PARSED), "pages")
-    loose = parsed.where("size(lines) > 0")
-    order = ["host", "path", "page_id", "row_id"]
-    ranged = loose.select("row_id", "lines", "host", "path", "page_id").repartitionByRange(*order).sortWithinPartitions(*order)
-    paired = common.written(ranged.select("row_id", "lines", "host", F.spark_partition_id().alias("part")).mapInArrow(_paired, _PAIRED), "paired")
+def deleted_lines(pages: DataFrame) -> DataFrame:
+    """(key, page_id, gone): the places of the lines that pages (key, page_id, url, html) share with a neighbour."""
+    lined = common.written(pages.mapInArrow(_lined, _LINED).where("size(lines) > 0"), "lines")
+    order = ["host", "path", "page_id", "key"]
+    ranged = lined.repartitionByRange(*order).sortWithinPartitions(*order)
+    paired = common.written(ranged.select("key", "page_id", "lines", "host", F.spark_partition_id().alias("part")).mapInArrow(_paired, _PAIRED), "paired")
     # Two rows a range: the last page of one is the neighbour of the first page of the next range that has pages.
-    ends = paired.where("place <> ''").select("row_id", "part", "place", "host", "lines")
+    ends = paired.where("place <> ''").select("key", "page_id", "part", "place", "host", "lines")
     firsts = ends.where("place LIKE 'first%'")
     follow = firsts.select("part", F.lead("part").over(Window.orderBy("part")).alias("next_part"))
-    heads = firsts.select(F.col("part").alias("next_part"), F.col("host").alias("next_host"), F.col("lines").alias("next_lines"), F.col("row_id").alias("next_row"))
+    heads = firsts.select(F.col("part").alias("next_part"), F.col("host").alias("next_host"), F.col("lines").alias("next_lines"), F.col("key").alias("next_key"), F.col("page_id").alias("next_id"))
     met = ends.where("place LIKE '%last'").join(follow, "part").join(heads, "next_part").where(F.col("host") == F.col("next_host"))
-    both = met.select("row_id", "lines", F.col("next_lines").alias("other")).union(met.select("next_row", "next_lines", "lines"))
-    more = both.mapInArrow(_edges, "row_id long, gone array<int>")
-    gone = paired.select("row_id", "gone").union(more).where("size(gone) > 0").groupBy("row_id").agg(F.flatten(F.collect_list("gone")).alias("gone"))
-    cut = loose.join(gone, "row_id", "left")
-    kept = F.filter(F.col("texts"), lambda t, k: (t != "") & ~F.coalesce(F.array_contains("gone", k), F.lit(False)))
-    found = parsed.where("size(lines) = 0").select("page_id", "url", "texts").unionByName(cut.select("page_id", "url", kept.alias("texts")))
-    text = F.concat_ws("\n\n", "texts")
-    return found.select("page_id", "url", text.alias("text"), F.length(text).cast("long").alias("n_chars"))
+    both = met.select("key", "page_id", "lines", F.col("next_lines").alias("other")).union(met.select("next_key", "next_id", "next_lines", "lines"))
+    more = both.mapInArrow(_edges, "key long, page_id long, gone array<int>")
+    return paired.select("key", "page_id", "gone").union(more).where("size(gone) > 0").groupBy("key", "page_id").agg(F.flatten(F.collect_list("gone")).alias("gone"))
+
+
+def main_texts(pages: DataFrame) -> DataFrame:
+    """(page_id, url, text, n_chars) of every row."""
+    src = pages.select(F.col("page_id").cast("long").alias("page_id"), F.col("url").cast("string").alias("url"), F.coalesce(F.col("html"), F.lit("")).alias("html"))
+    src = src.select(F.xxhash64("page_id", "url", "html").alias("key"), "page_id", "url", "html")
+    gone = deleted_lines(src).select(F.col("key").alias("gone_key"), F.col("page_id").alias("gone_id"), "gone")
+    found = src.mapInArrow(_texts, "key long, page_id long, url string, texts array<string>")
+    cut = found.join(gone, (F.col("key") == F.col("gone_key")) & F.col("page_id").eqNullSafe(F.col("gone_id")), "left")
+    text = F.concat_ws("\n\n", F.filter("texts", lambda t, k: (t != "") & ~F.coalesce(F.array_contains("gone", k), F.lit(False))))
+    return cut.select("page_id", "url", text.alias("text"), F.length(text).cast("long").alias("n_chars"))
 
 
 def op6_url_differencing(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -454,3 +454,45 @@ def test_decontamination_recall_of_paraphrases(spark, real, monkeypatch):
     assert len(decontamination.item_blocks(bench)) > 2
     again = decontamination.leaks(docs, frame).collect()
     assert {(r["doc_id"], r["item_id"]) for r in again if r["covered"] >= decontamination.SAME} == got
+
+
+def test_long_pages_are_aligned_whole(monkeypatch):
+    random.seed(4)
+    for bits in (1, 40):
+        monkeypatch.setattr(html_text, "ALIGNED_BITS", 1 << 30)
+        pairs = [[[random.randrange(6) for _ in range(random.randrange(40))] for _ in range(2)] for _ in range(150)]
+        want = [len(html_text.common_subsequence(a, b)) for a, b in pairs]
+        monkeypatch.setattr(html_text, "ALIGNED_BITS", bits)  # parted again and again
+        for (a, b), n in zip(pairs, want):
+            got = [a[k] for k in html_text.common_subsequence(a, b)]
+            it = iter(b)
+            assert all(x in it for x in got) and len(got) == n
+
+
+def test_differencing_of_real_pages_against_brute_force(spark):
+    pages = spark.read.parquet("/root/testdata/sf0.01/pages.parquet")
+    rows = []
+    for r in pages.collect():
+        m = html_text._URL.match(r["url"])
+        path = m[2].rstrip("/")
+        path = path[: -len(".html")] if path.endswith(".html") else path[: -len(".htm")] if path.endswith(".htm") else path
+        rows.append((m[1].lower(), path, r["page_id"], [(html_text._line(t, False, False), i, x) for t, i, x in html_text.blocks(r["html"])[0]]))
+    rows.sort(key=lambda r: r[:3])
+
+    def common_length(a, b):
+        table = [[0] * (len(b) + 1) for _ in range(len(a) + 1)]
+        for i in range(len(a)):
+            for j in range(len(b)):
+                table[i + 1][j + 1] = table[i][j] + 1 if a[i] == b[j] else max(table[i][j + 1], table[i + 1][j])
+        return table[-1][-1]
+
+    deleted = {r["page_id"]: set(r["gone"]) for r in html_text.deleted_lines(pages.select(F.xxhash64("page_id", "url", "html").alias("key"), "page_id", "url", "html")).collect()}
+    lone = 0
+    for k, (host, _, page_id, lines) in enumerate(rows):
+        near = [rows[j] for j in (k - 1, k + 1) if 0 <= j < len(rows) and rows[j][0] == host]
+        if len(near) == 1:  # all that is deleted comes from this neighbour
+            lone += 1
+            got = deleted.get(page_id, set())
+            whole = common_length([x for x, _, _ in lines], [x for x, _, _ in near[0][3]])
+            assert len(got) in (0, whole)
+    assert lone > 5 and sum(map(len, deleted.values())) > 50
