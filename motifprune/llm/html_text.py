@@ -5,7 +5,8 @@ ordered by URL path; each is aligned with its neighbours on either side by a lon
 of block hashes, and blocks shared with a neighbour are deleted as the site's own, in every page alike. All
 blocks of all pages are aligned. The markup assists: what it names as menu, header, footer, side bar, notice,
 advert, form or reader comment goes even if no neighbour shares it, and so do blocks outside of an article or main
-part where a page names one; scripts and styles are no blocks. Two pages that share most of the blocks
+part where a page names one; paragraphs, headings and items of such a part stay, as articles share passages, and its
+other blocks are deleted like any; scripts and styles are no blocks. Two pages that share most of the blocks
 which the markup leaves, or most blocks of their article or main parts, are copies, not a template, and delete
 nothing from each other.
 
@@ -44,6 +45,7 @@ MARKED = frozenset(
     "ad ads adbox adslot advert adverts advertisement advertising banner cookie cookies consent notice notices sidebar comment comments replies reply disqus menu nav navbar navigation "
     "breadcrumb breadcrumbs share sharing social related promo promotion sponsor sponsored newsletter subscribe subscription popup modal overlay footer header masthead widget contentinfo complementary search alert dialog".split()
 )
+PROSE = frozenset("p h1 h2 h3 h4 h5 h6 li dt dd blockquote pre figcaption td th".split())
 CLOSES_P = frozenset("address article aside blockquote div dl fieldset footer form h1 h2 h3 h4 h5 h6 header hr main menu nav ol p pre section table ul".split())
 
 _TOKEN = re.compile(r"<!--.*?(?:-->|\Z)|<[!?][^>]*>|</?([A-Za-z][^\s/>]*)((?:\"[^\"]*\"|'[^']*'|[^'\">])*)>", re.S)
@@ -59,20 +61,22 @@ def _excluded(attributes: str) -> bool:
     return False
 
 
-def blocks(page: str) -> tuple[list[tuple[str, bool, bool]], bool]:
-    """[(text, inside an article or main part, excluded by the markup)]; whether there is an article or main part."""
-    out: list[tuple[str, bool, bool]] = []
+def blocks(page: str) -> tuple[list[tuple[str, bool, bool, bool]], bool]:
+    """[(text, inside an article or main part, excluded by the markup, prose of such a part)]; whether there is such a part."""
+    out: list[tuple[str, bool, bool, bool]] = []
     parts: list[str] = []
     dropped: list[str] = []
     stack: list[tuple[str, bool, bool]] = []  # name, excluded, main
     has_main = False
 
     def flush() -> None:
+        inside = bool(stack) and stack[-1][2]
+        prose = inside and next((name for name, _, _ in reversed(stack) if name not in INLINE), "") in PROSE
         for held, excluded in ((parts, False), (dropped, True)):
             if held:
                 text = _SPACE.sub(" ", html_lib.unescape("".join(held))).strip()
                 if text:
-                    out.append((text, bool(stack) and stack[-1][2], excluded))
+                    out.append((text, inside, excluded, prose))
                 held.clear()
 
     at, n = 0, len(page)
@@ -198,7 +202,7 @@ def _aligned(a: list[int], x: list[int], y: list[int]) -> list[int]:
     return got
 
 
-INSIDE, EXCLUDED, TAGS = 1, 2, 2  # the last bits of a line's hash
+INSIDE, EXCLUDED, KEPT, TAGS = 1, 2, 4, 3  # the last bits of a line's hash
 
 
 def _copies(shared: int, own: int, other: int) -> bool:
@@ -215,12 +219,12 @@ def shared_lines(own: list[int], other: list[int]) -> set[int]:
     both = [own[k] for k in got]
     if any(_copies(count(both), count(own), count(other)) for count in (left, main)):
         return set()
-    return set(got)
+    return {k for k in got if not own[k] & KEPT}
 
 
-def _line(text: str, inside: bool, excluded: bool) -> int:
+def _line(text: str, inside: bool, excluded: bool, prose: bool) -> int:
     """A hash of a block; its last bits tell the part of the page."""
-    return (xxhash.xxh3_64_intdigest(text) >> TAGS + 1 << TAGS) | INSIDE * inside | EXCLUDED * excluded
+    return (xxhash.xxh3_64_intdigest(text) >> TAGS + 1 << TAGS) | INSIDE * inside | EXCLUDED * excluded | KEPT * (prose and not excluded)
 
 
 _LINED = "key long, page_id long, host string, path string, lines array<long>"
@@ -244,7 +248,7 @@ def _texts(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         rows = []
         for key, page_id, url, page in zip(*(c.to_pylist() for c in batch.columns)):
             found, has_main = blocks(page)
-            rows.append((key, page_id, url, ["" if excluded or has_main and not inside else t for t, inside, excluded in found]))
+            rows.append((key, page_id, url, ["" if excluded or has_main and not inside else t for t, inside, excluded, _ in found]))
         yield _batch(rows, "key long, page_id long, url string, texts array<string>", (pa.int64(), pa.int64(), pa.string(), pa.list_(pa.string())))
 
 

@@ -476,7 +476,7 @@ def test_differencing_of_real_pages_against_brute_force(spark):
         m = html_text._URL.match(r["url"])
         path = m[2].rstrip("/")
         path = path[: -len(".html")] if path.endswith(".html") else path[: -len(".htm")] if path.endswith(".htm") else path
-        rows.append((m[1].lower(), path, r["page_id"], [(html_text._line(t, False, False), i, x) for t, i, x in html_text.blocks(r["html"])[0]]))
+        rows.append((m[1].lower(), path, r["page_id"], [(hash(t), prose and not out) for t, _, out, prose in html_text.blocks(r["html"])[0]]))
     rows.sort(key=lambda r: r[:3])
 
     def common_length(a, b):
@@ -493,6 +493,7 @@ def test_differencing_of_real_pages_against_brute_force(spark):
         if len(near) == 1:  # all that is deleted comes from this neighbour
             lone += 1
             got = deleted.get(page_id, set())
-            whole = common_length([x for x, _, _ in lines], [x for x, _, _ in near[0][3]])
-            assert len(got) in (0, whole)
+            whole = common_length([x for x, _ in lines], [x for x, _ in near[0][3]])
+            assert len(got) <= whole and not any(lines[j][1] for j in got)
+            assert got or not whole or all(kept for _, kept in lines) or whole <= sum(kept for _, kept in lines) or 5 * whole >= 4 * len(lines)
     assert lone > 5 and sum(map(len, deleted.values())) > 50
