@@ -7,7 +7,8 @@ the kernel is linear in presence cells, landmarks and coefficients fold into one
 languages, and a batch of whole texts is scored by one product with it.
 
 The model is fitted on a sample of at most TRAIN_ROWS labelled rows, dealt evenly to the languages by a
-hash of the id; every text is scored.
+hash of the id (the LANGUAGES most frequent ones are learnt; of the rest no row is in the sample); every text is scored
+whole, however long.
 
 Defined results: a text that is null or has no letter is `und` with score 0, and so is any text if there
 is nothing to learn from; rows whose lang is null teach nothing; ties go to the language first in
@@ -29,7 +30,7 @@ from pyspark.sql import types as T
 from motifprune.llm import common
 
 CELL_BITS, ORDERS = 15, (1, 2, 3, 4)
-TRAIN_ROWS, LANDMARKS, LANGUAGES, RIDGE, SHARPNESS = 2400, 160, 200, 1e-4, 4.0
+TRAIN_ROWS, LANDMARKS, LANGUAGES, RIDGE, SHARPNESS, FIT_ROWS = 2400, 160, 200, 1e-4, 4.0, 128
 UNKNOWN = "und"
 _LETTER = re.compile(r"[^\W\d_]")
 _FACTORS = np.array([0x9E3779B1, 0x85EBCA77, 0xC2B2AE3D, 0x27D4EB2F], dtype=np.uint32)
@@ -60,20 +61,28 @@ class KernelModel:
         return (cells.astype(np.float32) @ self.weights) / norms[:, None]
 
 
-def fit_kernel(cells: np.ndarray, langs: list[str], landmarks: int = LANDMARKS, ridge: float = RIDGE) -> KernelModel:
-    """cells: texts x cells; the first texts of each language in turn serve as landmarks."""
+def _unit(packed: list[bytes]) -> np.ndarray:
+    """Rows of unit length of packed presence cells."""
+    rows = np.unpackbits(np.frombuffer(b"".join(packed), dtype=np.uint8).reshape(len(packed), -1), axis=1).astype(np.float32)
+    return rows / np.sqrt(np.maximum(1, rows.sum(axis=1, keepdims=True)))
+
+
+def fit_kernel(packed: list[bytes], langs: list[str], landmarks: int = LANDMARKS, ridge: float = RIDGE) -> KernelModel:
+    """packed: packed presence cells of each text; the first texts of each language in turn serve as landmarks.
+
+    Cells are unpacked FIT_ROWS texts at a time, so the driver holds landmarks and kernel values only.
+    """
     names = tuple(sorted(set(langs)))
     label = np.array([names.index(x) for x in langs])
-    unit = cells.astype(np.float32)
-    unit /= np.sqrt(np.maximum(1, unit.sum(axis=1)))[:, None]
     chosen = np.concatenate([np.flatnonzero(label == k)[: max(1, landmarks // len(names))] for k in range(len(names))])
-    marks = unit[chosen]
-    across, among = (unit @ marks.T).astype(np.float64), (marks @ marks.T).astype(np.float64)
+    marks = _unit([packed[k] for k in chosen])
+    across = np.concatenate([_unit(packed[a : a + FIT_ROWS]) @ marks.T for a in range(0, len(packed), FIT_ROWS)]).astype(np.float64)
+    among = (marks @ marks.T).astype(np.float64)
     target = np.where(label[:, None] == np.arange(len(names)), 1.0, -1.0)
     balance = (1 / np.bincount(label, minlength=len(names)))[label][:, None]  # each language weighs the same
     left = across.T @ (across * balance) + ridge * (among + 1e-6 * np.eye(len(chosen)))
-    alpha = np.linalg.lstsq(left, across.T @ (target * balance), rcond=None)[0]
-    return KernelModel(names, (marks.T @ alpha).astype(np.float32))
+    alpha = np.linalg.lstsq(left, across.T @ (target * balance), rcond=None)[0].astype(np.float32)
+    return KernelModel(names, marks.T @ alpha)
 
 
 def train(docs: DataFrame, rows: int = TRAIN_ROWS) -> KernelModel | None:
@@ -94,10 +103,10 @@ def train(docs: DataFrame, rows: int = TRAIN_ROWS) -> KernelModel | None:
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(cells, pa.binary())], ["order", "lang", "cells"])
 
     picked = labelled.where(spread < share).select(spread.alias("order"), "lang", "text")
-    got = sorted((r["order"], r["lang"], bytes(r["cells"])) for r in picked.mapInArrow(packed, "order long, lang string, cells binary").collect())[: 2 * rows]
+    got = sorted((r["order"], r["lang"], bytes(r["cells"])) for r in picked.mapInArrow(packed, "order long, lang string, cells binary").collect())[:rows]
     if not got:
         return None
-    return fit_kernel(np.stack([np.unpackbits(np.frombuffer(c, dtype=np.uint8)).astype(bool) for _, _, c in got]), [x for _, x, _ in got])
+    return fit_kernel([c for _, _, c in got], [x for _, x, _ in got])
 
 
 def predict(docs: DataFrame, model: KernelModel | None, keep: tuple[str, ...] = ("doc_id",)) -> DataFrame:

@@ -8,7 +8,8 @@ The model is fitted on a sample of at most TRAIN_ROWS labelled rows, chosen by a
 
 Defined results: a null text counts as empty and is scored as such; ids labelled several times count
 with their mean label; without labels, or with labels of one kind only, every score is the share of
-label 1 (0.5 if none); repeated rows are scored alike; other columns are not read.
+label 1 (0.5 if none); texts of any length are scored whole; repeated rows are scored alike; other columns are
+not read.
 """
 
 from __future__ import annotations

@@ -9,8 +9,13 @@ differ by one row at most. Members of a group larger than a shard stay spread ov
 A round's state has one row for each group and starting shard, never pairs of documents. Ranks are
 counted in two steps, within hashed buckets and over the buckets' sums, so no task sees a whole shard.
 
-Defined results: a null text has 8 bytes and the crc of the empty text, and equals the empty text; rows
-repeated with one id count each; an empty table gives no rows; fewer rows than shards leave shards empty.
+Only tables of one row a shard are broadcast by hint; the buckets' sums, whose number grows with the rows, are
+joined as the optimizer sees fit.
+
+Defined results: a null text has 8 bytes and the crc of the empty text, and equals the empty text; texts of any
+length count whole; ties go to the shard of the lowest number and then by id and text; rows repeated with one id
+count each; an empty table gives no rows; fewer rows than shards leave shards empty; columns beside doc_id and
+text are not read.
 """
 
 from __future__ import annotations
@@ -33,7 +38,7 @@ def _ranked(df: DataFrame, by: list[str], order: list[Column], spread: Column, b
     before = Window.partitionBy(*by).orderBy("rank_bucket").rowsBetween(Window.unboundedPreceding, -1)
     sums = sums.select(*by, "rank_bucket", F.coalesce(F.sum("rank_n").over(before), F.lit(0)).alias("rank_before"))
     own = F.row_number().over(Window.partitionBy(*by, "rank_bucket").orderBy(*order)) - 1
-    return df.withColumn("rank_own", own).join(F.broadcast(sums), [*by, "rank_bucket"]).withColumn("rank_no", F.col("rank_before") + F.col("rank_own")).drop("rank_bucket", "rank_own", "rank_before")
+    return df.withColumn("rank_own", own).join(sums, [*by, "rank_bucket"]).withColumn("rank_no", F.col("rank_before") + F.col("rank_own")).drop("rank_bucket", "rank_own", "rank_before")
 
 
 def propagate(state: DataFrame, quotas: list[int], rounds: int, buckets: int) -> DataFrame:
@@ -51,7 +56,7 @@ def propagate(state: DataFrame, quotas: list[int], rounds: int, buckets: int) ->
         whole = Window.partitionBy("target")
         share = asked.join(F.broadcast(free), "target").select("target", "part", F.floor(F.greatest("room", F.lit(0)) * F.col("asked") / F.greatest(F.sum("asked").over(whole), F.lit(1))).alias("share"))
         line = Window.partitionBy("target", "part").orderBy(F.desc("ask"), "linked", "home").rowsBetween(Window.unboundedPreceding, 0)
-        moved = wished.withColumn("upto", F.sum("ask").over(line)).join(F.broadcast(share), ["target", "part"])
+        moved = wished.withColumn("upto", F.sum("ask").over(line)).join(share, ["target", "part"])
         moved = moved.withColumn("moves", (F.col("ask") > 0) & (F.col("upto") <= F.col("share")))
         moved = common.written(moved.select("linked", "home", "w", F.when(F.col("moves"), F.col("target")).otherwise(F.col("shard")).alias("shard"), "moves"), "shard-state")
         state = moved.drop("moves")
@@ -74,8 +79,8 @@ def shard_rows(docs: DataFrame, shards: int = SHARDS, rounds: int = ROUNDS) -> D
     state = common.written(state.join(groups, "linked").withColumn("shard", F.col("home")), "shard-state")
     state = propagate(state, quotas, rounds, buckets)
 
-    placed = rows.join(state.select("linked", "home", "shard"), ["linked", "home"], "left")
-    spread = F.xxhash64("linked", "home")
+    placed = rows.join(state.select("linked", "home", "shard", "w"), ["linked", "home"], "left")
+    spread = F.xxhash64("linked", "home", F.pmod(F.xxhash64("doc_id"), F.ceil(F.col("w") / BUCKET_ROWS).cast("long")))  # a large group takes several buckets
     linked = _ranked(placed.where("shard IS NOT NULL"), ["shard"], [F.col("linked"), F.col("doc_id")], spread, buckets)
     quota = F.element_at(F.array(*map(F.lit, quotas)), F.col("shard") + 1)
     linked = common.written(linked.withColumn("stays", F.col("rank_no") < quota), "shard-linked")

@@ -10,7 +10,7 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
-from motifprune.llm import common, decontamination, exact_dedup, html_text, language_id, lm_scoring, near_dedup, packing, quality, sharding, token_output
+from motifprune.llm import common, decontamination, exact_dedup, html_text, language_id, lm_scoring, near_dedup, packing, quality, queries, sharding, token_output
 
 SF = "/root/testdata/sf0.001"
 SCHEMA = "doc_id long, text string, lang string, source string, n_chars long, kept boolean, score double, key string, shard int, v long"
@@ -497,3 +497,107 @@ def test_differencing_of_real_pages_against_brute_force(spark):
             assert len(got) <= whole and not any(lines[j][1] for j in got)
             assert got or not whole or all(kept for _, kept in lines) or whole <= sum(kept for _, kept in lines) or 5 * whole >= 4 * len(lines)
     assert lone > 5 and sum(map(len, deleted.values())) > 50
+
+
+#: The columns that each registered query promises.
+PROMISED = {
+    "op1": "doc_id piece start length ids_crc32 sequence_id offset",
+    "op2": "doc_id item_id",
+    "op3": "doc_id held_out score predicted",
+    "op4": "doc_id keep_id group_size kept text_sha256",
+    "op5": "doc_id start n_tokens ids_crc32",
+    "op6": "page_id url text n_chars",
+    "op7": "doc_id held_out n_tokens n_known train_tokens base_score score",
+    "op8": "doc_id n_shingles component_id kept",
+    "op9": "doc_id size text_crc32 law shard slot grown_shard",
+    "op10": "doc_id held_out lang_pred score",
+}
+
+
+def test_registered_queries_keep_their_contracts(spark):
+    ids = {r["doc_id"]: r["text"] or "" for r in spark.read.parquet(f"{SF}/documents.parquet").collect()}
+    crc = lambda k, m: zlib.crc32(str(k).encode()) % m
+    for name, query in queries.QUERIES.items():
+        op = name.split("_")[0]
+        frame = query(spark, SF)
+        assert set(PROMISED[op].split()) <= set(frame.columns), name
+        got = frame.collect()
+        if op not in ("op1", "op2", "op6"):
+            assert sorted(r["doc_id"] for r in got) == sorted(ids), name
+        if op == "op1":
+            by = {}
+            for r in got:
+                by.setdefault(r["sequence_id"], []).append((r["offset"], r["length"]))
+            assert all([o for o, _ in sorted(x)] == [sum(n for _, n in sorted(x)[:k]) for k in range(len(x))] and sum(n for _, n in x) <= 2048 for x in by.values())
+        if op in ("op3", "op7", "op10"):
+            rest, modulus = {"op3": (1, 3), "op7": (2, 7), "op10": (2, 4)}[op]
+            assert all(r["held_out"] == (crc(r["doc_id"], modulus) == rest) for r in got)
+        if op == "op3":
+            assert all(0 <= r["score"] <= 1 and r["predicted"] == (r["score"] >= 0.5) for r in got)
+        if op == "op5":
+            at = 0
+            for r in sorted(got, key=lambda r: r["doc_id"]):
+                assert r["start"] == at
+                at += r["n_tokens"]
+        if op == "op6":
+            assert len(got) == spark.read.parquet(f"{SF}/pages.parquet").count() and all(r["n_chars"] == len(r["text"]) for r in got)
+        if op == "op8":
+            assert all(r["kept"] == (r["doc_id"] == r["component_id"]) for r in got)
+        if op == "op9":
+            assert {r["law"] for r in got} == {"rows"} and all(r["size"] == len(ids[r["doc_id"]].encode()) + 8 and r["grown_shard"] is None for r in got)
+
+
+def test_sharding_cuts_no_more_edges_than_plain_propagation(spark):
+    """Against propagation of one row at a time under the same quotas, over groups of equal texts."""
+    random.seed(3)
+    rows = [(k, f"g{random.randrange(40)}" if k % 2 else f"u{k}") for k in range(480)]
+    got = {r["doc_id"]: r["shard"] for r in sharding.shard_rows(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    groups = {}
+    for k, t in rows:
+        groups.setdefault(t, []).append(k)
+
+    def cut(where):
+        return sum(where[a] != where[b] for g in groups.values() for x, a in enumerate(g) for b in g[:x])
+
+    home = {r["doc_id"]: r["home"] for r in spark.createDataFrame(rows, "doc_id long, text string").select("doc_id", F.pmod(F.xxhash64("doc_id"), F.lit(24)).alias("home")).collect()}
+    plain, load = dict(home), Counter(home.values())
+    for _ in range(sharding.ROUNDS):
+        for k, t in rows:
+            near = Counter(plain[x] for x in groups[t] if x != k)
+            if near:
+                to = max(near, key=lambda s: (near[s], -s))
+                if to != plain[k] and near[to] > near[plain[k]] and load[to] < 20:
+                    load[plain[k]] -= 1
+                    load[to] += 1
+                    plain[k] = to
+    assert cut(got) < cut(home) and cut(got) <= 1.25 * cut(plain)
+
+
+def test_selective_reads_of_tokens(spark, docs, rows):
+    path = common.shared_path(spark, "selective")
+    token_output.write_tokens(docs.where("doc_id IS NOT NULL"), path)
+    whole = Counter((r["doc_id"], tuple(r["tokens"])) for r in token_output.read_tokens(spark, path).collect())
+    some = token_output.read_documents(spark, path, 2, 5)
+    assert Counter((r["doc_id"], tuple(r["tokens"])) for r in some.collect()) == Counter({k: n for k, n in whole.items() if 2 <= k[0] <= 5})
+    assert "PushedFilters: [IsNotNull(doc_id), GreaterThanOrEqual(doc_id,2), LessThanOrEqual(doc_id,5)]" in some._jdf.queryExecution().toString()
+    sizes = token_output.read_sizes(spark, path)
+    assert ",tokens:" not in sizes._jdf.queryExecution().executedPlan().toString()
+    assert Counter((r["doc_id"], r["n_tokens"]) for r in sizes.collect()) == Counter({(k, len(t)): n for (k, t), n in whole.items()})
+
+
+def test_packing_in_several_groups(spark, monkeypatch):
+    monkeypatch.setattr(packing, "PIECES_PER_GROUP", 300)
+    lengths = np.random.default_rng(3).integers(1, 2049, 2000).tolist()
+    frame = spark.createDataFrame(list(enumerate(lengths)), "doc_id long, length long").withColumn("piece", F.lit(0))
+    got = packing.pack(frame).collect()
+    assert sorted((r["doc_id"], r["length"]) for r in got) == list(enumerate(lengths))
+    by = {}
+    for r in got:
+        by.setdefault(r["sequence_id"], []).append((r["offset"], r["length"]))
+    for x in by.values():
+        at = 0
+        for o, n in sorted(x):
+            assert o == at
+            at += n
+        assert at <= packing.CAPACITY
+    assert len(by) <= 1.03 * sum(lengths) / packing.CAPACITY
