@@ -27,7 +27,7 @@ def test_pipeline_against_brute_force(spark):
     ids = sorted(left)
     for i, a in enumerate(ids):
         for b in ids[:i]:
-            if sets[a] and 100 * len(sets[a] & sets[b]) >= 85 * len(sets[a] | sets[b]):
+            if sets[a] and 100 * len(sets[a] & sets[b]) >= corpus_pipeline.PERCENT * len(sets[a] | sets[b]):
                 x, y = top(a), top(b)
                 root[max(x, y)] = min(x, y)
     left = {k: t for k, t in left.items() if top(k) == k}
@@ -45,9 +45,20 @@ def test_stages_bear_awkward_rows(spark):
         assert docs.columns == list(corpus_pipeline.COLUMNS), name
         for empty in (docs.limit(0),):
             assert stage(spark, empty, SF).count() == 0
+        if name == "language_id":
+            assert all(r["lang"] for r in docs.collect())
     assert sorted((r["doc_id"] or 0, r["text"]) for r in docs.collect()) == [(0, "no id but words"), (3, "some words here"), (4, "other words there")]
 
 
+def test_last_stage_bears_awkward_rows(spark):
+    rows = [(None, "no id", "en", None, None), (1, None, "en", "s", 0), (2, "", None, None, 0), (3, "long " * 9000, "en", "s", 3), (3, "long " * 9000, "en", "s", 3)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, lang string, source string, n_chars long")
+    got = corpus_pipeline.STAGES[-1][1](spark, docs, SF).collect()
+    assert Counter(r["doc_id"] for r in got if r["piece"] == 0) == Counter(r[0] for r in rows)
+    assert sum(r["length"] for r in got if r["doc_id"] == 3) == 2 * (9000 + 2)
+    assert corpus_pipeline.STAGES[-1][1](spark, docs.limit(0), SF).count() == 0
+
+
 def test_registered_queries():
     assert {k.split("_")[0] for k in queries.QUERIES} == {f"op{n}" for n in range(1, 11)}
     assert [name for name, _ in corpus_pipeline.STAGES] == ["language_id", "exact_dedup", "near_dedup", "decontamination", "packing"]
