@@ -12,7 +12,7 @@ from pyspark.sql import functions as F
 
 from motifprune.llm import common, decontamination, exact_dedup, language_id, near_dedup, packing
 
-COLUMNS = common.DOCUMENT_COLUMNS
+COLUMNS, PERCENT = common.DOCUMENT_COLUMNS, 80
 
 
 def _without(docs: DataFrame, dropped: DataFrame, *keys: str) -> DataFrame:
@@ -22,9 +22,10 @@ def _without(docs: DataFrame, dropped: DataFrame, *keys: str) -> DataFrame:
 
 
 def identify_language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Texts of which no language can be told (null, or without a letter) go."""
+    """Texts of which no language can be told (null, or without a letter) go; where lang is null, the predicted one stands."""
     model = language_id.train(docs.select("doc_id", "text", "lang"))
-    return language_id.predict(docs, model, COLUMNS).where(F.col("lang_pred") != language_id.UNKNOWN).select(*COLUMNS)
+    kept = language_id.predict(docs, model, COLUMNS).where(F.col("lang_pred") != language_id.UNKNOWN)
+    return kept.withColumn("lang", F.coalesce("lang", "lang_pred")).select(*COLUMNS)
 
 
 def drop_exact_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -38,8 +39,8 @@ def drop_exact_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Data
 
 
 def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each group of near duplicates stays, the one with the smallest doc_id."""
-    found = near_dedup.near_duplicates(docs).where("NOT kept")
+    """One document of each group of near duplicates (five words, PERCENT or more) stays, the one with the smallest doc_id."""
+    found = near_dedup.near_duplicates(docs, PERCENT).where("NOT kept")
     named = docs.select(*COLUMNS).withColumn("text_hash", F.xxhash64(F.coalesce("text", F.lit(""))))
     return _without(named, found, "doc_id", "text_hash").select(*COLUMNS)
 
@@ -51,6 +52,7 @@ def drop_benchmark_leaks(spark: SparkSession, docs: DataFrame, sf_dir: str) -> D
 
 
 def pack_sequences(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Token pieces of what is left, with the sequence and offset of each."""
     return packing.pack(packing.token_pieces(docs))
 
 
