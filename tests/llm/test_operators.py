@@ -182,46 +182,107 @@ def test_language_model_scores(docs, rows):
     assert lm_scoring.score(docs.limit(0), learn).count() == 0
 
 
-def test_decisions_form_a_distribution():
-    code = lm_scoring.huffman([(b"", 9), (b"a", 5), (b"b", 3), (b"c", 1)], 4)
-    tables = np.random.default_rng(0).integers(-40, 40, (lm_scoring.TABLES, 1 << lm_scoring.TABLE_BITS)).astype(np.int8)
-    total = 0.0
-    for w in ([], [b"a"], [b"b"], [b"c"], [b"zz"]):  # first decisions of each symbol
-        d = lm_scoring.decisions([w], code)
-        keep = slice(0, int(code.lengths[d.symbols[0]]))
-        first = lm_scoring.Decisions(d.text[keep], d.block[keep], d.depth[keep], d.node[keep], d.bit[keep], d.slots[:, keep], d.symbols[:1], d.owner[:1], [])
-        total += 10 ** lm_scoring.mix_online(first, 1, code, tables)[0]
-    assert total == pytest.approx(1.0, abs=1e-9)
+def lm_odds(t, code, one, two, frequent=None):
+    """Odds of a chunk's tokens from counts of pairs: {key: count}."""
+    symbol_at, found = np.argsort(code.place), []
+    for own, counts in ((t.one, one), (t.two, two)):
+        keys = np.unique(np.array([*counts, *own[own >= 0]], dtype=np.int64))
+        found.append((keys, lm_scoring.path_odds(keys, np.array([counts.get(int(k), 0) for k in keys]), code, symbol_at)[0]))
+    nodes = len(code.node_odds)
+    return lm_scoring.odds_of(t, code, found, np.zeros((lm_scoring.FREQUENT + 1, nodes), dtype=np.int8) if frequent is None else frequent)
+
+
+def test_decisions_form_a_distribution(monkeypatch):
+    rng = np.random.default_rng(0)
+    for often in (0, 2):  # with the context in the table of pairs, and in that of frequent words
+        monkeypatch.setattr(lm_scoring, "FREQUENT", often)
+        code = lm_scoring.huffman([(b"", 9), (b"a", 5), (b"b", 3), (b"c", 1)], 4)
+        frequent = np.vstack([rng.integers(-40, 40, (often, len(code.node_odds))), np.zeros((1, len(code.node_odds)))]).astype(np.int8)
+        total, before = 0.0, lm_scoring.tokens_of(*lm_scoring.encoded([[b"b", b"a"]], code), code)
+        for w in ([b"b"], [b"b", b"a"], [b"b", b"b"], [b"b", b"c"], [b"b", b"zz"]):
+            t = lm_scoring.tokens_of(*lm_scoring.encoded([w], code), code)
+            keys = [{int(k[1]) >> 16 << 16 | p: n for p, n in enumerate((3, 0, 1, 7, 0))} if k[1] >= 0 else {} for k in (before.one, before.two)]
+            odds = lm_odds(t, code, *keys, frequent)
+            first = [lm_scoring.mix_online(lm_scoring.Tokens(np.array([n]), *(x[:n] for x in (t.owner, t.symbols, t.one, t.two, t.before, t.often)), t.rare), 1, code, lm_scoring.Odds(odds.flat, [b[:n] for b in odds.begin], frequent), lm_scoring.Start.plain())[0] for n in (1, 2)]
+            total += 10 ** (first[1] - first[0])  # of the second token, given the first
+        assert total == pytest.approx(1.0, abs=1e-9)
 
 
 def test_every_context_has_counts_of_its_own(spark, monkeypatch):
+    monkeypatch.setattr(lm_scoring, "FREQUENT", 3)
     rng = np.random.default_rng(3)
-    texts = [" ".join(f"w{k}" for k in rng.integers(0, 3000, 300)) for _ in range(120)]
-    frame = spark.createDataFrame([(k, t) for k, t in enumerate(texts)], "doc_id long, text string").repartition(4)
-    learn = F.col("doc_id") < 90
+    texts = [" ".join(f"w{k}" for k in rng.integers(0, 60, 200)) for _ in range(90)]
     words = [lm_scoring.words_of(t) for t in texts]
-    counts = Counter(w for t in words[:90] for w in t) + Counter({lm_scoring.END: 90})
-    code = lm_scoring.huffman(sorted(counts.items(), key=lambda x: (-x[1], x[0])), 1)
-    want = {}
-    d = lm_scoring.decisions(words[:90], code, lm_scoring.KEY_BITS)
-    for slots in d.slots:
-        for key, bit in zip(slots.tolist(), d.bit.tolist()):
-            want.setdefault(key, [0, 0])[bit] += 1
-    assert len(want) > 1 << lm_scoring.TABLE_BITS  # more than one table of fixed size can tell apart
+    counts = Counter(w for t in words[:60] for w in t) + Counter({lm_scoring.END: 60})
+    code = lm_scoring.huffman(sorted(counts.items(), key=lambda x: (-x[1], x[0]))[:50], 11)
+    want = {}  # by context and node, how often the decision went which way
+    for k, t in enumerate(words):
+        symbols = [code.symbols.get(w, code.rare) for w in (*t, lm_scoring.END)]
+        for j, s in enumerate(symbols):
+            for n in range(int(code.lengths[s])):
+                at = int(code.starts[s]) + n
+                for c in ((t[j - 1] if symbols[j - 1] < code.rare else t[j - 1][-2:]) if j else None,), tuple(t[x] if symbols[x] < code.rare else t[x][-2:] if x >= 0 else None for x in (j - 2, j - 1)) if j > 1 else (j,):
+                    want.setdefault((c, int(code.nodes[at])), [0, 0])[int(code.bits[at])] += k < 60
+    frame = spark.createDataFrame([(k, t, k < 60) for k, t in enumerate(texts)], "doc_id long, text string, learn boolean").repartition(4)
     shared = spark.sparkContext.broadcast(code)
-    placed = frame.select("doc_id", "text", learn.alias("learn"), F.pmod("doc_id", F.lit(5)).cast("long").alias("chunk")).cache()
-    odds = lm_scoring.context_odds(placed, shared, 7).collect()
-    for chunk in range(5):
-        own = [words[r["doc_id"]] for r in placed.where(F.col("chunk") == chunk).collect()]
-        _, keys = lm_scoring._cells(own, code)
-        got = np.frombuffer(b"".join(bytes(r["odds"]) for r in sorted((r for r in odds if r["chunk"] == chunk), key=lambda r: r["slice"])), dtype=np.int8)
-        zeros, ones = np.array([want.get(k, [0, 0]) for k in keys.tolist()]).T
-        assert (got == lm_scoring._eighths(zeros, ones)).all() and ((got == 0) == (zeros + ones == 0)).all() and (got == 0).any()
-    scores = lambda: {r["doc_id"]: round(r["score"], 6) for r in lm_scoring.score(frame, learn).collect()}
+    chunks = lm_scoring.placed(frame, shared).cache()
+    assert sorted(d for r in chunks.collect() for d in r["doc_id"]) == list(range(90))
+    answers = {(r["chunk"], r["slice"]): r for r in lm_scoring.answered(lm_scoring.sent(chunks, shared, 5), shared).collect()}
+    symbol_at = np.argsort(code.place)
+    tried = 0
+    for row in chunks.collect():
+        t = lm_scoring._row_tokens(row.asDict(), code)
+        (one, _), (two, _), (rare, _) = keys = lm_scoring._chunk_keys(t, np.zeros(len(t.sizes), dtype=bool))
+        owners = lm_scoring._slice_of(one, two, rare, 5)
+        got = {}
+        for name, k, owner in (("one", one, owners[0]), ("two", two, owners[1])):
+            for s in set(owner.tolist()):
+                odds, at = lm_scoring._unpacked(bytes(answers[row["chunk"], s][name]), "<i1"), 0
+                for key in k[owner == s].tolist():
+                    n = int(code.lengths[symbol_at[key & 0xFFFF]])
+                    got[name, key], at = odds[at : at + n], at + n
+                assert at == len(odds)
+        place = 0
+        for doc, size in zip(row["doc_id"], row["sizes"]):
+            w = words[doc]
+            for j in range(size):
+                s = int(t.symbols[place])
+                path = range(int(code.starts[s]), int(code.starts[s] + code.lengths[s]))
+                contexts = [("one", int(t.one[place]), ((w[j - 1] if t.symbols[place - 1] < code.rare else w[j - 1][-2:]) if j else None,))]
+                if j > 1:
+                    contexts.append(("two", int(t.two[place]), tuple(w[j - x] if t.symbols[place - x] < code.rare else w[j - x][-2:] for x in (2, 1))))
+                for name, key, context in contexts:
+                    if key >= 0:
+                        zeros, ones = np.array([want[context, int(code.nodes[at])] for at in path], dtype=float).reshape(-1, 2).T
+                        odds = lm_scoring._eighths(zeros, ones) * (2 * code.bits[path.start : path.stop] - 1)
+                        assert (got[name, key] == odds).all()
+                        tried += 1
+                place += 1
+    assert tried > 20_000
+    dense = lm_scoring.frequent_odds(chunks, shared)
+    seen = {}
+    for t in words[:60]:
+        last = None
+        for w in (*t, lm_scoring.END):
+            s = code.symbols.get(w, code.rare)
+            for at in range(int(code.starts[s]), int(code.starts[s] + code.lengths[s])) if last is not None else ():
+                seen.setdefault((last, int(code.nodes[at])), [0, 0])[int(code.bits[at])] += 1
+            last = s if s < 3 else last
+    for f in range(3):
+        for node in range(dense.shape[1]):
+            assert dense[f, node] == lm_scoring._eighths(*np.array(seen.get((f, node), [0, 0]), dtype=float).reshape(2, 1))[0]
+    assert not dense[3].any()
+
+
+def test_scores_do_not_depend_on_how_rows_are_dealt(spark, monkeypatch):
+    rng = np.random.default_rng(5)
+    texts = [" ".join(f"w{k}" for k in rng.zipf(1.3, n) % 2000) for n in [5, 30, 200, 1500] * 25]
+    frame = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string").repartition(4)
+    scores = lambda: {r["doc_id"]: (round(r["score"], 6), r["n_known"]) for r in lm_scoring.score(frame, F.col("doc_id") < 80).collect()}
     whole = scores()
-    monkeypatch.setattr(lm_scoring, "CHUNK_CHARS", 20_000)
-    monkeypatch.setattr(lm_scoring, "SLICE_CHARS", 9_000)
-    assert scores() == whole and len(whole) == 120
+    for name, value in (("CHUNK_CHARS", 4000), ("IN_STEP", 1), ("SLICE_TOKENS", 1500), ("SEGMENT", 700)):
+        monkeypatch.setattr(lm_scoring, name, value)
+    assert scores() == whole and len(whole) == 100
 
 
 def test_model_beats_unigrams_on_held_out_texts(spark):
@@ -384,13 +445,32 @@ def test_verbatim_items_are_found_below_the_cosine_bound(spark, monkeypatch):
 
 def test_weights_move_after_each_word():
     code = lm_scoring.huffman([(b"", 9), (b"a", 5), (b"b", 3)], 1)
-    d = lm_scoring.decisions([[b"b"] * 20], code)
-    tables = np.zeros((lm_scoring.TABLES, 1 << lm_scoring.TABLE_BITS), dtype=np.int8)
-    assert len(set(d.block.tolist())) == 21
-    one = lm_scoring.mix_online(lm_scoring.decisions([[b"b"]], code), 1, code, tables)[0]
-    two = lm_scoring.mix_online(lm_scoring.decisions([[b"b"] * 2], code), 1, code, tables)[0]
-    all_ = lm_scoring.mix_online(d, 1, code, tables)[0]
-    assert all_ - two > 18 * (two - one)  # later words of a short text cost less
+
+    def scored(n):
+        t = lm_scoring.tokens_of(*lm_scoring.encoded([[b"b"] * n], code), code)
+        return lm_scoring.mix_online(t, 1, code, lm_odds(t, code, {}, {}), lm_scoring.Start.plain())[0]
+
+    costs = np.diff([scored(n) for n in range(1, 22)])
+    assert (np.diff(costs) > 0).all()  # each word of a run costs less than the one before
+
+
+def test_starting_weights_are_learnt(monkeypatch):
+    monkeypatch.setattr(lm_scoring, "FREQUENT", 0)  # all contexts are in the table of pairs
+    rng = np.random.default_rng(9)
+    texts = []
+    for _ in range(60):  # pairs that always go together
+        pairs = rng.integers(0, 30, 120)
+        texts.append(" ".join(f"a{k} b{k}" for k in pairs))
+    words = [lm_scoring.words_of(t) for t in texts]
+    counts = Counter(w for t in words for w in t) + Counter({lm_scoring.END: len(words)})
+    code = lm_scoring.huffman(sorted(counts.items(), key=lambda x: (-x[1], x[0])), 1)
+    start = lm_scoring.learnt_start(texts, code)
+    again = lm_scoring.learnt_start(texts, code)
+    assert (start.weights == again.weights).all() and not np.allclose(start.weights, lm_scoring.Start.plain().weights)
+    t = lm_scoring.tokens_of(*lm_scoring.encoded(words[:20], code), code)
+    one, two = (dict(zip(*(x.tolist() for x in np.unique(k[k >= 0], return_counts=True)))) for k in (t.one, t.two))
+    odds = lm_odds(t, code, one, two)
+    assert lm_scoring.mix_online(t, 20, code, odds, start).sum() > lm_scoring.mix_online(t, 20, code, odds, lm_scoring.Start.plain()).sum()
 
 
 def test_large_bucket_of_mostly_unlinked_members(spark, monkeypatch):
