@@ -2,12 +2,14 @@
 
 from __future__ import annotations
 
+import gc
 import re
 import tempfile
 import uuid
 from array import array
 from functools import lru_cache
 
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -52,6 +54,20 @@ def written(df: DataFrame, tag: str) -> DataFrame:
     return spark.read.schema(schema).parquet(path)
 
 
+def sliced(batches, rows: int = 512):
+    """The batches in slices of some rows, so that a worker holds few texts as Python objects; gives memory back after each batch."""
+    for batch in batches:
+        for lo in range(0, max(1, batch.num_rows), rows):
+            yield batch.slice(lo, rows)
+        pa.default_memory_pool().release_unused()
+
+
+def swept(spark: SparkSession) -> None:
+    """Lets the driver collect its garbage now, which frees the shuffle files of finished steps that nothing holds."""
+    gc.collect()
+    spark.sparkContext._jvm.System.gc()
+
+
 def remainder_of(doc_id, modulus: int):
     """crc32 of the id's decimal text modulo `modulus`: how labelled rows are held out."""
     return F.pmod(F.crc32(doc_id.cast("string").cast("binary")), F.lit(modulus))

@@ -203,13 +203,11 @@ def numbered(texts: DataFrame, every: dict[str, int]) -> DataFrame:
 
     def cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         number = shared.value.get
-        for batch in batches:
-            for lo in range(0, batch.num_rows, 128):
-                part = batch.slice(lo, 128)
-                words = [words_of(t) for t in part.column(1).to_pylist()]
-                ends = np.cumsum([0, *map(len, words)], dtype=np.int32)
-                ids = np.fromiter((number(w, -1) for t in words for w in t), dtype=np.int32, count=ends[-1])
-                yield pa.RecordBatch.from_arrays([part.column(0), pa.ListArray.from_arrays(pa.array(ends), pa.array(ids))], ["doc_id", "words"])
+        for part in common.sliced(batches, 128):
+            words = [words_of(t) for t in part.column(1).to_pylist()]
+            ends = np.cumsum([0, *map(len, words)], dtype=np.int32)
+            ids = np.fromiter((number(w, -1) for t in words for w in t), dtype=np.int32, count=ends[-1])
+            yield pa.RecordBatch.from_arrays([part.column(0), pa.ListArray.from_arrays(pa.array(ends), pa.array(ids))], ["doc_id", "words"])
 
     return texts.mapInArrow(cut, "doc_id long, words array<int>")
 
@@ -467,13 +465,11 @@ def _hits(words: DataFrame, model: Latent) -> DataFrame:
 
     def searched(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         m = shared.value
-        for batch in batches:
-            for lo in range(0, batch.num_rows, 256):
-                part = batch.slice(lo, 256)
-                names = part.column(0).to_pylist()
-                rows = [(names[doc], m.items[k].item_id, *rest) for doc, k, *rest in search(*_flat(part.column(1)), m)]
-                kinds = (pa.int64(), pa.int64(), pa.int64(), pa.float64(), pa.float64(), pa.bool_())
-                yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(list(zip(*rows)) or [[]] * 6, kinds)], [f.split(" ")[0] for f in HITS.split(", ")])
+        for part in common.sliced(batches, 256):
+            names = part.column(0).to_pylist()
+            rows = [(names[doc], m.items[k].item_id, *rest) for doc, k, *rest in search(*_flat(part.column(1)), m)]
+            kinds = (pa.int64(), pa.int64(), pa.int64(), pa.float64(), pa.float64(), pa.bool_())
+            yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(list(zip(*rows)) or [[]] * 6, kinds)], [f.split(" ")[0] for f in HITS.split(", ")])
 
     return words.select("doc_id", "words").mapInArrow(searched, HITS)
 

@@ -51,8 +51,8 @@ def directory(keys: DataFrame, bucket_rows: int = BUCKET_ROWS, most_bits: int =
 
 
 def _folded(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """One row for each different text of a batch: largest id and number of rows."""
-    for batch in batches:
+    """One row for each different text of some thousand rows: largest id and number of rows."""
+    for batch in common.sliced(batches, 2048):
         seen: dict[str, list] = {}
         for doc_id, key, text in zip(*(c.to_pylist() for c in batch.columns)):
             got = seen.setdefault(text, [key, doc_id, 0])

@@ -98,7 +98,7 @@ def train(docs: DataFrame, rows: int = TRAIN_ROWS) -> KernelModel | None:
         share = F.when(F.col("lang") == r["lang"], min(1 << 30, (each << 30) // r["count"] + 1)).otherwise(share)
 
     def packed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in common.sliced(batches):
             cells = [np.packbits(presence(t)).tobytes() for t in batch.column(2).to_pylist()]
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(cells, pa.binary())], ["order", "lang", "cells"])
 
@@ -116,8 +116,8 @@ def predict(docs: DataFrame, model: KernelModel | None, keep: tuple[str, ...] =
 
     def scored(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         m = shared.value
-        for batch in batches:
-            texts = batch.columns[-1].to_pylist()
+        for batch in common.sliced(batches):
+            texts = batch.columns[at_text].to_pylist()
             langs, scores = [UNKNOWN] * len(texts), np.zeros(len(texts))
             known = [k for k, t in enumerate(texts) if m and t and _LETTER.search(t)]
             for a in range(0, len(known), 128):
@@ -126,10 +126,11 @@ def predict(docs: DataFrame, model: KernelModel | None, keep: tuple[str, ...] =
                 odds = np.exp(SHARPNESS * (margins - margins.max(axis=1, keepdims=True)))
                 for k, best, share in zip(at, margins.argmax(axis=1), odds.max(axis=1) / odds.sum(axis=1)):
                     langs[k], scores[k] = m.languages[best], share
-            yield pa.RecordBatch.from_arrays([*batch.columns[:-1], pa.array(langs, pa.string()), pa.array(scores)], [*keep, "lang_pred", "score"])
+            yield pa.RecordBatch.from_arrays([*batch.columns[: len(keep)], pa.array(langs, pa.string()), pa.array(scores)], [*keep, "lang_pred", "score"])
 
-    rows = docs.select(*keep, F.col("text").alias("text_scored"))
-    return rows.mapInArrow(scored, T.StructType([*rows.schema.fields[:-1], T.StructField("lang_pred", T.StringType()), T.StructField("score", T.DoubleType())]))
+    rows = docs.select(*keep) if "text" in keep else docs.select(*keep, F.col("text").alias("text_scored"))
+    at_text = keep.index("text") if "text" in keep else len(keep)
+    return rows.mapInArrow(scored, T.StructType([*rows.schema.fields[: len(keep)], T.StructField("lang_pred", T.StringType()), T.StructField("score", T.DoubleType())]))
 
 
 def op10_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:

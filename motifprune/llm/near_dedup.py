@@ -132,13 +132,11 @@ def plausible(percent: int) -> float:
 
 
 def _sketched(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    for batch in batches:
-        for a in range(0, batch.num_rows, 512):
-            part = batch.slice(a, 512)
-            sets = [shingles(t) for t in part.column(1).to_pylist()]
-            names = [xxhash.xxh3_64_intdigest(s.tobytes()) - (1 << 63) if len(s) else None for s in sets]
-            rows = registers(sets)
-            yield pa.RecordBatch.from_arrays([part.column(0), part.column(2), pa.array([len(s) for s in sets], pa.int64()), pa.array(names, pa.int64()), pa.array([r.tobytes() for r in rows], pa.binary())], ["doc_id", "text_hash", "n_shingles", "v", "registers"])
+    for part in common.sliced(batches):
+        sets = [shingles(t) for t in part.column(1).to_pylist()]
+        names = [xxhash.xxh3_64_intdigest(s.tobytes()) - (1 << 63) if len(s) else None for s in sets]
+        rows = registers(sets)
+        yield pa.RecordBatch.from_arrays([part.column(0), part.column(2), pa.array([len(s) for s in sets], pa.int64()), pa.array(names, pa.int64()), pa.array([r.tobytes() for r in rows], pa.binary())], ["doc_id", "text_hash", "n_shingles", "v", "registers"])
 
 
 def _banded(bands: int, band: int):
@@ -289,7 +287,7 @@ def _hashed(wanted):
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         bits = wanted.value
-        for batch in batches:
+        for batch in common.sliced(batches):
             slot = batch.column(0).to_numpy()
             texts = batch.column(1).filter(pa.array((bits[slot >> 3] >> (slot & 7) & 1).astype(bool)))
             sets = [shingles(t) for t in texts.to_pylist()]

@@ -79,7 +79,7 @@ def token_pieces(docs: DataFrame, file: str = FILE, space_kept: bool = True, end
 
     def cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         encode = common.encoder(file, space_kept).ids_bytes
-        for batch in batches:
+        for batch in common.sliced(batches):
             rows = []
             for doc_id, text in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist()):
                 ids = encode(text) + end

@@ -40,7 +40,7 @@ def write_tokens(docs: DataFrame, path: str, file: str = FILE, space_kept: bool
 
     def encoded(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         encode, before = common.encoder(file, space_kept).ids_bytes, 0
-        for batch in batches:
+        for batch in common.sliced(batches, 2048):
             ids = [encode(text) + end for text in batch.column(1).to_pylist()]
             sizes = np.fromiter((len(x) // 4 for x in ids), dtype=np.int64, count=len(ids))
             ends = np.cumsum(sizes)

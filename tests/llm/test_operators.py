@@ -189,7 +189,7 @@ def lm_odds(t, code, one, two, frequent=None):
         keys = np.unique(np.array([*counts, *own[own >= 0]], dtype=np.int64))
         found.append((keys, lm_scoring.path_odds(keys, np.array([counts.get(int(k), 0) for k in keys]), code, symbol_at)[0]))
     nodes = len(code.node_odds)
-    return lm_scoring.odds_of(t, code, found, np.zeros((lm_scoring.FREQUENT + 1, nodes), dtype=np.int8) if frequent is None else frequent)
+    return lm_scoring.odds_of(t, code, found, np.zeros((code.frequent + 1, nodes), dtype=np.int8) if frequent is None else frequent)
 
 
 def test_decisions_form_a_distribution(monkeypatch):
@@ -198,12 +198,12 @@ def test_decisions_form_a_distribution(monkeypatch):
         monkeypatch.setattr(lm_scoring, "FREQUENT", often)
         code = lm_scoring.huffman([(b"", 9), (b"a", 5), (b"b", 3), (b"c", 1)], 4)
         frequent = np.vstack([rng.integers(-40, 40, (often, len(code.node_odds))), np.zeros((1, len(code.node_odds)))]).astype(np.int8)
-        total, before = 0.0, lm_scoring.tokens_of(*lm_scoring.encoded([[b"b", b"a"]], code), code)
+        total, before = 0.0, lm_scoring.tokens_of(*lm_scoring.encoded([[b"b", b"a"]], code)[:4], code)
         for w in ([b"b"], [b"b", b"a"], [b"b", b"b"], [b"b", b"c"], [b"b", b"zz"]):
-            t = lm_scoring.tokens_of(*lm_scoring.encoded([w], code), code)
+            t = lm_scoring.tokens_of(*lm_scoring.encoded([w], code)[:4], code)
             keys = [{int(k[1]) >> 16 << 16 | p: n for p, n in enumerate((3, 0, 1, 7, 0))} if k[1] >= 0 else {} for k in (before.one, before.two)]
             odds = lm_odds(t, code, *keys, frequent)
-            first = [lm_scoring.mix_online(lm_scoring.Tokens(np.array([n]), *(x[:n] for x in (t.owner, t.symbols, t.one, t.two, t.before, t.often)), t.rare), 1, code, lm_scoring.Odds(odds.flat, [b[:n] for b in odds.begin], frequent), lm_scoring.Start.plain())[0] for n in (1, 2)]
+            first = [lm_scoring.mix_online(lm_scoring.Tokens(np.array([n]), *(x[:n] for x in (t.owner, t.symbols, t.one, t.two, t.before, t.often)), t.which), 1, code, lm_scoring.Odds(odds.flat, [b[:n] for b in odds.begin], frequent), lm_scoring.Start.plain())[0] for n in (1, 2)]
             total += 10 ** (first[1] - first[0])  # of the second token, given the first
         assert total == pytest.approx(1.0, abs=1e-9)
 
@@ -232,8 +232,8 @@ def test_every_context_has_counts_of_its_own(spark, monkeypatch):
     tried = 0
     for row in chunks.collect():
         t = lm_scoring._row_tokens(row.asDict(), code)
-        (one, _), (two, _), (rare, _) = keys = lm_scoring._chunk_keys(t, np.zeros(len(t.sizes), dtype=bool))
-        owners = lm_scoring._slice_of(one, two, rare, 5)
+        (one, _), (two, _) = lm_scoring._chunk_keys(t, np.zeros(len(t.sizes), dtype=bool))
+        owners = lm_scoring._slice_of(one, two, np.zeros(0, dtype=np.int64), 5)
         got = {}
         for name, k, owner in (("one", one, owners[0]), ("two", two, owners[1])):
             for s in set(owner.tolist()):
@@ -254,7 +254,7 @@ def test_every_context_has_counts_of_its_own(spark, monkeypatch):
                 for name, key, context in contexts:
                     if key >= 0:
                         zeros, ones = np.array([want[context, int(code.nodes[at])] for at in path], dtype=float).reshape(-1, 2).T
-                        odds = lm_scoring._eighths(zeros, ones) * (2 * code.bits[path.start : path.stop] - 1)
+                        odds = lm_scoring._quarters(zeros, ones) * (2 * code.bits[path.start : path.stop] - 1)
                         assert (got[name, key] == odds).all()
                         tried += 1
                 place += 1
@@ -270,7 +270,7 @@ def test_every_context_has_counts_of_its_own(spark, monkeypatch):
             last = s if s < 3 else last
     for f in range(3):
         for node in range(dense.shape[1]):
-            assert dense[f, node] == lm_scoring._eighths(*np.array(seen.get((f, node), [0, 0]), dtype=float).reshape(2, 1))[0]
+            assert dense[f, node] == lm_scoring._quarters(*np.array(seen.get((f, node), [0, 0]), dtype=float).reshape(2, 1))[0]
     assert not dense[3].any()
 
 
@@ -447,7 +447,7 @@ def test_weights_move_after_each_word():
     code = lm_scoring.huffman([(b"", 9), (b"a", 5), (b"b", 3)], 1)
 
     def scored(n):
-        t = lm_scoring.tokens_of(*lm_scoring.encoded([[b"b"] * n], code), code)
+        t = lm_scoring.tokens_of(*lm_scoring.encoded([[b"b"] * n], code)[:4], code)
         return lm_scoring.mix_online(t, 1, code, lm_odds(t, code, {}, {}), lm_scoring.Start.plain())[0]
 
     costs = np.diff([scored(n) for n in range(1, 22)])
@@ -467,7 +467,7 @@ def test_starting_weights_are_learnt(monkeypatch):
     start = lm_scoring.learnt_start(texts, code)
     again = lm_scoring.learnt_start(texts, code)
     assert (start.weights == again.weights).all() and not np.allclose(start.weights, lm_scoring.Start.plain().weights)
-    t = lm_scoring.tokens_of(*lm_scoring.encoded(words[:20], code), code)
+    t = lm_scoring.tokens_of(*lm_scoring.encoded(words[:20], code)[:4], code)
     one, two = (dict(zip(*(x.tolist() for x in np.unique(k[k >= 0], return_counts=True)))) for k in (t.one, t.two))
     odds = lm_odds(t, code, one, two)
     assert lm_scoring.mix_online(t, 20, code, odds, start).sum() > lm_scoring.mix_online(t, 20, code, odds, lm_scoring.Start.plain()).sum()
