@@ -9,14 +9,15 @@ and degrees before any list is joined.
 
 from __future__ import annotations
 
+import weakref
 from dataclasses import dataclass, field
-from functools import reduce
+from functools import cached_property, reduce
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from motifprune.functions import sets
-from motifprune.plans.costmodel import CostModel, gain
+from motifprune.plans.costmodel import CostModel, gain, worth
 from motifprune.plans.execution import CARRY, INIT, SUBTRACT, AuxSpec, ExecutionPlan, Options, SetKey
 from motifprune.plans.pattern import Pattern
 from motifprune.plans.schedule import Schedule, choose_schedule
@@ -29,7 +30,9 @@ POLICIES = ("none", "eager", "online", "oracle", "degree", "random")
 class Policy:
     """name: none, eager (always), online (predicted gain), oracle (true gain), degree (of at least degree_at), random (share).
 
-    lazy_degree: lists of vertices of at least that degree are made only once they are read.
+    lazy_degree: lists of vertices of at least that degree are made only once a loop is about to read them.
+    join_cost: what a row's look-up of a pruned list costs here, in comparisons; online drops a plan's lists as a
+    whole where the expected gains don't cover it (counters of work are taken without that rule).
     """
 
     name: str = "online"
@@ -37,6 +40,7 @@ class Policy:
     share: float = 0.5
     lazy_degree: int | None = None
     order_discount: bool = True
+    join_cost: float = 24.0
 
     def __post_init__(self) -> None:
         if self.name not in POLICIES:
@@ -54,6 +58,18 @@ class Run:
     profile: bool = False
     counters: list[DataFrame] = field(default_factory=list)
     tables: dict[int, DataFrame] = field(default_factory=dict)
+    waiting: dict[int, DataFrame] = field(default_factory=dict)  # hubs' lists that nothing has read yet
+    held: list[DataFrame] = field(default_factory=list)
+
+    def hold(self, df: DataFrame) -> DataFrame:
+        """df persisted until release."""
+        self.held.append(df.persist())
+        return df
+
+    def release(self) -> None:
+        """Frees all that this run has persisted; results still lazy are then computed anew."""
+        while self.held:
+            self.held.pop().unpersist()
 
     # ------------------------------------------------------------ names and small columns
 
@@ -90,6 +106,8 @@ class Run:
         want = self.label_of(position)
         if want is None:
             return df
+        if self.graph.labels is None:
+            raise ValueError("a labelled pattern needs a labelled graph")
         own = self.graph.labels.where(F.col("label") == want).select(F.col("v").alias(f"u{position}"))
         return df.join(own, f"u{position}", "left_semi")
 
@@ -169,7 +187,12 @@ class Run:
         df = df.select(*(f"u{j}" for j in range(1, k)), *(c for c in kept if c in used), F.explode(self.candidates(h)).alias(f"u{k}"))
         df = self._labelled(df, k)
         names = []
-        for j in sorted({j for ts in alive_next.values() for j in self._versions(k, ts)}):
+        readable = sorted({j for ts in alive_next.values() for j in self._versions(k, ts)})
+        if any(j in self.waiting for j in readable):
+            df = self.hold(df)
+            for j in readable:
+                self._reach(df, j, k)
+        for j in readable:
             if j not in self.tables:
                 continue
             spec = self.plan.aux[j]
@@ -200,14 +223,36 @@ class Run:
 
     def _build(self, df: DataFrame, h: int) -> DataFrame:
         """Makes the pruned lists of depth h from its frontier, which is kept for its two uses."""
-        specs = [(j, x) for j, x in enumerate(self.plan.aux) if x.h == h]
-        if self.policy.name == "none" or not specs:
+        if self.policy.name == "none":
             return df
-        df = df.persist()
+        specs = [(j, x) for j, x in enumerate(self.plan.aux) if x.h == h and (self.profile or j in self.worthwhile)]
+        if not specs:
+            return df
+        df = self.hold(df)
         for j, spec in specs:
             self.tables[j] = self.build_aux(df, j, spec)
         return df
 
+    @cached_property
+    def worthwhile(self) -> set[int]:
+        """The pruned lists whose expected gains cover their look-ups, by the graph's degrees alone (all, if the policy isn't online)."""
+        every = set(range(len(self.plan.aux)))
+        if self.policy.name != "online" or not every:
+            return every
+        model = CostModel(self.graph.stats, self.policy.order_discount)
+        return {j for j in every if worth(self.plan, self.plan.aux[j], model, self.graph.degree_classes, self.policy.join_cost)}
+
+    def _reach(self, df: DataFrame, j: int, k: int) -> None:
+        """Makes those waiting lists of the plan's j-th pruned list that the rows of loop k read; later loops find them made."""
+        if j not in self.waiting:
+            return
+        spec = self.plan.aux[j]
+        keys = self._keys(spec)
+        read = df.select(*keys, F.col(f"u{k}").alias("x")).distinct()
+        found = self.hold(self._lists(self.waiting[j].join(read, [*keys, "x"], "left_semi"), spec))
+        self.tables[j] = self.tables[j].unionByName(found.select(*keys, "x", "keep"))
+        self.waiting[j] = self.waiting[j].join(read, [*keys, "x"], "left_anti")
+
     def considered(self, df: DataFrame, spec: AuxSpec) -> DataFrame:
         """(keys, x, deg, keep_size, estimated reuse, overlap and gain, keep set) of each list that could be made."""
         keys = self._keys(spec)
@@ -247,30 +292,33 @@ class Run:
         elif p.name == "random":
             rows = rows.where(F.pmod(F.xxhash64("x", *keys), F.lit(1000)) < int(1000 * p.share))
         if p.lazy_degree is not None:
-            reached = self.true_reuse(spec).select(*keys, "x")
-            rows = rows.where(F.col("deg") < p.lazy_degree).unionByName(rows.where(F.col("deg") >= p.lazy_degree).join(reached, [*keys, "x"], "left_semi"))
-        source = self.graph.adj.select(F.col("u").alias("x"), "nbrs")
-        if spec.parent is not None and spec.parent in self.tables:
-            parent = self.tables[spec.parent]
-            own = self._keys(self.plan.aux[spec.parent])
-            rows = rows.join(parent.select(*own, "x", F.col("keep").alias("shorter")), [*own, "x"], "left")
-        else:
-            rows = rows.withColumn("shorter", F.lit(None).cast("array<bigint>"))
-        lists = rows.join(source.withColumnRenamed("x", "list_of"), (F.col("x") == F.col("list_of")) & F.col("shorter").isNull(), "left").drop("list_of")
-        lists = lists.withColumn("from", F.coalesce("shorter", "nbrs"))
-        lists = lists.withColumn("keep", sets.set_intersect(F.col("keep_set"), F.col("from")))
+            self.waiting[j] = rows.where(F.col("deg") >= p.lazy_degree)
+            rows = rows.where(F.col("deg") < p.lazy_degree)
+        lists = self._lists(rows, spec)
         if p.name == "oracle":
             reads = self.true_reuse(spec)
             worth = gain(F.col("reads").cast("double"), F.col("deg").cast("double"), F.size("keep").cast("double"), F.col("keep_size"))
             lists = lists.join(reads, [*keys, "x"]).where(worth > 0)
         if self.profile:
-            lists = lists.persist()
+            lists = self.hold(lists)
             bucket = F.floor(F.log2(F.greatest("deg", F.lit(1)).cast("double"))).cast("int").alias("degree_bucket")
             kind = F.when(F.col("shorter").isNull(), "adjacency").otherwise("aux").alias("metric")
             count = lambda metric, value: lists.groupBy(bucket, metric).agg(F.sum(value).cast("long").alias("value"))
             self.counters += [count(kind, F.size("from")), count(F.lit("prefix").alias("metric"), F.col("keep_size")), count(F.lit("lists_built").alias("metric"), F.lit(1)), count(F.lit("aux_bytes").alias("metric"), 8 * F.size("keep"))]
             self.counters.append(self.considered(df, spec).groupBy(bucket, F.lit("lists_considered").alias("metric")).agg(F.count("*").alias("value")))
-        return lists.select(*keys, "x", "keep").persist()
+        return self.hold(lists.select(*keys, "x", "keep"))
+
+    def _lists(self, rows: DataFrame, spec: AuxSpec) -> DataFrame:
+        """considered rows with `from`, the list each is cut from, and `keep`, what is left of it."""
+        if spec.parent is not None and spec.parent in self.tables:
+            own = self._keys(self.plan.aux[spec.parent])
+            rows = rows.join(self.tables[spec.parent].select(*own, "x", F.col("keep").alias("shorter")), [*own, "x"], "left")
+        else:
+            rows = rows.withColumn("shorter", F.lit(None).cast("array<bigint>"))
+        source = self.graph.adj.select(F.col("u").alias("list_of"), "nbrs")
+        lists = rows.join(source, (F.col("x") == F.col("list_of")) & F.col("shorter").isNull(), "left").drop("list_of")
+        lists = lists.withColumn("from", F.coalesce("shorter", "nbrs"))
+        return lists.withColumn("keep", sets.set_intersect(F.col("keep_set"), F.col("from")))
 
     # ------------------------------------------------------------ results
 
@@ -298,7 +346,7 @@ class Run:
     def counts(self) -> DataFrame:
         """Counters of a profiled run: (degree_bucket, metric, value)."""
         self.profile = True
-        self.counters, self.tables = [], {}
+        self.counters, self.tables, self.waiting = [], {}, {}
         self.last()
         if not self.counters:
             return self.graph.spark.createDataFrame([], "degree_bucket int, metric string, value long")
@@ -320,7 +368,10 @@ def match(graph: Graph, pattern: Pattern, variant: str = "edge", policy: str | P
         own = graph.edges.select(F.col("src").alias("v1"), F.col("dst").alias("v2"))
         return own.agg(F.count("*").alias("cnt")) if output == "count" else own
     run = runner(graph, pattern, variant, policy, **options)
-    return run.count() if output == "count" else run.rows(limit)
+    out = run.count() if output == "count" else run.rows(limit)
+    # What the run persists goes once nobody holds the result; frames derived from it stay right and compute anew.
+    weakref.finalize(out, run.release).atexit = False
+    return out
 
 
 def match_batches(graph: Graph, pattern: Pattern, path: str, batches: int, variant: str = "edge", policy: str | Policy = "online", **options) -> DataFrame:
@@ -333,8 +384,7 @@ def match_batches(graph: Graph, pattern: Pattern, path: str, batches: int, varia
         roots = graph.degrees.where(F.pmod(F.xxhash64("u"), F.lit(batches)) == b)
         run = runner(graph, pattern, variant, policy, roots=roots, **options)
         run.rows().write.mode("overwrite" if b == 0 else "append").parquet(path)
-        for table in run.tables.values():
-            table.unpersist()
+        run.release()
     return spark.read.parquet(path)
 
 
@@ -343,7 +393,7 @@ def match_without_prefix_sets(graph: Graph, pattern: Pattern, variant: str = "ed
     plan = make_plan(pattern, variant, bound_prefix=False)
     s, run = plan.schedule, Run(graph, plan)
     lists = lambda j: graph.adj.select(F.col("u").alias(f"u{j}"), F.col("nbrs").alias(f"n{j}"))
-    df = lists(1)
+    df = run._labelled(lists(1), 1)
     for h in range(1, plan.n):
         i = h + 1
         near = [F.col(f"n{j}") for j in range(1, h + 1) if s.linked(j, i)]
@@ -351,7 +401,9 @@ def match_without_prefix_sets(graph: Graph, pattern: Pattern, variant: str = "ed
         key = plan.key(h, i)
         df = df.withColumn(run.column(key), sets.candidates_scratch(near, far))
         got = run.candidates(h)
-        if i == plan.n:
+        if i == plan.n and run.label_of(i) is None:
             return df.agg(F.coalesce(F.sum(F.size(got)), F.lit(0)).cast("long").alias("cnt"))
-        df = df.select(*(c for j in range(1, i) for c in (f"u{j}", f"n{j}")), F.explode(got).alias(f"u{i}")).join(lists(i), f"u{i}")
-    raise AssertionError
+        df = run._labelled(df.select(*(c for j in range(1, i) for c in (f"u{j}", f"n{j}")), F.explode(got).alias(f"u{i}")), i)
+        if i < plan.n:
+            df = df.join(lists(i), f"u{i}")
+    return df.agg(F.count("*").alias("cnt"))

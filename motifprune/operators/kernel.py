@@ -1,19 +1,23 @@
 """Depth-first matching in generated NumPy loops, one set of roots a task.
 
 For each plan a straight-line Python function of nested loops is assembled from the plan's integers alone,
-with a fixed choice of list for each operation. Roots stream through mapInArrow; adjacency goes to the
-workers as a broadcast of compressed rows if its size is below a checked bound, and larger graphs are the
-frontier matcher's. Nested splitting deals one root's second-loop candidates to several tasks.
+with a fixed choice of list for each operation. Where adjacency is below a checked bound, roots stream through
+mapInArrow and adjacency goes to the workers as a broadcast of compressed rows; above it, each root is shipped the
+lists that its loops can read, as one group. Nested splitting deals one root's second-loop candidates to several
+tasks. Set operations look up in buffers that belong to the worker.
 """
 
 from __future__ import annotations
 
+import math
+import os
 import time
 from collections.abc import Iterator
 from functools import lru_cache
 
 import numpy as np
 import pyarrow as pa
+from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -22,38 +26,72 @@ from motifprune.plans.costmodel import CostModel, GraphStats
 from motifprune.plans.execution import CARRY, INIT, SUBTRACT, ExecutionPlan
 from motifprune.sources.graphs import Graph
 
-BROADCAST_ARCS = 50_000_000
-COUNTERS = "root long, part int, cnt long, adjacency long, aux long, prefix long, lists_considered long, lists_built long, aux_bytes long, elapsed_ms double, pid int"
+BROADCAST_ARCS = 20_000_000  # 160 MB of neighbours
+ROWS_A_BATCH = 50_000
+MEASURES = ("cnt", "adjacency", "aux", "prefix", "lists_considered", "lists_built", "lists_used", "aux_bytes")
+COUNTERS = "root long, part int, " + ", ".join(f"{m} long" for m in MEASURES) + ", elapsed_ms double, pid int, task int"
 
 
 def compressed_rows(graph: Graph, most_arcs: int = BROADCAST_ARCS) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """(ids, starts, neighbours) of a graph of at most most_arcs arcs."""
     arcs = graph.edges.count() * 2
     if arcs > most_arcs:
-        raise ValueError(f"{arcs} arcs exceed the bound of {most_arcs} for a broadcast; use the frontier engine")
+        raise ValueError(f"{arcs} arcs exceed the bound of {most_arcs} for a broadcast")
     got = graph.arcs.orderBy("u", "w").toPandas()
     u, w = got["u"].to_numpy(dtype=np.int64), got["w"].to_numpy(dtype=np.int64)
     ids, starts = np.unique(u, return_index=True)
     return ids, np.append(starts, len(u)), w
 
 
-def _meet(a: np.ndarray, b: np.ndarray) -> np.ndarray:
-    """Members of sorted a in sorted b; looks the shorter up in the longer."""
-    if not len(a) or not len(b):
-        return a[:0]
-    if len(a) > 8 * len(b):
-        a, b = b, a
-    at = np.searchsorted(b, a)
-    at[at == len(b)] = len(b) - 1
-    return a[b[at] == a]
+class SortedSets:
+    """Operations on sorted arrays; positions and comparisons go to buffers kept by the worker."""
 
+    def __init__(self) -> None:
+        self._grow(1024)
 
-def _minus(a: np.ndarray, b: np.ndarray) -> np.ndarray:
-    if not len(a) or not len(b):
-        return a
-    at = np.searchsorted(b, a)
-    at[at == len(b)] = len(b) - 1
-    return a[b[at] != a]
+    def _grow(self, n: int) -> None:
+        self._found, self._same = np.empty(n, dtype=np.int64), np.empty(n, dtype=bool)
+
+    def _in(self, a: np.ndarray, b: np.ndarray) -> np.ndarray:
+        if len(a) > len(self._found):
+            self._grow(2 * len(a))
+        found, same = self._found[: len(a)], self._same[: len(a)]
+        np.take(b, np.searchsorted(b, a), out=found, mode="clip")
+        return np.equal(found, a, out=same)
+
+    def meet(self, a: np.ndarray, b: np.ndarray) -> np.ndarray:
+        """Members of a in b; looks the shorter up in the longer."""
+        if not len(a) or not len(b):
+            return a[:0]
+        if len(a) > 8 * len(b):
+            a, b = b, a
+        return a[self._in(a, b)]
+
+    def minus(self, a: np.ndarray, b: np.ndarray) -> np.ndarray:
+        if not len(a) or not len(b):
+            return a
+        same = self._in(a, b)
+        return a[np.logical_not(same, out=same)]
+
+
+class Labels:
+    """Vertices of each label."""
+
+    def __init__(self, ids: np.ndarray, labels: np.ndarray) -> None:
+        order = np.argsort(ids, kind="stable")
+        self._ids, self._labels = ids[order], labels[order]
+
+    def __call__(self, a: np.ndarray, want: int) -> np.ndarray:
+        """Members of a with the label."""
+        if not len(a) or not len(self._ids):
+            return a[:0]
+        at = np.minimum(np.searchsorted(self._ids, a), len(self._ids) - 1)
+        return a[(self._ids[at] == a) & (self._labels[at] == want)]
+
+
+def _label(plan: ExecutionPlan, position: int) -> int | None:
+    p = plan.schedule.pattern
+    return None if p.labels is None else p.labels[plan.schedule.order[position - 1]]
 
 
 def _names(plan: ExecutionPlan) -> dict:
@@ -61,14 +99,20 @@ def _names(plan: ExecutionPlan) -> dict:
 
 
 def source_of(plan: ExecutionPlan, policy: Policy, stats: GraphStats | None, emit_rows: bool) -> str:
-    """Python source of run(N, DEG, u1, part, parts, count, rows): nested loops over one root."""
+    """Python source of run(N, L, S, u1, part, parts, count): nested loops over one root; yields batches of rows if emit_rows."""
     s, n = plan.schedule, plan.n
     use_aux = policy.name != "none"
     model = CostModel(stats, policy.order_discount) if stats else None
     lines: list[str] = []
     put = lambda depth, text: lines.append("    " * depth + text)
     var = lambda h, key: f"s{h}_{'_'.join(map(str, plan.alive(h)[key]))}"
-    put(0, "def run(N, u1, part, parts, count, rows):")
+    put(0, "def run(N, L, S, u1, part, parts, count):")
+    put(1, "meet, minus = S.meet, S.minus")
+    specs = plan.aux if use_aux else ()
+    for j in range(len(specs)):
+        put(1, f"b{j} = 0")
+    if emit_rows:
+        put(1, "rows = []")
     for h in range(1, n):
         d = h
         if plan.reads_list(h):
@@ -90,16 +134,21 @@ def source_of(plan: ExecutionPlan, policy: Policy, stats: GraphStats | None, emi
                     found = sorted({j for i in targets for j in plan.versions(h, i)}, key=lambda j: -plan.aux[j].h) if use_aux else []
                     put(d, f"src, kind = n{h}, 'adjacency'")
                     for c, j in enumerate(found):
-                        put(d, f"{'if' if c == 0 else 'elif'} u{h} in a{j}: src, kind = a{j}[u{h}], 'aux'")
+                        put(d, f"{'if' if c == 0 else 'elif'} u{h} in a{j}:")
+                        put(d + 1, f"src, kind = a{j}[u{h}], 'aux'")
+                        put(d + 1, f"if u{h} not in r{j}: r{j}.add(u{h}); count['lists_used'] += 1")
                     put(d, f"count['prefix'] += len({before}); count[kind] += len(src)")
                     put(d, f"{own} = {'minus' if step.kind == SUBTRACT else 'meet'}({before}, src)")
             for a, op in bounds:
                 put(d, f"{own} = {own}[searchsorted({own}, u{a}, 'right'):]" if op == ">" else f"{own} = {own}[:searchsorted({own}, u{a}, 'left')]")
-        for j, spec in enumerate(plan.aux if use_aux else ()):
+        for j, spec in enumerate(specs):
             if spec.h != h:
                 continue
             select, keep = var(h, spec.select), var(h, spec.keep)
-            put(d, f"a{j} = {{}}")
+            put(d, f"a{j}, r{j}, b{j} = {{}}, set(), 0")
+            for deeper, other in enumerate(specs):
+                if other.h > h:  # lists of the branch before
+                    put(d, f"b{deeper} = 0")
             if policy.name == "online":
                 terms = []
                 for k in sorted({k for k, _ in spec.consumers}):
@@ -119,9 +168,12 @@ def source_of(plan: ExecutionPlan, policy: Policy, stats: GraphStats | None, emi
                 put(d + 1, f"if deg < {int(policy.degree_at)}: continue")
             put(d + 1, "src, kind = N(x), 'adjacency'")
             if spec.parent is not None:
-                put(d + 1, f"if x in a{spec.parent}: src, kind = a{spec.parent}[x], 'aux'")
+                put(d + 1, f"if x in a{spec.parent}:")
+                put(d + 2, f"src, kind = a{spec.parent}[x], 'aux'")
+                put(d + 2, f"if x not in r{spec.parent}: r{spec.parent}.add(x); count['lists_used'] += 1")
             put(d + 1, f"count['prefix'] += len({keep}); count[kind] += len(src); count['lists_built'] += 1")
-            put(d + 1, f"a{j}[x] = meet({keep}, src); count['aux_bytes'] += 8 * len(a{j}[x])")
+            put(d + 1, f"a{j}[x] = meet({keep}, src); b{j} += 8 * len(a{j}[x])")
+            put(d, f"count['aux_bytes'] = max(count['aux_bytes'], {' + '.join(f'b{x}' for x in range(len(specs)))})")
         i = h + 1
         put(d, f"c = {var(h, plan.key(h, i))}")
         for j in range(1, h + 1):
@@ -131,21 +183,26 @@ def source_of(plan: ExecutionPlan, policy: Policy, stats: GraphStats | None, emi
                 put(d, f"c = c[:searchsorted(c, u{j}, 'left')]")
             elif not s.linked(j, i) and (j, i) not in s.checks and (i, j) not in s.checks:
                 put(d, f"c = c[c != u{j}]")
+        if _label(plan, i) is not None:
+            put(d, f"c = L(c, {int(_label(plan, i))})")
         if h == 1:
             put(d, "if parts > 1: c = c[part::parts]")
         if i == n:
             put(d, "count['cnt'] += len(c)")
             if emit_rows:
                 put(d, f"rows += [({', '.join(f'u{j}' for j in range(1, n))}, w) for w in c.tolist()]")
+                put(d, f"if len(rows) >= {ROWS_A_BATCH}: yield rows; rows = []")
         else:
             put(d, f"for u{i} in c.tolist():")
+    if emit_rows:
+        put(1, "yield rows")
     return "\n".join(lines)
 
 
 @lru_cache(maxsize=128)
 def compile_plan(plan: ExecutionPlan, policy: Policy, stats: GraphStats | None, emit_rows: bool = False):
     """The compiled function; cached by plan, policy and statistics. Its source holds numbers of the plan only."""
-    space = {"meet": _meet, "minus": _minus, "searchsorted": np.searchsorted, "len": len, "max": max}
+    space = {"searchsorted": np.searchsorted, "len": len, "max": max, "set": set}
     exec(compile(source_of(plan, policy, stats, emit_rows), "<plan>", "exec"), space)  # noqa: S102
     return space["run"]
 
@@ -154,7 +211,7 @@ def interpreted(plan: ExecutionPlan):
     """The same loops driven by the plan's steps at run time, without generated source (a baseline; no pruned lists)."""
     s, n = plan.schedule, plan.n
 
-    def run(N, u1, part, parts, count, rows):
+    def run(N, L, S, u1, part, parts, count):
         u = [0] * (n + 1)
 
         def loop(h: int, was: dict) -> None:
@@ -167,13 +224,13 @@ def interpreted(plan: ExecutionPlan):
                     for j in step.deferred:
                         count["prefix"] += len(a)
                         count["adjacency"] += len(N(u[j]))
-                        a = _minus(a, N(u[j]))
+                        a = S.minus(a, N(u[j]))
                 else:
                     a = was[plan.key(h - 1, targets[0])]
                     if step.kind != CARRY:
                         count["prefix"] += len(a)
                         count["adjacency"] += len(own)
-                        a = _minus(a, own) if step.kind == SUBTRACT else _meet(a, own)
+                        a = S.minus(a, own) if step.kind == SUBTRACT else S.meet(a, own)
                 for at, op in key[2]:
                     if step.kind == INIT or at == h:
                         a = a[np.searchsorted(a, u[at], "right") :] if op == ">" else a[: np.searchsorted(a, u[at], "left")]
@@ -187,6 +244,8 @@ def interpreted(plan: ExecutionPlan):
                     c = c[: np.searchsorted(c, u[j], "left")]
                 elif not s.linked(j, i) and (j, i) not in s.checks and (i, j) not in s.checks:
                     c = c[c != u[j]]
+            if _label(plan, i) is not None:
+                c = L(c, _label(plan, i))
             if h == 1 and parts > 1:
                 c = c[part::parts]
             if i == n:
@@ -202,42 +261,125 @@ def interpreted(plan: ExecutionPlan):
     return run
 
 
-def match_kernel(graph: Graph, plan: ExecutionPlan, policy: Policy | str = "online", nested: bool = False, split_threshold: int = 64, output: str = "counters", engine: str = "generated", tasks: int | None = None) -> DataFrame:
+def _roots(graph: Graph, plan: ExecutionPlan, nested: bool, split_threshold: int | None) -> DataFrame:
+    """(root, part, parts): the vertices that may match the first position, cut by their degree if nested.
+
+    Without a threshold, a root is cut into parts of twice the average degree.
+    """
+    degrees = graph.degrees
+    if _label(plan, 1) is not None:
+        degrees = degrees.join(graph.labels.where(F.col("label") == _label(plan, 1)).select(F.col("v").alias("u")), "u", "left_semi")
+    parts = F.lit(1)
+    if nested:
+        each = split_threshold or max(4, math.ceil(2 * (graph.degrees.agg(F.avg("deg")).first()[0] or 1)))
+        parts = F.greatest(F.lit(1), F.ceil(F.col("deg") / each)).cast("int")
+    return degrees.withColumn("parts", parts).select(F.col("u").alias("root"), F.explode(F.sequence(F.lit(0), F.col("parts") - 1)).alias("part"), "parts")
+
+
+def ego_lists(graph: Graph, plan: ExecutionPlan) -> DataFrame:
+    """(root, u, nbrs, labels) of all lists that loops from each root can read: vertices as near as the pattern's positions are."""
+    s, far, near = plan.schedule, {1: 0}, [1]
+    for j in near:
+        for i in range(1, plan.n + 1):
+            if i not in far and s.linked(j, i):
+                far[i] = far[j] + 1
+                near.append(i)
+    reached = graph.degrees.select(F.col("u").alias("root"), "u")
+    edge = reached
+    for _ in range(max(far[h] for h in range(1, plan.n))):
+        edge = edge.join(graph.arcs, "u").select("root", F.col("w").alias("u")).distinct()
+        reached = reached.unionByName(edge).distinct()
+    adj = graph.adj.select("u", "nbrs", F.lit(None).cast("array<int>").alias("labels"))
+    if s.pattern.labels is not None:
+        own = graph.labels.select(F.col("v").alias("w"), F.col("label").cast("int").alias("label"))
+        pairs = F.sort_array(F.collect_list(F.struct("w", F.coalesce("label", F.lit(-1)).alias("label"))))
+        adj = graph.arcs.join(own, "w", "left").groupBy("u").agg(pairs.alias("p")).select("u", F.col("p.w").alias("nbrs"), F.col("p.label").alias("labels"))
+    return reached.join(adj, "u")
+
+
+class _Worker:
+    """Runs roots in one Python worker and collects counters or rows."""
+
+    def __init__(self, plan: ExecutionPlan, policy: Policy, stats: GraphStats | None, emit: bool, engine: str) -> None:
+        self.plan, self.emit, self.sets = plan, emit, SortedSets()
+        self.run = compile_plan(plan, policy, stats, emit) if engine == "generated" else interpreted(plan)
+        context = TaskContext.get()
+        self.task = context.partitionId() if context else 0
+
+    def one(self, neighbours, labels, root: int, part: int, parts: int, out: list) -> Iterator[list]:
+        """Batches of rows; what was counted is appended to out."""
+        count, began = dict.fromkeys(MEASURES, 0), time.perf_counter()
+        got = self.run(neighbours, labels, self.sets, root, part, parts, count)
+        if self.emit:
+            yield from got
+        out.append((root, part, *count.values(), (time.perf_counter() - began) * 1000, os.getpid(), self.task))
+
+    def rows(self, rows: list) -> pa.RecordBatch:
+        n, order = self.plan.n, self.plan.schedule.order
+        columns = list(zip(*rows)) or [[]] * n
+        return pa.RecordBatch.from_arrays([pa.array(columns[order.index(v)], pa.int64()) for v in range(n)], [f"v{v + 1}" for v in range(n)])
+
+    def counters(self, out: list) -> pa.RecordBatch:
+        kinds = [pa.int64(), pa.int32(), *[pa.int64()] * len(MEASURES), pa.float64(), pa.int32(), pa.int32()]
+        return pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(list(zip(*out)) or [[]] * len(kinds), kinds)], [f.split(" ")[0] for f in COUNTERS.split(", ")])
+
+
+def match_kernel(graph: Graph, plan: ExecutionPlan, policy: Policy | str = "online", nested: bool = False, split_threshold: int | None = None, output: str = "counters", engine: str = "generated", tasks: int | None = None, most_arcs: int = BROADCAST_ARCS) -> DataFrame:
     """One row of COUNTERS for each root (and slice, if nested), or rows v1..vn.
 
     nested: a root with more than split_threshold neighbours is dealt to several tasks by slices of its second loop.
+    A graph of more than most_arcs arcs isn't broadcast: each root gets the lists near it.
     """
     policy = Policy(policy) if isinstance(policy, str) else policy
     if policy.name not in ("none", "eager", "online", "degree"):
         raise ValueError(f"the kernel has no policy {policy.name}")
-    spark, n, order = graph.spark, plan.n, plan.schedule.order
+    if output == "rows" and engine != "generated":
+        raise ValueError("the interpreted engine counts only")
+    if plan.schedule.pattern.labels is not None and graph.labels is None:
+        raise ValueError("a labelled pattern needs a labelled graph")
     stats = graph.stats if policy.name == "online" else None
-    shared = spark.sparkContext.broadcast(compressed_rows(graph))
     emit = output == "rows"
+    schema = ", ".join(f"v{v + 1} long" for v in range(plan.n)) if emit else COUNTERS
+    roots = _roots(graph, plan, nested, split_threshold)
+    if graph.edges.count() * 2 > most_arcs:
+        return _by_ego(graph, plan, policy, stats, emit, engine, roots, schema)
+    spark = graph.spark
+    labels = None
+    if plan.schedule.pattern.labels is not None:
+        got = graph.labels.where(F.col("label").isin(*set(plan.schedule.pattern.labels))).join(graph.degrees.select(F.col("u").alias("v")), "v", "left_semi").toPandas()
+        labels = got["v"].to_numpy(dtype=np.int64), got["label"].to_numpy(dtype=np.int64)  # a row for each vertex at most
+    shared = spark.sparkContext.broadcast((compressed_rows(graph, most_arcs), labels))
 
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        import os
-
-        ids, starts, flat = shared.value
+        (ids, starts, flat), own = shared.value
         at = {int(v): k for k, v in enumerate(ids)}
         neighbours = lambda v: flat[starts[at[v]] : starts[at[v] + 1]]
-        run = compile_plan(plan, policy, stats, emit) if engine == "generated" else interpreted(plan)
+        labelled = Labels(*own) if own else None
+        worker = _Worker(plan, policy, stats, emit, engine)
         for batch in batches:
-            out, rows = [], []
+            out: list = []
             for root, part, parts in zip(*(c.to_pylist() for c in batch.columns)):
-                count = dict.fromkeys(("cnt", "adjacency", "aux", "prefix", "lists_considered", "lists_built", "aux_bytes"), 0)
-                began = time.perf_counter()
-                run(neighbours, root, part, parts, count, rows)
-                out.append((root, part, *count.values(), (time.perf_counter() - began) * 1000, os.getpid()))
-            if emit:
-                columns = list(zip(*rows)) or [[]] * n
-                yield pa.RecordBatch.from_arrays([pa.array(columns[order.index(v)], pa.int64()) for v in range(n)], [f"v{v + 1}" for v in range(n)])
-            else:
-                kinds = [pa.int64(), pa.int32(), *[pa.int64()] * 7, pa.float64(), pa.int32()]
-                yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(list(zip(*out)) or [[]] * 11, kinds)], [f.split(" ")[0] for f in COUNTERS.split(", ")])
+                for rows in worker.one(neighbours, labelled, root, part, parts, out):
+                    yield worker.rows(rows)
+            if not emit:
+                yield worker.counters(out)
 
-    parts = F.greatest(F.lit(1), F.ceil(F.col("deg") / split_threshold)).cast("int") if nested else F.lit(1)
-    roots = graph.degrees.withColumn("parts", parts).select("u", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)).alias("part"), "parts")
     tasks = tasks or 4 * spark.sparkContext.defaultParallelism
-    roots = roots.repartition(tasks, F.xxhash64("u", "part"))
-    return roots.mapInArrow(work, ", ".join(f"v{v + 1} long" for v in range(n)) if emit else COUNTERS)
+    return roots.repartition(tasks, F.xxhash64("root", "part")).mapInArrow(work, schema)
+
+
+def _by_ego(graph: Graph, plan: ExecutionPlan, policy: Policy, stats: GraphStats | None, emit: bool, engine: str, roots: DataFrame, schema: str) -> DataFrame:
+    def work(group: pa.Table) -> Iterator[pa.RecordBatch]:
+        lists = dict(zip(group.column("u").to_pylist(), (x.values.to_numpy() for x in group.column("nbrs"))))
+        labelled = None
+        if plan.schedule.pattern.labels is not None:
+            ids = np.concatenate(list(lists.values()))
+            named = np.concatenate([x.values.to_numpy() for x in group.column("labels")]).astype(np.int64)
+            ids, first = np.unique(ids, return_index=True)
+            labelled = Labels(ids, named[first])
+        worker, out = _Worker(plan, policy, stats, emit, engine), []
+        root, part, parts = (group.column(c)[0].as_py() for c in ("root", "part", "parts"))
+        batches = [worker.rows(rows) for rows in worker.one(lists.__getitem__, labelled, root, part, parts, out)]
+        return pa.Table.from_batches(batches if emit else [worker.counters(out)])
+
+    return roots.join(ego_lists(graph, plan), "root").groupBy("root", "part").applyInArrow(work, schema)

@@ -86,3 +86,32 @@ def gain(reuse: Column, degree: Column, overlap: Column, keep_size: Column) -> C
 
 def gain_value(reuse: float, degree: float, overlap: float, keep_size: float) -> float:
     return reuse * (degree - overlap) - (keep_size + degree)
+
+
+def worth(plan: ExecutionPlan, spec: AuxSpec, model: CostModel, classes: list[tuple[float, float]], join_cost: float) -> bool:
+    """Whether a pruned list's positive gains, summed over a graph's degree classes (degree, vertices), exceed its look-ups.
+
+    The first vertex's degree stands for the sizes of the first sets, which shrink as the model expects; list owners are met
+    in proportion to their degree. Every read is one look-up, also of lists that are not made.
+    """
+    ends = sum(d * n for d, n in classes)
+    gained = looked_up = 0.0
+    for s, n in classes:
+        rows, size = n, {}
+        for d in range(2, spec.h + 1):  # partial matches of the depth at which the list is made
+            rows *= s * model.shrink(plan, 1, d, d - 1)
+        for d in range(spec.h + 1, plan.n + 1):
+            size[d] = s * model.shrink(plan, 1, d, spec.h) if plan.key(spec.h, d) else float(model.stats.n_vertices)
+        k0, i0 = spec.consumers[0]
+        reuse = 0.0
+        for k in sorted({k for k, _ in spec.consumers}):
+            product = float(sum(1 for kk, _ in spec.consumers if kk == k))
+            for d in range(spec.h + 1, k + 1):
+                product *= size[d] * model.shrink(plan, spec.h, d, d - 1)
+            reuse += product / max(1.0, size[k0])
+        lists = rows * size[k0]
+        looked_up += lists * reuse
+        for d, m in classes:
+            one = gain_value(reuse, d, size[i0] * d / max(1, model.stats.n_vertices), size[i0])
+            gained += lists * (d * m / max(1.0, ends)) * max(0.0, one)
+    return gained > join_cost * looked_up

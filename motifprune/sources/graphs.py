@@ -41,9 +41,9 @@ def read_edge_list(spark: SparkSession, path: str, sep: str = r"\s+", comment: s
     return from_edges(lines.select(part[0].cast("long").alias("a"), part[1].cast("long").alias("b")))
 
 
-def triangle_count(edges: DataFrame) -> DataFrame:
+def triangle_count(edges: DataFrame, degrees: DataFrame | None = None) -> DataFrame:
     """One row n_triangles: edges run from lower to higher degree, so no vertex starts many two-paths."""
-    degree = symmetrise(edges).groupBy("u").agg(F.count("*").alias("d"))
+    degree = symmetrise(edges).groupBy("u").agg(F.count("*").alias("d")) if degrees is None else degrees.select("u", F.col("deg").alias("d"))
     low = degree.select(F.col("u").alias("src"), F.col("d").alias("ds"))
     high = degree.select(F.col("u").alias("dst"), F.col("d").alias("dd"))
     up = edges.join(low, "src").join(high, "dst")
@@ -151,7 +151,10 @@ def edges_sql(name: str, dialect: str = "duckdb", **options) -> str:
 
 
 def similar_vectors(vectors: DataFrame, least: float, block: int = 1000) -> DataFrame:
-    """Pairs (a, b) of vectors with cosine at least `least`, by products of bounded blocks."""
+    """Pairs (a, b) of vectors with cosine at least `least`, exactly: all pairs are compared, by products of bounded blocks.
+
+    Each vector is sent to every block, so rows and work grow with the square of the vectors; that is what all exact pairs cost.
+    """
     n = vectors.count()
     blocks = -(-n // block) or 1
     dealt = vectors.select("vec_id", "embedding", F.pmod(F.xxhash64("vec_id"), F.lit(blocks)).alias("own"))
@@ -224,13 +227,25 @@ class Graph:
 
     def stats_frame(self) -> DataFrame:
         shape = self.degrees.agg(F.count("*").alias("n_vertices"), F.expr("cast(coalesce(sum(deg), 0) / 2 as bigint)").alias("n_edges"), F.coalesce(F.max("deg"), F.lit(0)).cast("long").alias("d_max"))
-        return shape.join(F.broadcast(triangle_count(self.edges)))  # one row each
+        return shape.join(F.broadcast(triangle_count(self.edges, self.degrees)))  # one row each
 
     @cached_property
     def stats(self) -> GraphStats:
         r = self.stats_frame().first()
         return GraphStats(r["n_vertices"], r["n_edges"], r["n_triangles"], r["d_max"], self.triangle_unit)
 
+    @cached_property
+    def degree_classes(self) -> list[tuple[float, float]]:
+        """(mean degree, vertices) of each quarter octave of degrees: some hundred rows at most."""
+        quarter = F.floor(4 * F.log2(F.col("deg").cast("double")))
+        return [(r["d"], float(r["n"])) for r in self.degrees.groupBy(quarter.alias("q")).agg(F.avg("deg").alias("d"), F.count("*").alias("n")).orderBy("q").collect()]
+
+    def release(self) -> None:
+        """Frees the persisted edges and lists; both are computed anew if needed."""
+        self.edges.unpersist()
+        if "adj" in self.__dict__:
+            self.adj.unpersist()
+
     def summary(self) -> DataFrame:
         return self.degrees.agg(F.count("*").alias("n_vertices"), F.expr("cast(coalesce(sum(deg), 0) / 2 as bigint)").alias("n_edges"), F.max("deg").cast("long").alias("d_max"), F.round(F.avg("deg"), 9).alias("d_avg"))
 
@@ -258,8 +273,10 @@ class Graph:
         return Graph(inside.select("src", "dst"), self.labels, self.name)
 
     def sample_edges(self, share: float, seed: int = 0) -> Graph:
-        """Each edge with the given probability, by a hash: the same edges on every run."""
-        return Graph(self.edges.where(F.pmod(F.xxhash64("src", "dst", F.lit(seed)), F.lit(1_000_000)) < int(share * 1_000_000)), self.labels, self.name)
+        """Each edge with the given probability, by a hash: the same edges on every run and in every engine that has md5."""
+        digest = F.md5(F.concat_ws("-", F.lit(str(seed)), "src", "dst").cast("binary"))
+        place = F.conv(F.substring(digest, 1, 8), 16, 10).cast("long")
+        return Graph(self.edges.where(place < int(share * (1 << 32))), self.labels, self.name)
 
     def k_core(self, k: int) -> Graph:
         """What is left after vertices of degree under k have gone, again and again."""

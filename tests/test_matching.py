@@ -122,5 +122,118 @@ def test_gain_is_filtered_before_lists_are_joined(small):
     g, _ = small
     run = runner(g, CATALOGUE["clique4"], "edge", "online", bound_prefix=False)
     spec = run.plan.aux[0]
-    text = run.build_aux(run.start(), 0, spec)._jdf.queryExecution().optimizedPlan().toString()
-    assert "gain" in text or "reuse" in text
+    lists = run._lists(run.considered(run.start(), spec).where("gain > 0"), spec)
+    text = lists._jdf.queryExecution().optimizedPlan().toString().splitlines()
+    depth = lambda line: len(line) - len(line.lstrip(" :+-"))
+    gain = next(k for k, line in enumerate(text) if ("Join Inner" in line or "Filter" in line) and "reuse#" in line and "> " in line)
+    joined = next(k for k, line in enumerate(text) if "Join LeftOuter" in line)
+    assert joined < gain and depth(text[joined]) < depth(text[gain])  # lists join what the filter lets through
+    assert run.build_aux(run.start(), 0, spec).count() == run.considered(run.start(), spec).where("gain > 0").count()
+
+
+@pytest.mark.parametrize("variant", ["edge", "vertex"])
+def test_every_engine_heeds_labels(spark, variant):
+    pairs = some_graph(9, 0.6, 6)
+    labels = {v: v % 3 for v in range(8)}  # one vertex has none
+    g = Graph.of(spark, pairs, labels)
+    for p in (Pattern.of([(0, 1), (1, 2)], (0, 1, 2)), Pattern.of([(0, 1), (1, 2), (0, 2), (2, 3)], (0, 1, 2, 1))):
+        want = len(brute_force(set(pairs), p, variant, labels))
+        assert want or variant == "vertex" and p.n == 4
+        assert match(g, p, variant, output="count").first()[0] == want
+        assert match_without_prefix_sets(g, p, variant).first()[0] == want
+        for options in ({"policy": "none"}, {"policy": "online"}, {"policy": "none", "engine": "interpreted"}, {"policy": "eager", "most_arcs": 1}):
+            assert kernel.match_kernel(g, make_plan(p, variant), **options).agg(F.sum("cnt")).first()[0] == want
+    with pytest.raises(ValueError, match="labelled"):
+        kernel.match_kernel(Graph(g.edges), make_plan(p), "none")
+
+
+@pytest.mark.parametrize("name,variant", [("clique4", "edge"), ("house5", "vertex"), ("cycle5", "edge"), ("prism6", "vertex")])
+def test_graphs_beyond_the_broadcast_bound(small, name, variant):
+    g, edges = small
+    plan = make_plan(CATALOGUE[name], variant)
+    want = brute_force(edges, CATALOGUE[name], variant)
+    near, whole = (kernel.match_kernel(g, plan, "online", nested=True, split_threshold=3, most_arcs=most) for most in (1, 1 << 30))
+    measures = [F.sum(m).alias(m) for m in kernel.MEASURES]
+    assert near.agg(*measures).first() == whole.agg(*measures).first() and near.agg(F.sum("cnt")).first()[0] == len(want)
+    assert "Broadcast" not in near._jdf.queryExecution().optimizedPlan().toString()
+    rows = kernel.match_kernel(g, plan, "none", output="rows", most_arcs=1)
+    assert {tuple(r) for r in rows.collect()} == {tuple(r) for r in match(g, CATALOGUE[name], variant).collect()}
+
+
+def test_rows_of_one_root_come_in_bounded_batches(spark, monkeypatch):
+    monkeypatch.setattr(kernel, "ROWS_A_BATCH", 50)
+    kernel.compile_plan.cache_clear()
+    star = Graph.of(spark, [(0, k) for k in range(1, 41)])
+    worker = kernel._Worker(make_plan(CATALOGUE["wedge"]), Policy("none"), None, True, "generated")
+    out, lists = [], {0: __import__("numpy").arange(1, 41), **{k: __import__("numpy").array([0]) for k in range(1, 41)}}
+    sizes = [len(b) for v in range(41) for b in worker.one(lists.__getitem__, None, v, 0, 1, out)]
+    assert sum(sizes) == 780 and max(sizes) < 50 + 41
+    assert kernel.match_kernel(star, make_plan(CATALOGUE["wedge"]), "none", output="rows").count() == 780
+    kernel.compile_plan.cache_clear()
+
+
+def test_list_measures(small):
+    g, _ = small
+    plan = make_plan(CATALOGUE["near_clique5"], "vertex")
+    r = kernel.match_kernel(g, plan, "eager").agg(*(F.sum(m).alias(m) for m in kernel.MEASURES), F.max("aux_bytes").alias("most")).first()
+    assert 0 < r["lists_used"] <= r["lists_built"] <= r["lists_considered"] and r["most"] > 0
+    assert kernel.match_kernel(g, plan, "none").agg(F.sum("aux_bytes"), F.sum("lists_used")).first() == (0, 0)
+
+
+def test_persisted_frames_are_freed(small, tmp_path):
+    g, _ = small
+    store = g.spark.sparkContext._jsc.sc().getPersistentRDDs
+    g.adj.count(), g.stats, g.degree_classes
+    before = store().size()
+    match_batches(g, CATALOGUE["near_clique5"], str(tmp_path / "m"), 3, "vertex", "eager")
+    assert store().size() <= before
+    out = match(g, CATALOGUE["near_clique5"], "vertex", "eager", "count")
+    out.collect()
+    assert store().size() > before
+    del out
+    __import__("gc").collect()
+    assert store().size() <= before
+
+
+def test_hubs_lists_are_made_when_read(small):
+    g, edges = small
+    p = CATALOGUE["near_clique5"]
+    run = runner(g, p, "vertex", Policy("eager", lazy_degree=1))
+    got = run.count()
+    assert got.first()[0] == len(brute_force(edges, p, "vertex"))
+    for j, spec in enumerate(run.plan.aux):
+        keys = run._keys(spec)
+        reads = {tuple(r) for r in run.true_reuse(spec).select(*keys, "x").collect()}
+        made = [tuple(r) for r in run.tables[j].select(*keys, "x").collect()]
+        assert set(made) <= reads and len(made) == len(set(made))  # none that no loop reads, none twice
+
+
+def test_lists_that_cannot_pay_are_left_out(spark):
+    ring = Graph.of(spark, [(k, (k + 1) % 50) for k in range(50)] + [(k, (k + 2) % 50) for k in range(50)])
+    run = runner(ring, CATALOGUE["clique4"])
+    run.last()
+    assert not run.worthwhile and not run.held and not run.tables  # nothing is persisted, joined or built
+    dense = Graph.of(spark, [(a, b) for b in range(60) for a in range(b) if (a * 7 + b * 3) % 5])
+    free = runner(dense, CATALOGUE["near_clique5"], "edge", Policy("online", join_cost=0.0))
+    assert free.worthwhile
+
+
+def test_supersets_prune_alike(spark):
+    """With C within D: C & (D & N) = C & N, and C - (D & N) = C - N."""
+    from motifprune.functions import sets
+
+    random.seed(8)
+    rows = []
+    for _ in range(200):
+        d = sorted(random.sample(range(40), random.randrange(25)))
+        rows.append((sorted(random.sample(d, random.randrange(len(d) + 1))), d, sorted(random.sample(range(40), random.randrange(25)))))
+    df = spark.createDataFrame(rows, "c array<long>, d array<long>, n array<long>")
+    c, d, n = (F.col(x) for x in "cdn")
+    kept = sets.set_intersect(d, n)
+    bad = df.where((sets.set_intersect(c, kept) != sets.set_intersect(c, n)) | (sets.set_subtract(c, kept) != sets.set_subtract(c, n)))
+    assert bad.count() == 0
+    plan = make_plan(CATALOGUE["wheel6"], "vertex")
+    for spec in plan.aux:  # the set that a list is cut to holds each set that it is read for
+        for k, i in spec.consumers:
+            later = plan.key(k - 1, i)
+            assert set(spec.keep[0]) <= set(later[0]) and set(spec.keep[1]) <= set(later[1]) and set(spec.keep[2]) <= set(later[2])
