@@ -62,6 +62,12 @@ def sliced(batches, rows: int = 512):
         pa.default_memory_pool().release_unused()
 
 
+def removed(spark: SparkSession, path: str) -> None:
+    """Deletes a written table that nothing reads any more."""
+    where = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+    where.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(where, True)
+
+
 def swept(spark: SparkSession) -> None:
     """Lets the driver collect its garbage now, which frees the shuffle files of finished steps that nothing holds."""
     gc.collect()

@@ -237,7 +237,7 @@ def test_every_context_has_counts_of_its_own(spark, monkeypatch):
         got = {}
         for name, k, owner in (("one", one, owners[0]), ("two", two, owners[1])):
             for s in set(owner.tolist()):
-                odds, at = lm_scoring._unpacked(bytes(answers[row["chunk"], s][name]), "<i1"), 0
+                odds, at = lm_scoring._filled(lm_scoring._unpacked(bytes(answers[row["chunk"], s][name]), "<i1"), k[owner == s], code, symbol_at), 0
                 for key in k[owner == s].tolist():
                     n = int(code.lengths[symbol_at[key & 0xFFFF]])
                     got[name, key], at = odds[at : at + n], at + n
