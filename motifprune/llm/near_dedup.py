@@ -9,7 +9,7 @@ joint maximum likelihood estimate of the similarity from the sets' sizes and the
 equal) removes pairs far below the threshold, and what remains is confirmed on the full sets.
 
 Equal sets are one vertex. Buckets are cut into blocks of bounded size. A spanning forest of each block's
-plausible pairs is confirmed first, so that a large group of copies is joined by few tests. Members of a large bucket
+plausible pairs, first of some bands and then of what these leave apart, is confirmed first, so that a large group of copies is joined by few tests. Members of a large bucket
 outside its main component then meet all of its blocks, two blocks at a time. What plausible pairs connect is
 a group; groups that are not one component yet are tested whole: cut into blocks of bounded size, each pair of
 blocks compares its full sets in one task and tells only links that join components. So no link between different
@@ -37,6 +37,7 @@ WORDS, PERCENT = 5, 85
 REGISTERS, BASE, RATE, TOP = 256, 1.001, 20.0, 65534
 BLOCK, DEVIATIONS, FILTER_BITS, FILTER_PART = 1024, 7.0, 27, 15
 TEST_ROWS, TEST_HASHES = 256, 100_000  # of a block whose full sets are compared
+FIRST_BANDS = 8
 KEPT_WORDS = 150_000  # about 30 MB in each worker
 _ODD = np.array([0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9, 0xD6E8FEB86659FD93, 0xA0761D6478BD642F], dtype=np.uint64)
 
@@ -373,7 +374,11 @@ def near_duplicates(docs: DataFrame, percent: int = PERCENT) -> DataFrame:
             return rows.withColumn("comp", F.col("v"))
         return rows.join(links, "v", "left").withColumn("comp", F.coalesce("comp", "v"))
 
-    pairs = plausible_forest(members.withColumns({"comp": F.col("v"), "half": F.lit(0)}))
+    # The first bands join most of what is plausible; of the others, blocks that hold one group only are left out.
+    pairs = plausible_forest(members.where(F.col("band") < FIRST_BANDS).withColumns({"comp": F.col("v"), "half": F.lit(0)}))
+    later = labelled(members.where(F.col("band") >= FIRST_BANDS), None if pairs.isEmpty() else components(pairs))
+    mixed = later.groupBy("bucket", "block").agg(F.min("comp").alias("c0"), F.max("comp").alias("c1")).where("c0 <> c1").select("bucket", "block")
+    pairs = common.written(pairs.union(plausible_forest(later.join(mixed, ["bucket", "block"]).withColumn("half", F.lit(0)))), "pairs")
     links, labels = None, None
     if not pairs.isEmpty():
         hashes = _full_sets(texts, vertices, _ends(pairs))
