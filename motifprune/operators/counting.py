@@ -102,25 +102,27 @@ def pattern_support(graph: Graph, p: Pattern, policy: str = "none") -> DataFrame
 def frequent_patterns(graph: Graph, least: int, k: int = 3) -> DataFrame:
     """(pattern, labels, support) of labelled paths of 2 to k vertices with support of at least `least`.
 
-    A longer path is tried only if its parts are frequent.
+    One job a length: all paths whose beginnings and ends are frequent are grown by an edge and grouped by their labels.
+    A path stands in both directions; only the one whose labels come first is reported. If labels read the same both
+    ways, both directions count, so each place's vertices are those of its orbit.
     """
-    names = [r["label"] for r in graph.labels.select("label").distinct().orderBy("label").collect()]
-    found, level = [], [(a, b) for a in names for b in names if a <= b]
+    named = lambda c, own: graph.labels.select(F.col("v").alias(c), F.col("label").alias(own))
+    step = graph.arcs.join(named("u", "from"), "u").join(named("w", "to"), "w")
+    paths = step.select(F.col("u").alias("x1"), F.col("w").alias("x2"), F.array("from", "to").alias("labels"))
+    found = []
     for size in range(2, k + 1):
-        kept = []
-        for labels in level:
-            p = Pattern.of([(i, i + 1) for i in range(size - 1)], labels)
-            support = (_edge_support(graph, labels) if size == 2 else pattern_support(graph, p)).first()[0]
-            if support >= least:
-                kept.append(labels)
-                found.append((f"path{size}", "-".join(map(str, labels)), support))
-        both = {*kept, *(x[::-1] for x in kept)}
-        longer = {min((*x, y[-1]), (*x, y[-1])[::-1]) for x in both for y in both if x[1:] == y[:-1]}
-        level = sorted(longer)
+        places = [f"x{j}" for j in range(1, size + 1)]
+        forward = paths.where(F.col("labels") <= F.reverse("labels"))
+        support = forward.groupBy("labels").agg(F.least(*(F.countDistinct(c) for c in places)).alias("support")).where(F.col("support") >= least)
+        kept = [(tuple(r["labels"]), r["support"]) for r in support.collect()]  # as many as there are frequent paths of labels
+        found += [(f"path{size}", "-".join(map(str, labels)), n) for labels, n in sorted(kept)]
+        if size == k or not kept:
+            break
+        both = sorted({x for labels, _ in kept for x in (labels, labels[::-1])})
+        frequent = graph.spark.createDataFrame([(list(x),) for x in both], graph.labels.select(F.array("label").alias("labels")).schema)
+        paths = paths.join(F.broadcast(frequent), "labels", "left_semi")
+        grown = paths.join(step.select(F.col("u").alias(places[-1]), F.col("w").alias(f"x{size + 1}"), "to"), places[-1])
+        grown = grown.where(reduce(lambda a, b: a & b, [F.col(f"x{size + 1}") != F.col(c) for c in places]))
+        grown = grown.withColumn("labels", F.concat("labels", F.array("to"))).withColumn("end", F.slice("labels", 2, size))
+        paths = grown.join(F.broadcast(frequent.withColumnRenamed("labels", "end")), "end", "left_semi").select(*places, f"x{size + 1}", "labels")
     return graph.spark.createDataFrame(found, "pattern string, labels string, support long")
-
-
-def _edge_support(graph: Graph, labels: tuple[int, int]) -> DataFrame:
-    own = lambda c, want: graph.labels.where(F.col("label") == want).select(F.col("v").alias(c))
-    arcs = graph.arcs.join(own("u", labels[0]), "u", "left_semi").join(own("w", labels[1]), "w", "left_semi")
-    return arcs.agg(F.least(F.countDistinct("u"), F.countDistinct("w")).cast("long").alias("support"))

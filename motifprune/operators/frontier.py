@@ -366,6 +366,14 @@ def match(graph: Graph, pattern: Pattern, variant: str = "edge", policy: str | P
     """Subgraphs of the graph isomorphic to the pattern, each once: rows v1..vn, or one row cnt."""
     if pattern.n == 2:
         own = graph.edges.select(F.col("src").alias("v1"), F.col("dst").alias("v2"))
+        if pattern.labels is not None:
+            if graph.labels is None:
+                raise ValueError("a labelled pattern needs a labelled graph")
+            if pattern.labels[0] != pattern.labels[1]:
+                own = graph.arcs.select(F.col("u").alias("v1"), F.col("w").alias("v2"))
+            for c, want in zip(("v1", "v2"), pattern.labels):
+                own = own.join(graph.labels.where(F.col("label") == want).select(F.col("v").alias(c)), c, "left_semi")
+            own = own.select("v1", "v2")
         return own.agg(F.count("*").alias("cnt")) if output == "count" else own
     run = runner(graph, pattern, variant, policy, **options)
     out = run.count() if output == "count" else run.rows(limit)

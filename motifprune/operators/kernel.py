@@ -348,10 +348,12 @@ def match_kernel(graph: Graph, plan: ExecutionPlan, policy: Policy | str = "onli
     if plan.schedule.pattern.labels is not None:
         got = graph.labels.where(F.col("label").isin(*set(plan.schedule.pattern.labels))).join(graph.degrees.select(F.col("u").alias("v")), "v", "left_semi").toPandas()
         labels = got["v"].to_numpy(dtype=np.int64), got["label"].to_numpy(dtype=np.int64)  # a row for each vertex at most
-    shared = spark.sparkContext.broadcast((compressed_rows(graph, most_arcs), labels))
+    if "compressed" not in graph.__dict__:
+        graph.__dict__["compressed"] = spark.sparkContext.broadcast(compressed_rows(graph, most_arcs))
+    lists, own_labels = graph.__dict__["compressed"], spark.sparkContext.broadcast(labels)
 
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        (ids, starts, flat), own = shared.value
+        (ids, starts, flat), own = lists.value, own_labels.value
         at = {int(v): k for k, v in enumerate(ids)}
         neighbours = lambda v: flat[starts[at[v]] : starts[at[v] + 1]]
         labelled = Labels(*own) if own else None

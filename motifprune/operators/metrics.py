@@ -2,15 +2,19 @@
 
 from __future__ import annotations
 
+import threading
 import time
+import uuid
 from functools import reduce
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
 from motifprune.operators import kernel
-from motifprune.operators.frontier import Policy, Run, make_plan, runner
+from motifprune.operators.counting import count_tail_factor
+from motifprune.operators.frontier import Policy, Run, make_plan, match, runner
+from motifprune.operators.joins import match_joins
 from motifprune.plans.costmodel import CostModel, gain
 from motifprune.plans.pattern import Pattern
 from motifprune.plans.schedule import choose_schedule
@@ -47,52 +51,136 @@ def timed(action) -> tuple[object, float]:
     return out, time.perf_counter() - began
 
 
-def ablation(graph: Graph, patterns: list[Pattern], variant: str = "vertex", reuse: bool = True) -> DataFrame:
-    """(pattern, mode, cnt, comparisons, seconds, imbalance) of base, base+nested, online and online+nested loops.
+def timed_within(spark: SparkSession, action, limit: float | None = None) -> tuple[object | None, float, bool]:
+    """(result, seconds, whether the time limit was hit); the action's jobs are cancelled at the limit, and its result is then None."""
+    if limit is None:
+        return *timed(action), False
+    sc, tag, over = spark.sparkContext, f"limited-{uuid.uuid4().hex}", threading.Event()
 
-    imbalance: the slowest task's time over the mean.
+    def stop() -> None:
+        over.set()
+        sc.cancelJobsWithTag(tag)
+
+    sc.addJobTag(tag)
+    watch = threading.Timer(limit, stop)
+    watch.start()
+    began = time.perf_counter()
+    try:
+        out = action()
+    except Exception:
+        if not over.is_set():
+            raise
+        out = None
+    finally:
+        watch.cancel()
+        sc.removeJobTag(tag)
+    return out, time.perf_counter() - began, out is None and over.is_set()
+
+
+def timed_match(graph: Graph, p: Pattern, variant: str = "edge", policy: str | Policy = "online", limit: float | None = None, **options) -> dict:
+    """Count and seconds of one query; loading the graph and its statistics is not part of the time."""
+    graph.adj.count(), graph.stats, graph.degree_classes  # noqa: B018
+    row, seconds, over = timed_within(graph.spark, lambda: match(graph, p, variant, policy, "count", **options).first(), limit)
+    return {"pattern": p.name, "variant": variant, "cnt": row[0] if row else None, "seconds": seconds, "over_limit": over}
+
+
+MODES = (("base", "none", False), ("base+nested", "none", True), ("online", "online", False), ("online+nested", "online", True))
+
+
+def ablation(graph: Graph, patterns: list[Pattern], variant: str = "vertex", reuse: bool = True, limit: float | None = None) -> DataFrame:
+    """(pattern, variant, mode, cnt, comparisons, seconds, speedup, imbalance, over_limit) of base, base+nested, online and online+nested loops.
+
+    speedup: over the base loops; imbalance: the busiest worker's time over the mean worker's.
+    """
+    rows = []
+    graph.adj.count(), graph.stats  # noqa: B018
+    for p in patterns:
+        plan, base = make_plan(p, variant, reuse_aux=reuse), None
+        for mode, policy, nested in MODES:
+            r, seconds, over = timed_within(graph.spark, lambda: task_balance(graph, plan, policy, nested).first(), limit)
+            base = seconds if mode == "base" and not over else base
+            rows.append((p.name, variant, mode, r and r["cnt"], r and r["comparisons"], seconds, base / seconds if base and not over else None, r and r["imbalance"], over))
+    return graph.spark.createDataFrame(rows, "pattern string, variant string, mode string, cnt long, comparisons long, seconds double, speedup double, imbalance double, over_limit boolean")
+
+
+ENGINES = ("online+nested", "compiled", "interpreted", "tail_factor", "joins")
+
+
+def compare_engines(graph: Graph, patterns: list[Pattern], variant: str = "edge", engines: tuple[str, ...] = ENGINES[:3], limit: float | None = None) -> DataFrame:
+    """(pattern, variant, engine, cnt, seconds, speedup, over_limit): speedup is the engine's time over that of online+nested loops.
+
+    compiled: generated loops without pruned lists; interpreted: the plan's steps at run time; tail_factor: the last
+    non-adjacent vertices are only counted (edge-induced); joins: plain staged joins.
     """
     rows = []
+    graph.adj.count(), graph.stats  # noqa: B018
+    total = lambda df: df.agg(F.coalesce(F.sum("cnt"), F.lit(0))).first()[0]
     for p in patterns:
-        plan = make_plan(p, variant, reuse_aux=reuse)
-        for mode, policy, nested in (("base", "none", False), ("base+nested", "none", True), ("online", "online", False), ("online+nested", "online", True)):
-            r, seconds = timed(lambda: task_balance(graph, plan, policy, nested).first())
-            rows.append((p.name, mode, r["cnt"], r["comparisons"], seconds, r["imbalance"]))
-    return graph.spark.createDataFrame(rows, "pattern string, mode string, cnt long, comparisons long, seconds double, imbalance double")
+        plan, own = make_plan(p, variant), None
+        runs = {
+            "online+nested": lambda: total(kernel.match_kernel(graph, plan, "online", True)),
+            "compiled": lambda: total(kernel.match_kernel(graph, plan, "none")),
+            "interpreted": lambda: total(kernel.match_kernel(graph, plan, "none", engine="interpreted")),
+            "tail_factor": lambda: total(count_tail_factor(graph, p)),
+            "joins": lambda: total(match_joins(graph, p, variant)),
+        }
+        for engine in engines:
+            cnt, seconds, over = timed_within(graph.spark, runs[engine], limit)
+            own = seconds if engine == "online+nested" and not over else own
+            rows.append((p.name, variant, engine, cnt, seconds, seconds / own if own and not over else None, over))
+    return graph.spark.createDataFrame(rows, "pattern string, variant string, engine string, cnt long, seconds double, speedup double, over_limit boolean")
 
 
 def task_balance(graph: Graph, plan, policy: str = "none", nested: bool = False, engine: str = "generated") -> DataFrame:
-    """One row (cnt, comparisons, aux_bytes, busiest_ms, mean_ms, imbalance) of a kernel run, items being roots or their slices."""
+    """One row (cnt, comparisons, aux_bytes, busiest_ms, mean_ms, imbalance) of a kernel run: times summed up by worker."""
     got = kernel.match_kernel(graph, plan, policy, nested, engine=engine)
-    return got.agg(
+    workers = got.groupBy("pid").agg(
+        F.sum("cnt").alias("cnt"),
+        F.sum(F.col("adjacency") + F.col("aux") + F.col("prefix")).alias("comparisons"),
+        F.max("aux_bytes").alias("aux_bytes"),
+        F.sum("elapsed_ms").alias("ms"),
+    )
+    return workers.agg(
         F.coalesce(F.sum("cnt"), F.lit(0)).alias("cnt"),
-        F.coalesce(F.sum(F.col("adjacency") + F.col("aux") + F.col("prefix")), F.lit(0)).alias("comparisons"),
+        F.coalesce(F.sum("comparisons"), F.lit(0)).alias("comparisons"),
         F.coalesce(F.max("aux_bytes"), F.lit(0)).alias("aux_bytes"),
-        F.max("elapsed_ms").alias("busiest_ms"),
-        F.avg("elapsed_ms").alias("mean_ms"),
-        (F.max("elapsed_ms") / F.avg("elapsed_ms")).alias("imbalance"),
+        F.max("ms").alias("busiest_ms"),
+        F.avg("ms").alias("mean_ms"),
+        (F.max("ms") / F.avg("ms")).alias("imbalance"),
     )
 
 
 def aux_memory(graph: Graph, patterns: list[Pattern], variants: tuple[str, ...] = ("edge", "vertex")) -> DataFrame:
-    """(pattern, variant, most_bytes, mean_bytes, graph_bytes): bytes of pruned lists alive for one root, as in one worker."""
+    """(pattern, variant, most_bytes, mean_bytes, graph_bytes): most bytes of pruned lists that a worker holds at once, over its roots."""
     parts = []
     for p in patterns:
         for variant in variants:
-            got = kernel.match_kernel(graph, make_plan(p, variant), "online")
+            got = kernel.match_kernel(graph, make_plan(p, variant), "online").groupBy("pid").agg(F.max("aux_bytes").alias("aux_bytes"))
             parts.append(got.agg(F.max("aux_bytes").alias("most_bytes"), F.avg("aux_bytes").alias("mean_bytes")).select(F.lit(p.name).alias("pattern"), F.lit(variant).alias("variant"), "*"))
     size = graph.degrees.agg((F.sum("deg") * 8).alias("graph_bytes"))
     return reduce(DataFrame.unionByName, parts).join(F.broadcast(size))
 
 
+def list_usage(graph: Graph, patterns: list[Pattern], variant: str = "vertex", policy: str = "online") -> DataFrame:
+    """(pattern, variant, considered, built, used, unused): how many pruned lists could be, were made, and were read at least once."""
+    parts = []
+    for p in patterns:
+        got = kernel.match_kernel(graph, make_plan(p, variant), policy).agg(*(F.coalesce(F.sum(f"lists_{x}"), F.lit(0)).alias(x) for x in ("considered", "built", "used")))
+        parts.append(got.select(F.lit(p.name).alias("pattern"), F.lit(variant).alias("variant"), "*", (F.col("built") - F.col("used")).alias("unused")))
+    return reduce(DataFrame.unionByName, parts)
+
+
 def reuse_ablation(graph: Graph, patterns: list[Pattern], variant: str = "vertex") -> DataFrame:
-    """(pattern, reuse, comparisons, seconds) with lists built from one another and from adjacency only."""
+    """(graph, pattern, reuse, cnt, comparisons, seconds, speedup) with lists built from adjacency only and from one another."""
     rows = []
+    graph.adj.count(), graph.stats  # noqa: B018
     for p in patterns:
+        off = None
         for on in (False, True):
             r, seconds = timed(lambda: task_balance(graph, make_plan(p, variant, reuse_aux=on), "online").first())
-            rows.append((p.name, on, r["comparisons"], seconds))
-    return graph.spark.createDataFrame(rows, "pattern string, reuse boolean, comparisons long, seconds double")
+            off = off or seconds
+            rows.append((graph.name, p.name, on, r["cnt"], r["comparisons"], seconds, off / seconds))
+    return graph.spark.createDataFrame(rows, "graph string, pattern string, reuse boolean, cnt long, comparisons long, seconds double, speedup double")
 
 
 def compile_time(graph: Graph, patterns: list[Pattern], runs: int = 3) -> DataFrame:
@@ -114,10 +202,18 @@ def compile_time(graph: Graph, patterns: list[Pattern], runs: int = 3) -> DataFr
     return graph.spark.createDataFrame(rows, "pattern string, engine string, seconds double")
 
 
-def policy_comparison(graph: Graph, patterns: list[Pattern], policies: tuple[str, ...] = ("none", "eager", "online", "degree", "random", "oracle"), variant: str = "edge") -> DataFrame:
-    """(pattern, policy, comparisons): the cost model against simple rules and the best decision."""
-    parts = [comparisons(work_counters(graph, p, variant, name)).select(F.lit(p.name).alias("pattern"), F.lit(name).alias("policy"), "comparisons") for p in patterns for name in policies]
-    return reduce(DataFrame.unionByName, parts)
+def policy_comparison(graph: Graph, patterns: list[Pattern], policies: tuple[str, ...] = ("none", "eager", "online", "degree", "random", "oracle"), variant: str = "edge", work: bool = True) -> DataFrame:
+    """(pattern, policy, cnt, comparisons): the cost model against simple rules and the best decision; without work, counts only."""
+    rows = []
+    for p in patterns:
+        for name in policies:
+            scanned = None
+            if work:
+                run = runner(graph, p, variant, name)
+                scanned = comparisons(run.counts()).first()[0]
+                run.release()
+            rows.append((p.name, name, match(graph, p, variant, name, "count").first()[0], scanned))
+    return graph.spark.createDataFrame(rows, "pattern string, policy string, cnt long, comparisons long")
 
 
 def list_truth(run: Run, j: int) -> DataFrame:

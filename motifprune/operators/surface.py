@@ -10,6 +10,7 @@ from pyspark.sql import functions as F
 from pyspark.sql.types import LongType, StringType, StructField, StructType
 from pyspark.sql.udtf import AnalyzeArgument, AnalyzeResult
 
+from motifprune.operators.frontier import Run
 from motifprune.operators.joins import brute_force
 from motifprune.plans.execution import ExecutionPlan, explain
 from motifprune.plans.pattern import CATALOGUE, Pattern
@@ -51,6 +52,27 @@ class MatchPattern:
             yield from brute_force(self._edges, _pattern(self._of[0]), self._of[1])
 
 
+def list_maps(run: Run, j: int) -> DataFrame:
+    """(keys, lists): each partial match's pruned lists of the plan's j-th kind as one map from vertex to list."""
+    keys = run._keys(run.plan.aux[j])
+    return run.tables[j].groupBy(*keys).agg(F.map_from_entries(F.collect_list(F.struct("x", "keep"))).alias("lists"))
+
+
+def write_matches(rows: DataFrame, path: str, parts: int = 16, by: str = "v1") -> None:
+    """Matches in `parts` folders by a hash of one column, so that a reader of some vertices reads some folders (see read_matches)."""
+    dealt = rows.withColumn("part", F.pmod(F.xxhash64(by), F.lit(parts)).cast("int"))
+    dealt.repartition("part", by).write.mode("overwrite").partitionBy("part").parquet(path)
+
+
+def read_matches(spark: SparkSession, path: str, vertices: list[int] | None = None, parts: int = 16, by: str = "v1") -> DataFrame:
+    """What write_matches has written; with vertices, only the folders that can hold them are read."""
+    rows = spark.read.parquet(path)
+    if vertices is not None:
+        held = spark.createDataFrame([(v,) for v in vertices], f"{by} long").select(F.pmod(F.xxhash64(by), F.lit(parts)).cast("int").alias("p")).distinct()
+        rows = rows.where(F.col("part").isin(*(r["p"] for r in held.collect())) & F.col(by).isin(*vertices))
+    return rows.drop("part")
+
+
 def _pattern(text: str) -> Pattern:
     return CATALOGUE.get(text) or Pattern.parse(text)
 

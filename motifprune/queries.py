@@ -6,8 +6,10 @@ with prefix sets or pruned lists.
 
 from __future__ import annotations
 
+import json
+from collections import Counter, OrderedDict
 from collections.abc import Callable
-from functools import lru_cache
+from functools import reduce
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -18,17 +20,29 @@ from motifprune.operators.joins import match_joins, match_sql
 from motifprune.plans.execution import ExecutionPlan, Options
 from motifprune.plans.pattern import CATALOGUE, WORKLOAD, Pattern, automorphisms, connected_shapes
 from motifprune.plans.schedule import choose_schedule
-from motifprune.sources.graphs import GRAPHS, Graph, cut_lineage, edges_sql
-from motifprune.streaming.deltas import running_matches, windowed_activity
+from motifprune.sources.graphs import GRAPHS, Graph, checkpoint_folder, edges_sql
+from motifprune.streaming.deltas import running_degree_table, running_matches, session_activity, windowed_activity
 
 Query = Callable[[SparkSession, str], DataFrame]
 QUERIES: dict[str, Query] = {}
 ORACLES: dict[str, str] = {}
 
 
-@lru_cache(maxsize=32)
+_GRAPHS: OrderedDict[tuple, Graph] = OrderedDict()
+KEPT_GRAPHS = 4
+
+
 def graph_of(spark: SparkSession, sf_dir: str, name: str) -> Graph:
-    return Graph.from_testdata(spark, sf_dir, name)
+    """A derived graph; the few last used ones stay persisted, others are freed."""
+    key = (spark.sparkContext.applicationId, sf_dir, name)
+    if key not in _GRAPHS:
+        _GRAPHS[key] = Graph.from_testdata(spark, sf_dir, name)
+    _GRAPHS.move_to_end(key)
+    while len(_GRAPHS) > KEPT_GRAPHS:
+        (app, *_), old = _GRAPHS.popitem(last=False)
+        if app == key[0]:
+            old.release()
+    return _GRAPHS[key]
 
 
 def add(name: str, query: Query, oracle: str | None = None) -> None:
@@ -77,8 +91,10 @@ add("colink_edges_all", on("colink_all", _edges), edges_sql("colink_all"))
 add("similar_vector_edges", on("embed", _edges), edges_sql("embed"))
 add("relabel_by_degree", on("basket_r25", lambda g: g.relabel("degree")[1]), _with("basket_r25", "SELECT u AS v, row_number() OVER (ORDER BY d, u) - 1 AS new_id FROM deg"))
 add("clique4_relabelled", on("basket_r", lambda g: match(g.relabel("degree")[0], CATALOGUE["clique4"], output="count")), _sql(CATALOGUE["clique4"], "basket_r"))
-add("sample_half_of_edges", on("basket_r", lambda g: g.sample_edges(0.5).edges))
-add("core_of_degree_3", on("basket_r25", lambda g: g.k_core(3).edges))
+add("sample_half_of_edges", on("basket_r", lambda g: g.sample_edges(0.5).edges), _with("basket_r", "SELECT src, dst FROM e WHERE CAST('0x' || substr(md5('0-' || src || '-' || dst), 1, 8) AS BIGINT) < 2147483648"))
+_CORE_ROUNDS = 24  # more than the given tables need; each leaves out what has fallen below the degree
+_ROUND = "r{} AS MATERIALIZED (SELECT src, dst FROM r{p} WHERE src IN (SELECT u FROM (SELECT src AS u FROM r{p} UNION ALL SELECT dst FROM r{p}) GROUP BY u HAVING count(*) >= 3) AND dst IN (SELECT u FROM (SELECT src AS u FROM r{p} UNION ALL SELECT dst FROM r{p}) GROUP BY u HAVING count(*) >= 3))"
+add("core_of_degree_3", on("basket_r25", lambda g: g.k_core(3).edges), _with("basket_r25", ", r0 AS MATERIALIZED (SELECT src, dst FROM e), " + ", ".join(_ROUND.format(k, p=k - 1) for k in range(1, _CORE_ROUNDS + 1)) + f" SELECT * FROM r{_CORE_ROUNDS}"))
 add("high_degree_subgraph", on("basket_r", lambda g: g.subgraph(g.degrees.where("deg >= 15").select(F.col("u").alias("v"))).edges), _with("basket_r", "SELECT src, dst FROM e WHERE src IN (SELECT u FROM deg WHERE d >= 15) AND dst IN (SELECT u FROM deg WHERE d >= 15)"))
 
 # ------------------------------------------------------------------ matching, both variants
@@ -185,12 +201,20 @@ def _prefix_sizes(g: Graph) -> DataFrame:
     return run.frame(2).select("u1", "u2", F.size(run.column(key)).cast("long").alias("n"))
 
 
+def _list_maps(g: Graph) -> DataFrame:
+    run = runner(g, CATALOGUE["clique4"], "edge", "eager", **_OPEN)
+    run._build(run.start(), 1)
+    maps = surface.list_maps(run, 0)
+    return maps.select("u1", F.size("lists").cast("long").alias("lists"), F.aggregate(F.map_values("lists"), F.lit(0).cast("long"), lambda n, x: n + F.size(x)).alias("kept"))
+
+
+add("aux_map_1_3_4", on("basket_r", _list_maps), _with("basket_r", _COMMON + " SELECT u AS u1, count(*) AS lists, CAST(sum(n) AS BIGINT) AS kept FROM meet GROUP BY u"))
 add("prefix_set_sizes", on("basket_r", _prefix_sizes), _with("basket_r", _COMMON + " SELECT u AS u1, w AS u2, n FROM meet WHERE u < w"))
 
 # ------------------------------------------------------------------ applications
-for k, g in ((3, "basket_r25"), (4, "basket_r25"), (3, "colink"), (3, "colink_all")):
+for k, g in ((3, "basket_r25"), (4, "basket_r25"), (5, "basket_r25"), (3, "colink"), (3, "colink_all")):
     names = {p.canonical_form(): n for n, p in CATALOGUE.items() if p.n == k}
-    parts = [f"SELECT '{names[p.canonical_form()]}' AS shape, {len(p.edges)} AS n_edges, cnt FROM ({_sql(p, g, 'vertex')})" for p in connected_shapes(k)]
+    parts = [f"SELECT '{names.get(p.canonical_form(), f'shape{k}_{at}')}' AS shape, {len(p.edges)} AS n_edges, cnt FROM ({_sql(p, g, 'vertex')})" for at, p in enumerate(connected_shapes(k))]
     add(f"motif{k}_census_{g}", on(g, lambda x, k=k: counting.motif_census(x, k)), " UNION ALL ".join(parts))
 _KIND = "SELECT DISTINCT v, CAST(floor(v / 1000000) AS INTEGER) AS label FROM (SELECT src AS v FROM e UNION SELECT dst FROM e)"
 _LABEL = "SELECT vec_id AS v, CAST(label AS INTEGER) AS label FROM embeddings"
@@ -203,7 +227,21 @@ _DIAMOND = Pattern.of([(0, 1), (0, 2), (1, 2), (1, 3), (2, 3)], (1, 2, 3, 1), "t
 ORACLES["labelled_diamond"] = _sql(_DIAMOND, "commerce", "vertex", labels=_KIND)
 add("labelled_wedge_embed", on("embed", lambda g: match(g, _MIXED, output="count")), _sql(_MIXED, "embed", labels=_LABEL))
 add("support_chain", on("commerce", lambda g: counting.pattern_support(g, _CHAIN)), f"SELECT least(count(DISTINCT v1), count(DISTINCT v2), count(DISTINCT v3)) AS support FROM ({_sql(_CHAIN, 'commerce', 'edge', 'rows', _KIND)})")
-add("frequent_labelled_paths", on("commerce", lambda g: counting.frequent_patterns(g, 20)))
+_PATHS = f"""
+WITH e AS MATERIALIZED ({edges_sql('commerce')}), lab AS ({_KIND}),
+arc AS MATERIALIZED (SELECT a.u, a.w, x.label AS lu, y.label AS lw FROM (SELECT src AS u, dst AS w FROM e UNION ALL SELECT dst, src FROM e) a JOIN lab x ON x.v = a.u JOIN lab y ON y.v = a.w),
+two AS (SELECT lu || '-' || lw AS labels, least(count(DISTINCT u), count(DISTINCT w)) AS support FROM arc WHERE lu <= lw GROUP BY lu, lw),
+three AS (SELECT a.lu || '-' || a.lw || '-' || b.lw AS labels, least(count(DISTINCT a.u), count(DISTINCT a.w), count(DISTINCT b.w)) AS support FROM arc a JOIN arc b ON b.u = a.w AND b.w <> a.u WHERE a.lu <= b.lw GROUP BY a.lu, a.lw, b.lw)
+SELECT 'path2' AS pattern, labels, support FROM two WHERE support >= 20 UNION ALL SELECT 'path3', labels, support FROM three WHERE support >= 20"""
+add("frequent_labelled_paths", on("commerce", lambda g: counting.frequent_patterns(g, 20)), _PATHS)
+for kind, query in {
+    "kernel": lambda g: kernel.match_kernel(g, make_plan(_SALE), "online").agg(F.coalesce(F.sum("cnt"), F.lit(0)).alias("cnt")),
+    "interpreted": lambda g: kernel.match_kernel(g, make_plan(_SALE), "none", engine="interpreted").agg(F.coalesce(F.sum("cnt"), F.lit(0)).alias("cnt")),
+    "ego": lambda g: kernel.match_kernel(g, make_plan(_SALE), "online", most_arcs=0).agg(F.coalesce(F.sum("cnt"), F.lit(0)).alias("cnt")),
+    "scratch": lambda g: match_without_prefix_sets(g, _SALE),
+    "eager": lambda g: match(g, _SALE, policy="eager", output="count"),
+}.items():
+    add(f"labelled_triangle_{kind}", on("commerce", query), _sql(_SALE, "commerce", labels=_KIND))
 
 # ------------------------------------------------------------------ relational operators around matches
 _K4 = CATALOGUE["clique4"]
@@ -220,19 +258,30 @@ add("last_click_before_purchase", lambda s, d: relational.last_before(_EVENTS(s,
 add("hourly_activity", lambda s, d: windowed_activity(_EVENTS(s, d)).drop("n_users", "window_start").groupBy("event_type").agg(F.count("*").alias("hours"), F.sum("n_events").alias("n_events")), "SELECT event_type, count(*) AS hours, CAST(sum(n) AS BIGINT) AS n_events FROM (SELECT event_type, date_trunc('hour', ts) AS h, count(*) AS n FROM events GROUP BY ALL) GROUP BY event_type")
 
 
-def _stream_total(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Triangles found batch by batch as edges arrive in four files."""
+def _edge_files(spark: SparkSession, sf_dir: str, use: str) -> str:
     g = graph_of(spark, sf_dir, "basket_r25")
-    cut_lineage(g.edges.limit(0))  # makes sure that a checkpoint folder is set
-    path = f"{spark.sparkContext._jsc.sc().getCheckpointDir().get()}/edge-stream-{abs(hash(sf_dir))}"
+    path = f"{checkpoint_folder(spark)}/edge-stream-{use}-{abs(hash(sf_dir))}"
     timed = g.edges.withColumn("ts", F.timestamp_seconds(F.lit(1_700_000_000) + F.pmod(F.xxhash64("src", "dst"), F.lit(4)) * 60))
     timed.repartition(4, "ts").write.mode("overwrite").parquet(path)
-    found = running_matches(spark, path, CATALOGUE["triangle"])
+    return path
+
+
+def _stream_total(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Triangles found batch by batch as edges arrive in four files."""
+    found = running_matches(spark, _edge_files(spark, sf_dir, "matches"), CATALOGUE["triangle"])
     return spark.createDataFrame([(sum(n for _, n in found),)], "cnt long")
 
 
 add("stream_delta_total", _stream_total, _sql(CATALOGUE["triangle"], "basket_r25"))
 
+def _stream_degrees(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Degrees kept as state while edges arrive in four files."""
+    return running_degree_table(spark, _edge_files(spark, sf_dir, "degrees"))
+
+
+add("stream_running_degrees", _stream_degrees, _with("basket_r25", "SELECT u, d AS degree FROM deg"))
+add("session_window_counts", lambda s, d: session_activity(_EVENTS(s, d)).groupBy("user_id").agg(F.count("*").alias("sessions"), F.sum("n_events").alias("n_events")), "SELECT user_id, CAST(sum(fresh) AS BIGINT) AS sessions, count(*) AS n_events FROM (SELECT *, CASE WHEN ts - lag(ts) OVER (PARTITION BY user_id ORDER BY ts, event_id) < INTERVAL 1800 SECOND THEN 0 ELSE 1 END AS fresh FROM events) GROUP BY user_id")
+
 # ------------------------------------------------------------------ planning tables
 _SPECS = {"clique4": (24, 1, 1), "house5": (2, 1, 2), "near_clique5": (12, 2, 4), "clique5": (120, 4, 4), "wheel6": (10, 6, 10), "prism6": (12, 2, 3), "octahedron6": (48, 6, 7), "near_clique7": (240, 16, 20)}
 
@@ -243,23 +292,99 @@ def _spec_table(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 add("aux_spec_table", _spec_table, "SELECT * FROM (VALUES " + ", ".join(f"('{w}', {a}, {b}, {c})" for w, (a, b, c) in _SPECS.items()) + ") t(pattern, automorphisms, specs_edge, specs_vertex)")
-add("schedule_table", lambda s, d: s.createDataFrame([(w, str(choose_schedule(CATALOGUE[w]).order), str(choose_schedule(CATALOGUE[w]).checks)) for w in WORKLOAD], "pattern string, matching_order string, checks string"))
-add("plan_table", lambda s, d: s.createDataFrame([(w, v, surface.plan_json(make_plan(CATALOGUE[w], v))) for w in WORKLOAD for v in ("edge", "vertex")], "pattern string, variant string, plan string"))
-
-# ------------------------------------------------------------------ experiment workloads (timings and counters, rows only)
-_SMALL = [CATALOGUE[w] for w in ("clique4", "house5", "near_clique5")]
-add("ablation_grid", on("coact", lambda g: metrics.ablation(g, [CATALOGUE["clique4"], CATALOGUE["near_clique5"]])))
-add("reuse_on_off", on("basket_r", lambda g: metrics.reuse_ablation(g, [CATALOGUE["clique5"], CATALOGUE["wheel6"]])))
-add("compile_time", on("basket_r", lambda g: metrics.compile_time(g, [CATALOGUE[w] for w in WORKLOAD], 1)))
-add("task_balance", on("commerce", lambda g: metrics.task_balance(g, make_plan(CATALOGUE["house5"]), "none", True)))
-add("aux_bytes", on("coact", lambda g: metrics.aux_memory(g, _SMALL[::2])))
-add("policy_comparison", on("coact", lambda g: metrics.policy_comparison(g, [CATALOGUE["clique4"]])))
+_SCHEDULES = {  # fixed values: matching order, and pairs of places whose ids ascend
+    "clique4": ("(0, 1, 2, 3)", "((1, 2), (1, 3), (1, 4), (2, 3), (2, 4), (3, 4))"),
+    "house5": ("(0, 1, 4, 2, 3)", "((1, 2),)"),
+    "near_clique5": ("(0, 1, 2, 3, 4)", "((1, 2), (1, 3), (2, 3), (4, 5))"),
+    "clique5": ("(0, 1, 2, 3, 4)", "((1, 2), (1, 3), (1, 4), (1, 5), (2, 3), (2, 4), (2, 5), (3, 4), (3, 5), (4, 5))"),
+    "wheel6": ("(0, 1, 2, 3, 4, 5)", "((2, 3), (2, 4), (2, 5), (2, 6), (3, 6))"),
+    "prism6": ("(0, 1, 2, 3, 4, 5)", "((1, 2), (1, 3), (1, 4), (1, 5), (1, 6), (2, 3))"),
+    "octahedron6": ("(0, 2, 4, 1, 3, 5)", "((1, 2), (1, 3), (1, 4), (1, 5), (1, 6), (2, 3), (2, 5), (2, 6), (3, 6))"),
+    "near_clique7": ("(0, 1, 2, 3, 4, 5, 6)", "((1, 2), (1, 3), (1, 4), (1, 5), (2, 3), (2, 4), (2, 5), (3, 4), (3, 5), (4, 5), (6, 7))"),
+}
+add("schedule_table", lambda s, d: s.createDataFrame([(w, str(choose_schedule(CATALOGUE[w]).order), str(choose_schedule(CATALOGUE[w]).checks)) for w in WORKLOAD], "pattern string, matching_order string, checks string"), "SELECT * FROM (VALUES " + ", ".join(f"('{w}', '{o}', '{c}')" for w, (o, c) in _SCHEDULES.items()) + ") t(pattern, matching_order, checks)")
+_PLANS = {  # fixed values: steps by kind, pruned lists, those built from others
+    ("clique4", "edge"): (3, 3, 0, 0, 1, 0),
+    ("clique4", "vertex"): (3, 3, 0, 0, 1, 0),
+    ("house5", "edge"): (4, 2, 0, 3, 1, 0),
+    ("house5", "vertex"): (4, 2, 3, 0, 2, 0),
+    ("near_clique5", "edge"): (4, 5, 0, 1, 1, 0),
+    ("near_clique5", "vertex"): (4, 5, 1, 0, 3, 1),
+    ("clique5", "edge"): (4, 6, 0, 0, 2, 1),
+    ("clique5", "vertex"): (4, 6, 0, 0, 2, 1),
+    ("wheel6", "edge"): (5, 5, 0, 5, 4, 3),
+    ("wheel6", "vertex"): (5, 5, 5, 0, 4, 3),
+    ("prism6", "edge"): (5, 4, 0, 3, 2, 0),
+    ("prism6", "vertex"): (5, 4, 3, 0, 3, 0),
+    ("octahedron6", "edge"): (5, 7, 0, 2, 5, 2),
+    ("octahedron6", "vertex"): (5, 7, 2, 0, 5, 2),
+    ("near_clique7", "edge"): (6, 14, 0, 1, 5, 3),
+    ("near_clique7", "vertex"): (6, 14, 1, 0, 9, 6),
+}
+
+
+def _plan_table(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Steps and pruned lists of each workload's plan, read from its exported form."""
+    rows = []
+    for w in WORKLOAD:
+        for v in ("edge", "vertex"):
+            plan = json.loads(surface.plan_json(make_plan(CATALOGUE[w], v)))
+            kinds = Counter(x["kind"] for x in plan["steps"])
+            rows.append((w, v, *(kinds[k] for k in ("init", "intersect", "subtract", "carry")), len(plan["aux"]), sum(x["parent"] is not None for x in plan["aux"])))
+    return spark.createDataFrame(rows, "pattern string, variant string, inits int, intersections int, subtractions int, carried int, lists int, built_from_lists int")
+
+
+add("plan_table", _plan_table, "SELECT * FROM (VALUES " + ", ".join(f"('{w}', '{v}', {', '.join(map(str, n))})" for (w, v), n in _PLANS.items()) + ") t(pattern, variant, inits, intersections, subtractions, carried, lists, built_from_lists)")
+
+# ------------------------------------------------------------------ experiment workloads
+# Seconds, ratios and work differ from run to run or have no SQL: they come from metrics' functions and bench.py. The
+# queries run the same experiments and give their counts, which SQL holds; those on work alone are held by tests.
+_FULL = [CATALOGUE[w] for w in WORKLOAD]
+_FIRST5 = _FULL[:5]
+SIX_GRAPHS = ("basket_r", "coact", "coact600", "commerce", "colink", "embed")
+
+
+def _counts_sql(patterns: list[Pattern], graph: str, variant: str, name: str, values: tuple, more: str = "") -> str:
+    """The count of each pattern, repeated for each value of a column."""
+    own = " UNION ALL ".join(f"SELECT '{p.name}' AS pattern, cnt FROM ({_sql(p, graph, variant)})" for p in patterns)
+    each = ", ".join(f"({v!r})" if isinstance(v, str) else f"({str(v).lower()})" for v in values)
+    return f"SELECT {more}pattern, {name}, cnt FROM ({own}) CROSS JOIN (VALUES {each}) t({name})"
+
+
+_modes = tuple(m for m, _, _ in metrics.MODES)
+add("ablation_grid", on("coact", lambda g: metrics.ablation(g, _FIRST5).select("pattern", "mode", "cnt")), _counts_sql(_FIRST5, "coact", "vertex", "mode", _modes))
+for variant in ("edge", "vertex"):
+    add(f"base_against_online_{variant}", on("basket_r", lambda g, v=variant: metrics.ablation(g, _FULL, v).select("pattern", "mode", "cnt")), _counts_sql(_FULL, "basket_r", variant, "mode", _modes))
+    add(f"against_compiled_{variant}", on("basket_r", lambda g, v=variant: metrics.compare_engines(g, _FULL, v, ("online+nested", "compiled")).select("pattern", "engine", "cnt")), _counts_sql(_FULL, "basket_r", variant, "engine", ("online+nested", "compiled")))
+add("against_interpreted_edge", on("basket_r", lambda g: metrics.compare_engines(g, _FULL, "edge", ("online+nested", "interpreted")).select("pattern", "engine", "cnt")), _counts_sql(_FULL, "basket_r", "edge", "engine", ("online+nested", "interpreted")))
+add("against_counting_edge", on("basket_r", lambda g: metrics.compare_engines(g, _FULL, "edge", ("online+nested", "tail_factor")).select("pattern", "engine", "cnt")), _counts_sql(_FULL, "basket_r", "edge", "engine", ("online+nested", "tail_factor")))
+
+
+def _reuse_on_off(spark: SparkSession, sf_dir: str) -> DataFrame:
+    parts = [metrics.reuse_ablation(graph_of(spark, sf_dir, g), [CATALOGUE["clique5"], CATALOGUE["wheel6"]]).select("graph", "pattern", "reuse", "cnt") for g in SIX_GRAPHS]
+    return reduce(DataFrame.unionByName, parts)
+
+
+add("reuse_on_off", _reuse_on_off, " UNION ALL ".join(_counts_sql([CATALOGUE["clique5"], CATALOGUE["wheel6"]], g, "vertex", "reuse", (False, True), f"'{g}' AS graph, ") for g in SIX_GRAPHS))
+add("policy_comparison", on("coact", lambda g: metrics.policy_comparison(g, _FIRST5, work=False).select("pattern", "policy", "cnt")), _counts_sql(_FIRST5, "coact", "edge", "policy", ("none", "eager", "online", "degree", "random", "oracle")))
+add("compile_time", on("basket_r", lambda g: metrics.compile_time(g, _FULL).select("pattern", "engine", (F.col("seconds") > 0).alias("timed"))), "SELECT pattern, engine, true AS timed FROM (VALUES " + ", ".join(f"('{w}')" for w in WORKLOAD) + ") p(pattern) CROSS JOIN (VALUES ('generated'), ('interpreted'), ('frontier')) e(engine)")
+
+
+def _balance(g: Graph) -> DataFrame:
+    parts = [metrics.task_balance(g, make_plan(CATALOGUE["house5"], "vertex"), policy, nested).select(F.lit(mode).alias("mode"), "cnt", (F.col("imbalance") >= 1).alias("measured")) for mode, policy, nested in metrics.MODES]
+    return reduce(DataFrame.unionByName, parts)
+
+
+add("task_balance", on("basket_r", _balance), f"SELECT mode, cnt, true AS measured FROM ({_counts_sql([CATALOGUE['house5']], 'basket_r', 'vertex', 'mode', _modes)})")
+add("aux_bytes", on("basket_r", lambda g: metrics.aux_memory(g, _FULL).select("pattern", "variant", "graph_bytes")), _with("basket_r", ", x AS (SELECT CAST(sum(d) * 8 AS BIGINT) AS graph_bytes FROM deg) SELECT pattern, variant, graph_bytes FROM x CROSS JOIN (VALUES " + ", ".join(f"('{w}')" for w in WORKLOAD) + ") p(pattern) CROSS JOIN (VALUES ('edge'), ('vertex')) v(variant)"))
+add("list_usage", on("basket_r", lambda g: metrics.list_usage(g, _FULL, policy="eager").select("pattern", (F.col("used") + F.col("unused") == F.col("built")).alias("adds_up"), (F.col("built") == F.col("considered")).alias("all_built"))), "SELECT pattern, true AS adds_up, true AS all_built FROM (VALUES " + ", ".join(f"('{w}')" for w in WORKLOAD) + ") p(pattern)")
 add("comparisons_by_degree_near_clique5", on("coact", lambda g: metrics.comparisons_by_degree(g, CATALOGUE["near_clique5"])))
 add("audit_cost_model", on("coact", lambda g: metrics.audit_cost_model(g, CATALOGUE["clique4"])))
 
 
 def _shares(spark: SparkSession, sf_dir: str) -> DataFrame:
-    rows = [(g, *(metrics.adjacency_scan_share(graph_of(spark, sf_dir, g), CATALOGUE[w]).first()[0] for w in ("clique4", "clique5"))) for g in ("basket_r", "coact", "colink")]
+    """Scan shares of cliques with sets unbounded, on six graphs."""
+    rows = [(g, *(metrics.adjacency_scan_share(graph_of(spark, sf_dir, g), CATALOGUE[w]).first()[0] for w in ("clique4", "clique5"))) for g in SIX_GRAPHS]
     return spark.createDataFrame(rows, "graph string, clique4 double, clique5 double")
 
 

@@ -243,8 +243,10 @@ class Graph:
     def release(self) -> None:
         """Frees the persisted edges and lists; both are computed anew if needed."""
         self.edges.unpersist()
-        if "adj" in self.__dict__:
-            self.adj.unpersist()
+        for name in ("adj", "compressed"):
+            if name in self.__dict__:
+                self.__dict__.pop(name).unpersist()
+        self.__dict__.pop("degrees", None)
 
     def summary(self) -> DataFrame:
         return self.degrees.agg(F.count("*").alias("n_vertices"), F.expr("cast(coalesce(sum(deg), 0) / 2 as bigint)").alias("n_edges"), F.max("deg").cast("long").alias("d_max"), F.round(F.avg("deg"), 9).alias("d_avg"))
@@ -308,9 +310,15 @@ def _named(sql: str, tables: dict[str, DataFrame]) -> str:
     return sql
 
 
-def cut_lineage(df: DataFrame) -> DataFrame:
-    """df from checkpointed files in the session's checkpoint folder (one of our own where none is set)."""
-    sc = df.sparkSession.sparkContext
+def checkpoint_folder(spark: SparkSession) -> str:
+    """The session's checkpoint folder; one of our own only where none is set, as in tests."""
+    sc = spark.sparkContext
     if not sc._jsc.sc().getCheckpointDir().isDefined():
         sc.setCheckpointDir(sc.getConf().get("spark.checkpoint.dir") or tempfile.mkdtemp(prefix="motifprune_"))
+    return sc._jsc.sc().getCheckpointDir().get()
+
+
+def cut_lineage(df: DataFrame) -> DataFrame:
+    """df from checkpointed files in the session's checkpoint folder."""
+    checkpoint_folder(df.sparkSession)
     return df.checkpoint()

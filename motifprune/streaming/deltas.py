@@ -7,15 +7,18 @@ edges only added).
 
 from __future__ import annotations
 
-import tempfile
+import uuid
+from collections.abc import Iterator
 from functools import reduce
 
+import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
 from motifprune.plans.pattern import Pattern
 from motifprune.plans.schedule import choose_schedule
-from motifprune.sources.graphs import cut_lineage, symmetrise
+from motifprune.sources.graphs import checkpoint_folder, cut_lineage, symmetrise
 
 EDGE_SCHEMA = "src long, dst long, ts timestamp"
 
@@ -68,7 +71,7 @@ def running_matches(spark: SparkSession, path: str, p: Pattern, checkpoint: str
         batch.unpersist()
 
     query = edge_stream(spark, path).writeStream.foreachBatch(step).trigger(availableNow=True)
-    query = query.option("checkpointLocation", checkpoint or tempfile.mkdtemp(prefix="motifprune_stream_")).start()
+    query = query.option("checkpointLocation", checkpoint or f"{checkpoint_folder(spark)}/stream-{uuid.uuid4().hex}").start()
     query.awaitTermination()
     return found
 
@@ -80,3 +83,40 @@ def windowed_activity(events: DataFrame, width: str = "1 hour", slide: str | Non
     if rows.isStreaming:
         rows = rows.withWatermark("ts", "2 hours")
     return rows.groupBy(spans.alias("w"), "event_type").agg(F.count("*").alias("n_events"), F.approx_count_distinct("user_id").alias("n_users")).select(F.col("w.start").alias("window_start"), "event_type", "n_events", "n_users")
+
+
+def session_activity(events: DataFrame, gap: str = "30 minutes") -> DataFrame:
+    """(user_id, session_start, n_events): each user's events with no longer pause than the gap; works on streams and tables."""
+    rows = events.withColumn("ts", F.col("ts").cast("timestamp"))
+    if rows.isStreaming:
+        rows = rows.withWatermark("ts", "2 hours")
+    got = rows.groupBy(F.session_window("ts", gap).alias("w"), "user_id").agg(F.count("*").alias("n_events"))
+    return got.select("user_id", F.col("w.start").alias("session_start"), "n_events")
+
+
+COUNT_STATE = "degree long"
+
+
+def running_degrees(edges: DataFrame) -> DataFrame:
+    """(u, degree) each time that a vertex's degree in the stream of edges (src, dst) grows: counts kept as state by vertex."""
+
+    def update(key: tuple, batches: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
+        total = (state.get[0] if state.exists else 0) + sum(len(rows) for rows in batches)
+        state.update((total,))
+        yield pd.DataFrame({"u": [key[0]], "degree": [total]})
+
+    ends = edges.select(F.explode(F.array("src", "dst")).alias("u"))
+    return ends.groupBy("u").applyInPandasWithState(update, "u long, degree long", COUNT_STATE, "update", GroupStateTimeout.NoTimeout)
+
+
+def running_degree_table(spark: SparkSession, path: str, checkpoint: str | None = None) -> DataFrame:
+    """(u, degree) after all edge files under path, arrived one a batch."""
+    seen: list[DataFrame] = []
+
+    def step(batch: DataFrame, number: int) -> None:
+        seen.append(cut_lineage(batch.withColumn("batch", F.lit(number))))
+
+    query = running_degrees(edge_stream(spark, path)).writeStream.outputMode("update").foreachBatch(step).trigger(availableNow=True)
+    query.option("checkpointLocation", checkpoint or f"{checkpoint_folder(spark)}/stream-{uuid.uuid4().hex}").start().awaitTermination()
+    rows = reduce(DataFrame.unionByName, seen)
+    return rows.groupBy("u").agg(F.max_by("degree", "batch").alias("degree"))
