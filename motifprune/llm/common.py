@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import ctypes
 import gc
 import re
 import tempfile
@@ -59,7 +60,15 @@ def sliced(batches, rows: int = 512):
     for batch in batches:
         for lo in range(0, max(1, batch.num_rows), rows):
             yield batch.slice(lo, rows)
-        pa.default_memory_pool().release_unused()
+        give_back()
+
+
+def give_back() -> None:
+    """Returns memory that this worker has freed to the system, which else keeps what its largest batch took."""
+    pa.default_memory_pool().release_unused()
+    trim = getattr(ctypes.CDLL(None), "malloc_trim", None)  # glibc only
+    if trim:
+        trim(0)
 
 
 def removed(spark: SparkSession, path: str) -> None:
