@@ -681,3 +681,97 @@ def test_packing_in_several_groups(spark, monkeypatch):
             at += n
         assert at <= packing.CAPACITY
     assert len(by) <= 1.03 * sum(lengths) / packing.CAPACITY
+
+
+def test_quality_scores_against_rules_by_hand(spark, docs, rows, real):
+    """The compiled columns against statistics and rules evaluated text by text."""
+    import regex
+
+    marked = spark.read.parquet(f"{SF}/labels.parquet").select("doc_id", F.col("quality").alias("label"))
+    model = quality.train(real, marked)
+    assert model.rules
+
+    def measured(t):
+        words, lines = regex.split(r"[ \t\n\x0b\f\r]+", t), t.split("\n")  # white space of the engine's patterns
+        n, w = float(len(t)), float(len(words))
+        share = lambda signs: sum(map(len, regex.findall(f"{signs}+", t))) / max(n, 1.0)
+        count = lambda p: len(regex.findall(p, t))
+        return {
+            "length": np.log1p(n), "upper": share(r"\p{Lu}"), "letters": share(r"\p{L}"), "digits": share("[0-9]"),
+            "signs": share(r"[^\p{L}\p{N}\s.,;:'-]"), "stops": share("[.,;:]"),
+            "sign_runs": count(r"[^\p{L}\p{N}\s]{2,}") / w, "lone_signs": count(r"(?<!\S)[^\p{L}\p{N}\s]+(?!\S)") / w,
+            "word_length": n / w, "different_words": len(set(words)) / w, "repeated_words": count(r"(?<!\S)(\S{1,40}) \1(?!\S)") / w,
+            "different_lines": len(set(lines)) / len(lines),
+        }
+
+    texts = [r["text"] or "" for r in real.collect()] + [r[1] or "" for r in rows if not r[1] or r[1].isascii()]
+    frame = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    got = {r["doc_id"]: r["score"] for r in quality.score(frame, model).collect()}
+    x = np.array([[measured(t)[k] for k in model.names] for t in texts])
+    by_hand = model.score(x)
+    assert np.abs(by_hand - np.array([got[k] for k in range(len(texts))])).max() < 1e-9
+
+
+def test_language_scores_against_the_kernel_by_hand():
+    """Cells folded into one matrix against kernel sums over landmarks, from sets of cells."""
+    random.seed(12)
+    texts = [(" ".join("".join(random.choice(a) for _ in range(5)) for _ in range(12)), name) for a, name in (("abcde", "p"), ("cdefg", "q"), ("xyzab", "r")) for _ in range(8)]
+    cells = [language_id.presence(t) for t, _ in texts]
+    model = language_id.fit_kernel([np.packbits(c).tobytes() for c in cells], [n for _, n in texts], landmarks=9)
+    sets = [set(np.flatnonzero(c).tolist()) for c in cells]
+    marks = [k for n in "pqr" for k in [k for k, (_, own) in enumerate(texts) if own == n][:3]]
+    kernel = lambda a, b: len(a & b) / np.sqrt(len(a) * len(b))
+    across = np.array([[kernel(s, sets[m]) for m in marks] for s in sets])
+    target = np.array([[1.0 if n == own else -1.0 for n in "pqr"] for _, own in texts])
+    weigh = np.full((len(texts), 1), 1 / 8)
+    left = across.T @ (across * weigh) + language_id.RIDGE * (np.array([[kernel(sets[a], sets[b]) for b in marks] for a in marks]) + 1e-6 * np.eye(9))
+    alpha = np.linalg.solve(left, across.T @ (target * weigh))
+    fresh = [language_id.presence("abc bcd cde " + t) for t, _ in texts[::3]]
+    want = np.array([[kernel(set(np.flatnonzero(c).tolist()), sets[m]) for m in marks] for c in fresh]) @ alpha
+    assert np.abs(model.margins(np.stack(fresh)) - want).max() < 2e-3 * np.abs(want).max()
+
+
+def test_language_model_scores_by_hand(spark):
+    """The score of texts against the same mixing done decision by decision, from counts of contexts in plain dictionaries."""
+    rng = np.random.default_rng(21)
+    texts = [" ".join(f"w{k}" for k in rng.zipf(1.5, 60) % 40) for _ in range(24)]
+    learn = list(range(18))
+    got = {r["doc_id"]: r["score"] for r in lm_scoring.score(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string"), F.col("doc_id") < 18).collect()}
+    words = [[*lm_scoring.words_of(t), lm_scoring.END] for t in texts]
+    counts = Counter(w for k in learn for w in words[k])
+    head = sorted(counts.items(), key=lambda x: (-x[1], x[0]))
+    code = lm_scoring.huffman(head, 1)
+    start = lm_scoring.learnt_start(lm_scoring._sample(spark.createDataFrame([(k, texts[k]) for k in learn], "doc_id long, text string"), sum(len(texts[k]) for k in learn)), code)
+    path = lambda s: [(int(code.nodes[a]), int(code.bits[a])) for a in range(int(code.starts[s]), int(code.starts[s] + code.lengths[s]))]
+    name = lambda w: code.symbols.get(w, w[-2:])
+    met = {}
+    contexts = lambda ws, j: [("any", ()), ("two", (name(ws[j - 2]) if j > 1 else None, name(ws[j - 1]) if j else None) if not j or ws[j - 1] in code.symbols else None), ("often", next((code.symbols[w] for w in reversed(ws[:j]) if w in code.symbols), None))]
+    for k in learn:
+        for j, w in enumerate(words[k]):
+            for c in contexts(words[k], j)[1:] + [("one", name(words[k][j - 1]) if j else "start")]:
+                for node, bit in path(code.symbols[w]):
+                    met.setdefault((c, node), [0, 0])[bit] += 1
+
+    def odds(c, node):
+        zeros, ones = met.get((c, node), (0, 0))
+        return 0.25 * float(lm_scoring._quarters(np.array([zeros]), np.array([ones]))[0]) if c[1] is not None else 0.0
+
+    for k in range(24):
+        weights, cells, total = start.weights.copy(), start.cells.copy(), 0.0
+        for j, w in enumerate(words[k]):
+            s = code.symbols.get(w, code.rare)
+            before = words[k][j - 1] if j else None
+            for d, (node, bit) in enumerate(path(s)):
+                one = odds(("often", code.symbols[before]), node) if before in code.symbols else odds(("one", name(before) if j else "start"), node)
+                two, often = (odds(c, node) for c in contexts(words[k], j)[1:])
+                x = np.array([float(code.node_odds[node]), one, two, often, 0.3])
+                g = min(d, lm_scoring.DEPTHS - 1) * lm_scoring.KNOWN + (one != 0) + 2 * (two != 0)
+                mixed = float(np.clip(weights[g] @ x, -8, 8))
+                p = 1 / (1 + np.exp(-mixed))
+                cell = int(np.rint(mixed * 2)) + 16
+                total += np.log10(np.clip(abs(1 - bit - (0.6 * p + 0.4 * cells[d, cell])), 1e-6, 1 - 1e-6))
+                weights[g] += lm_scoring.RATE * (bit - p) * x
+                cells[d, cell] += lm_scoring.REFINE_RATE * (bit - cells[d, cell])
+            if s == code.rare:
+                total += np.log10(1.0 / 1.0)  # no rare word was met: each has the count 0 of 0
+        assert abs(total - got[k]) < 2e-3 * abs(total)
