@@ -389,3 +389,11 @@ def _shares(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 add("adjacency_scan_shares", _shares)
+
+
+def _clique4_shares(spark: SparkSession, sf_dir: str) -> DataFrame:
+    parts = [metrics.adjacency_scan_share(graph_of(spark, sf_dir, g), CATALOGUE["clique4"], **_OPEN).select(F.lit(g).alias("graph"), "share") for g in SIX_GRAPHS]
+    return reduce(DataFrame.unionByName, parts)
+
+
+add("adjacency_scan_shares_clique4", _clique4_shares, " UNION ALL ".join(f"SELECT '{g}' AS graph, share FROM ({_with(g, _COMMON + _W1_WORK + ' SELECT round(100 * CAST(sum(adjacency) AS DOUBLE) / (sum(prefix) + sum(adjacency)), 6) AS share FROM ops')})" for g in SIX_GRAPHS))
