@@ -94,7 +94,7 @@ _PLAIN_PART = re.compile(rf"[{_LETTERS}]+|[{_SIGNS}]+")
 #: White space to Python alone, or to the vocabulary's pattern alone.
 _ODD_SPACE = re.compile("[\x1c-\x1f\u200b\ufeff]")
 _LONGEST = 64
-CACHE_BYTES, ENTRY_BYTES = 48 << 20, 160  # a worker's room for ids met, and what an entry takes beside its letters and ids
+CACHE_BYTES, ENTRY_BYTES = 128 << 20, 160  # a worker's room for ids met, and what an entry takes beside its letters and ids
 
 
 def _byte_letters() -> dict[int, str]:
