@@ -344,7 +344,7 @@ class Run:
         return self.last().agg(F.coalesce(F.sum(F.size(self.candidates(self.plan.n - 1))), F.lit(0)).cast("long").alias("cnt"))
 
     def counts(self) -> DataFrame:
-        """Counters of a profiled run: (degree_bucket, metric, value)."""
+        """Counters of a profiled run: (degree_bucket, metric, value). What they share stays persisted until release."""
         self.profile = True
         self.counters, self.tables, self.waiting = [], {}, {}
         self.last()
