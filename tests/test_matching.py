@@ -113,6 +113,20 @@ def test_broadcast_bound(small):
         kernel.compressed_rows(small[0], 3)
 
 
+def test_compressed_lists_come_from_tasks_and_keep_ids(spark, monkeypatch):
+    far = 1 << 40
+    pairs = [(far + a, b - far) if (a + b) % 2 else (b - far, far + a) for a in range(6) for b in range(7) if (a * b) % 4 != 1]
+    g = Graph.of(spark, pairs + [(1, 2), (2, 3), (1, 3), (3, far)])
+    monkeypatch.setattr("pyspark.sql.DataFrame.toPandas", None)  # the driver gets packed lists, not a row for each arc
+    lists = kernel.compressed_rows(g)
+    got = {(int(u), int(lists.ids[w])) for u, a, b in zip(lists.ids, lists.begin, lists.end) for w in lists.flat[a:b]}
+    assert lists.flat.dtype == __import__("numpy").int32 and got == {tuple(r) for r in g.arcs.collect()}
+    for name in ("wedge", "triangle", "cycle4"):
+        rows = kernel.match_kernel(g, make_plan(CATALOGUE[name]), "none", output="rows")
+        assert {tuple(r) for r in rows.collect()} == {tuple(r) for r in match(g, CATALOGUE[name]).collect()}
+    assert {r["root"] for r in kernel.match_kernel(g, make_plan(CATALOGUE["wedge"]), "online").collect()} == {r["u"] for r in g.degrees.collect()}
+
+
 def test_plans_have_no_cartesian_product(small):
     plan = match(small[0], CATALOGUE["house5"], "edge", "eager", "count")._jdf.queryExecution().toString()
     assert "Cartesian" not in plan and "NestedLoop" not in plan
