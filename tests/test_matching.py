@@ -113,6 +113,30 @@ def test_broadcast_bound(small):
         kernel.compressed_rows(small[0], 3)
 
 
+@pytest.mark.parametrize("n,share,ids", [(150, 0.5, 1), (70, 1.0, -(1 << 40)), (12, 0.2, 5)])
+def test_cliques_of_crowded_graphs_ship_no_frontier(spark, monkeypatch, n, share, ids):
+    from motifprune.sources import compressed, graphs
+
+    pairs = [(ids * a, ids * b) for a, b in some_graph(n, share, n)] + [(ids * a, ids * (n + a)) for a in range(n)]
+    want = {k: match(Graph.of(spark, pairs), CATALOGUE[w], "vertex", "none", "count").first()[0] for k, w in ((3, "triangle"), (4, "clique4"), (2, "wedge"))}
+    stats = Graph.of(spark, pairs).stats
+    monkeypatch.setattr(graphs, "CROWDED_IDS", 0)
+    monkeypatch.setattr(graphs, "CROWDED_MEAN", 0)
+    monkeypatch.setattr(compressed, "BLOCK_WORDS", 64)
+    monkeypatch.setattr(compressed, "BLOCK_IDS", 300)
+    g = Graph.of(spark, pairs)
+    assert g.crowded and g.stats == stats
+    lists = g.later.value
+    assert sorted((int(lists.ids[k]), int(lists.ids[w])) if lists.ids[k] < lists.ids[w] else (int(lists.ids[w]), int(lists.ids[k])) for k in range(len(lists.ids)) for w in lists.flat[lists.begin[k] : lists.end[k]]) == sorted(tuple(r) for r in g.edges.collect())
+    for k, w in ((3, "triangle"), (4, "clique4")):
+        for variant in ("edge", "vertex"):
+            out = match(g, CATALOGUE[w], variant, output="count")
+            assert out.first()[0] == want[k]
+            assert "SortMergeJoin" not in out._jdf.queryExecution().executedPlan().toString() and "explode" not in out._jdf.queryExecution().toString()
+    got = {r["shape"]: r["cnt"] for r in counting.motif_census(g, 3).collect()}
+    assert got == {"wedge": want[2], "triangle": want[3]}
+
+
 def test_compressed_lists_come_from_tasks_and_keep_ids(spark, monkeypatch):
     far = 1 << 40
     pairs = [(far + a, b - far) if (a + b) % 2 else (b - far, far + a) for a in range(6) for b in range(7) if (a * b) % 4 != 1]
