@@ -169,6 +169,14 @@ def test_gain_is_filtered_before_lists_are_joined(small):
     assert run.build_aux(run.start(), 0, spec).count() == run.considered(run.start(), spec).where("gain > 0").count()
 
 
+def test_gains_ship_no_sets(small):
+    from motifprune import queries
+
+    plan = queries._guess(small[0])._jdf.queryExecution().optimizedPlan().toString().splitlines()
+    at = next(k for k, line in enumerate(plan) if "Generate explode" in line)
+    assert any("Join" in line for line in plan[:at]) and not any("keep_set#" in line for line in plan[:at])
+
+
 @pytest.mark.parametrize("variant", ["edge", "vertex"])
 def test_every_engine_heeds_labels(spark, variant):
     pairs = some_graph(9, 0.6, 6)
