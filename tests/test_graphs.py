@@ -61,6 +61,15 @@ def test_a_graph_without_edges_matches_its_sql(spark, tmp_path, name):
     assert [tuple(r) for r in queries.QUERIES[name](spark, str(tmp_path)).select(*columns).collect()] == rel.fetchall()
 
 
+@pytest.mark.parametrize("name", ["aux_spec_table", "schedule_table", "plan_table"])
+def test_planning_tables_read_lineitem(spark, duck, name):
+    got = queries.QUERIES[name](spark, SF)
+    assert [f for f in got.inputFiles() if "lineitem" in f] and got.agg({"baskets": "min"}).first()[0] > 0
+    rel = duck.execute(queries.ORACLES[name])
+    columns = [c[0] for c in rel.description]
+    assert got.columns == columns and sorted(tuple(r) for r in got.collect()) == sorted(rel.fetchall())
+
+
 def test_text_edge_list_and_stored_graph(spark, tmp_path):
     (tmp_path / "g.txt").write_text("# a comment\n1 2\n2\t1\n2 3\n3 3\n\n1 3\n")
     g = Graph(read_edge_list(spark, str(tmp_path / "g.txt")))
