@@ -137,6 +137,37 @@ def test_cliques_of_crowded_graphs_ship_no_frontier(spark, monkeypatch, n, share
     assert got == {"wedge": want[2], "triangle": want[3]}
 
 
+@pytest.mark.parametrize("n,share,ids", [(10, 0.6, -(1 << 40)), (8, 1.0, 3), (9, 0.5, 1)])
+def test_houses_wheels_and_near_cliques_of_crowded_graphs_ship_no_frontier(spark, monkeypatch, n, share, ids):
+    from motifprune.sources import compressed, graphs
+
+    pairs = [(ids * a, ids * b) for a, b in some_graph(n, share, n)]
+    monkeypatch.setattr(graphs, "CROWDED_IDS", 0)
+    monkeypatch.setattr(graphs, "CROWDED_MEAN", 0)
+    monkeypatch.setattr(compressed, "BLOCK_WORDS", 4)
+    monkeypatch.setattr(compressed, "BLOCK_IDS", 7)
+    g = Graph.of(spark, pairs)
+    for w in ("near_clique5", "house5", "wheel6"):
+        out = match(g, CATALOGUE[w], output="count")
+        assert out.first()[0] == len(brute_force({tuple(sorted(p)) for p in pairs}, CATALOGUE[w], "edge"))
+        assert "explode" not in out._jdf.queryExecution().toString()
+
+
+def test_wheels_around_long_lists():
+    """A hub whose neighbours are linked all the way round: counts beyond one block of rows against those of cycles."""
+    import numpy as np
+
+    from motifprune.sources.compressed import Lists, WholeCounter
+
+    n = 600  # 0 is the hub; the rim joins vertices whose numbers differ by 1 or 2
+    rim = [[1 + (k + d) % n for d in (-2, -1, 1, 2)] for k in range(n)]
+    lists = [list(range(1, n + 1))] + [sorted([0, *x]) for x in rim]
+    size = np.array([len(x) for x in lists])
+    counter = WholeCounter(Lists(np.arange(n + 1), np.cumsum(size) - size, np.cumsum(size), np.array(sum(lists, []), dtype=np.int32)))
+    small = {(min(a, b), max(a, b)) for a in range(12) for b in ((a + 1) % 12, (a + 2) % 12)}
+    assert counter.wheels6(0) * 12 == len(brute_force(small, CATALOGUE["cycle5"], "edge")) * n
+
+
 def test_compressed_lists_come_from_tasks_and_keep_ids(spark, monkeypatch):
     far = 1 << 40
     pairs = [(far + a, b - far) if (a + b) % 2 else (b - far, far + a) for a in range(6) for b in range(7) if (a * b) % 4 != 1]
