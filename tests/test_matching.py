@@ -153,6 +153,19 @@ def test_houses_wheels_and_near_cliques_of_crowded_graphs_ship_no_frontier(spark
         assert "explode" not in out._jdf.queryExecution().toString()
 
 
+def test_counts_of_large_graphs_under_a_policy_come_from_the_kernel(small, monkeypatch):
+    from motifprune.operators import frontier
+
+    g, edges = small
+    monkeypatch.setattr(frontier, "SHIPPED_IDS", 0)
+    for variant in ("edge", "vertex"):
+        want = len(brute_force(edges, CATALOGUE["house5"], variant))
+        for policy in ("none", "eager", "degree", "random", "oracle"):
+            out = match(g, CATALOGUE["house5"], variant, policy, "count")
+            assert out.first()[0] == want
+            assert ("MapInArrow" in out._jdf.queryExecution().executedPlan().toString()) == (policy in ("none", "eager", "degree"))
+
+
 def test_wheels_around_long_lists():
     """A hub whose neighbours are linked all the way round: counts beyond one block of rows against those of cycles."""
     import numpy as np
