@@ -1,10 +1,13 @@
+import random
+
 import duckdb
 import pytest
 
 from motifprune import queries
-from motifprune.operators import surface
+from motifprune.operators import counting, surface
 from motifprune.operators.frontier import make_plan, match
 from motifprune.plans.pattern import CATALOGUE
+from motifprune.sources import graphs
 from motifprune.sources.graphs import Graph, edges_sql, read_edge_list
 from motifprune.streaming.deltas import delta_matches, running_matches, windowed_activity
 
@@ -42,6 +45,26 @@ def test_items_with_many_holders_keep_all_pairs(spark, tmp_path):
     assert queries.QUERIES["line_sharing_edges_all"](spark, str(tmp_path)).count() == len(want)
 
 
+@pytest.mark.parametrize("seed", range(3))
+def test_cliques_of_items_are_counted_by_classes(spark, tmp_path, monkeypatch, seed):
+    rng, lines = random.Random(seed), [f"a line that some documents share {k}" for k in range(9)]
+    held = [(7 * k - 40, [x for j, x in enumerate(lines) if rng.random() < 0.5 / (j + 1)] + ["a line of one document"] * (k == 5)) for k in range(60)]
+    spark.createDataFrame([(k, "\n".join([*own, *own[:1], "short"])) for k, own in held] + [(1000, None), (1001, "")], "doc_id long, text string").write.parquet(str(tmp_path / "documents.parquet"))
+    plain = Graph.from_testdata(spark, str(tmp_path), "lines_all")
+    assert plain.classes is None
+    want = {w: match(plain, CATALOGUE[w], "vertex", "none", "count").first()[0] for w in ("triangle", "clique4", "wedge")}
+    monkeypatch.setattr(graphs, "CROWDED_GROUPS", 0)
+    g = Graph.from_testdata(spark, str(tmp_path), "lines_all")
+    assert len(g.classes.weights) < g.classes.shape()[0] == len({v for r in plain.edges.collect() for v in r})
+    for w in ("triangle", "clique4"):
+        assert match(g, CATALOGUE[w], output="count").first()[0] == want[w]
+    assert {r["shape"]: r["cnt"] for r in counting.motif_census(g, 3).collect()} == {"wedge": want["wedge"], "triangle": want["triangle"]}
+    assert g.stats == plain.stats
+    assert "adj" not in g.__dict__
+    monkeypatch.setattr(graphs, "LATER_EDGES", 0)
+    assert Graph.from_testdata(spark, str(tmp_path), "lines_all").classes is None
+
+
 @pytest.mark.parametrize("name", ["graph_stats_basket_r", "clique4_count_lines", "house5_vertex_basket_r", "aux_graph_1_3_4", "gain_exact", "comparisons_by_degree_none", "motif4_census_basket_r25", "labelled_triangle", "support_chain", "topk_roots", "cube_report", "session_counts", "last_click_before_purchase"])
 def test_queries_match_their_oracles(spark, duck, name):
     got = queries.QUERIES[name](spark, SF)
