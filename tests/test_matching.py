@@ -237,6 +237,21 @@ def test_every_engine_heeds_labels(spark, variant):
         kernel.match_kernel(Graph(g.edges), make_plan(p), "none")
 
 
+def test_roots_are_shipped_labelled_lists_only(spark):
+    """A hub whose label the pattern lacks is linked with all roots: neither its list nor its place in lists is shipped."""
+    pairs = [(k, 100 + k % 3) for k in range(9)] + [(k, 200 + k % 2) for k in range(9)] + [(100 + a, 200 + b) for a in range(3) for b in range(2)] + [(k, 999) for k in (*range(9), 100, 200)]
+    labels = {v: 4 if v == 999 else 1 + v // 100 for pair in pairs for v in pair}
+    g, sale = Graph.of(spark, pairs, labels), Pattern.of([(0, 1), (1, 2), (0, 2)], (1, 2, 3))
+    plan = make_plan(sale)
+    shipped = kernel.ego_lists(g, plan).collect()
+    assert {r["root"] for r in shipped} == set(range(9)) and {r["u"] for r in shipped} == {*range(9), 100, 101, 102}
+    assert all(r["nbrs"] == [200, 201] and r["labels"] == [3, 3] for r in shipped if r["u"] >= 100) and not any(999 in r["nbrs"] for r in shipped)
+    for p in (sale, Pattern.of([(0, 1), (1, 2), (0, 2), (2, 3)], (1, 2, 3, 1)), Pattern.of([(0, 3), (3, 1), (1, 2)], (1, 3, 4, 2))):
+        for variant in ("edge", "vertex"):
+            for policy in ("online", "eager", "none"):
+                assert kernel.match_kernel(g, make_plan(p, variant), policy, most_arcs=0).agg(F.sum("cnt")).first()[0] == len(brute_force(set(pairs), p, variant, labels))
+
+
 @pytest.mark.parametrize("name,variant", [("clique4", "edge"), ("house5", "vertex"), ("cycle5", "edge"), ("prism6", "vertex")])
 def test_graphs_beyond_the_broadcast_bound(small, name, variant):
     g, edges = small
