@@ -108,3 +108,15 @@ def test_cost_model_is_audited(graph):
         assert r["n"] == r["last"] == metrics.comparisons(Run(g, make_plan(CATALOGUE["clique4"]), __import__("motifprune.operators.frontier", fromlist=["Policy"]).Policy(r["mode"])).counts()).first()[0]
     usage = metrics.list_usage(g, [CATALOGUE["near_clique5"]], policy="eager").first()
     assert usage["used"] + usage["unused"] == usage["built"] == usage["considered"] > 0
+
+
+def test_cost_model_of_crowded_graphs_is_audited_without_a_frontier(spark, graph, monkeypatch):
+    from motifprune.sources import graphs
+
+    read = lambda g, name: sorted((r["aux"], r["degree_bucket"], r["lists"], r["false_builds"], r["missed_builds"], *(None if r[c] is None else round(r[c], 9) for c in ("reuse_ratio", "overlap_ratio"))) for r in metrics.audit_cost_model(g, CATALOGUE[name]).collect())
+    want = {name: read(graph[0], name) for name in ("clique4", "near_clique5")}
+    monkeypatch.setattr(graphs, "CROWDED_IDS", 0)
+    monkeypatch.setattr(graphs, "CROWDED_MEAN", 0)
+    g = Graph(graph[0].edges)
+    assert g.crowded_whole and {name: read(g, name) for name in want} == want
+    assert "SortMergeJoin" not in metrics.audit_cost_model(g, CATALOGUE["clique4"])._jdf.queryExecution().executedPlan().toString()
