@@ -166,6 +166,41 @@ def test_counts_of_large_graphs_under_a_policy_come_from_the_kernel(small, monke
             assert ("MapInArrow" in out._jdf.queryExecution().executedPlan().toString()) == (policy in ("none", "eager", "degree"))
 
 
+@pytest.mark.parametrize("name", ["triangle", "cycle4", "clique4", "house5", "near_clique5", "wheel6"])
+@pytest.mark.parametrize("variant", ["edge", "vertex"])
+def test_kernel_decides_by_true_reads_and_by_chance(small, monkeypatch, name, variant):
+    from motifprune.operators import frontier
+
+    g, edges = small
+    p, plan = CATALOGUE[name], make_plan(CATALOGUE[name], variant)
+    want = len(brute_force(edges, p, variant))
+    for policy in ("random", "oracle"):
+        got = kernel.match_kernel(g, plan, policy, nested=policy == "random", split_threshold=3).agg(F.sum("cnt"), F.sum("lists_built"), F.sum("lists_considered")).first()
+        assert got[0] == want and got[1] <= got[2]
+        if policy == "oracle" and len(plan.aux) == 1:  # made are those that pay, by the frontier's rule
+            run = runner(g, p, variant, "oracle")
+            run.frame(plan.n - 1)
+            assert got[1] == run.tables[0].count()
+            run.release()
+    for out in (match(g, p, variant, "oracle", "count"),):
+        assert "MapInArrow" not in out._jdf.queryExecution().executedPlan().toString()
+    monkeypatch.setattr(frontier, "DECIDED_IDS", 0)
+    monkeypatch.setattr(frontier, "SHIPPED_IDS", 0)
+    monkeypatch.setattr(kernel, "JOINED_LISTS", 2)
+    monkeypatch.setattr(kernel, "READS_HELD", 3)
+    for out in (match(g, p, variant, "oracle", "count"), match(g, p, variant, "random", "count")):
+        assert out.first()[0] == want
+        assert "MapInArrow" in out._jdf.queryExecution().executedPlan().toString()
+
+
+def test_kernel_chooses_the_lists_that_frames_choose(spark):
+    import numpy as np
+
+    x = np.array([0, 1, -5, 1 << 40, 12345], dtype=np.int64)
+    want = [r[0] for r in spark.createDataFrame([(int(v),) for v in x], "x long").select(F.xxhash64("x", F.lit(7).cast("long"), F.lit(-(1 << 35)).cast("long"))).collect()]
+    assert kernel.spark_hash(x, 7, -(1 << 35)).view(np.int64).tolist() == want
+
+
 def test_wheels_around_long_lists():
     """A hub whose neighbours are linked all the way round: counts beyond one block of rows against those of cycles."""
     import numpy as np
