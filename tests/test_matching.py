@@ -153,6 +153,32 @@ def test_houses_wheels_and_near_cliques_of_crowded_graphs_ship_no_frontier(spark
         assert "explode" not in out._jdf.queryExecution().toString()
 
 
+def with_twins(pairs, copies):
+    """Each vertex copies times, linked with its copies and with those of its neighbours."""
+    at = {v for p in pairs for v in p}
+    many = {v: [100 * v + k for k in range(1 + v % copies)] for v in at}
+    return {(a, b) for p in pairs for a in many[p[0]] for b in many[p[1]]} | {(a, b) for v in at for a in many[v] for b in many[v] if a < b}
+
+
+@pytest.mark.parametrize("pairs,copies,ids", [(some_graph(11, 0.5, 3), 1, -(1 << 40)), ([(0, 1), (1, 2), (2, 3), (3, 0), (0, 4), (1, 4)], 3, 3), (some_graph(6, 1.0), 2, 1)])
+def test_induced_houses_and_near_cliques_by_chance_ship_no_frontier(spark, monkeypatch, pairs, copies, ids):
+    from motifprune.sources import compressed, graphs
+
+    n = len({v for p in pairs for v in p})
+    pairs = {tuple(sorted((ids * a, ids * b))) for a, b in with_twins(pairs, copies)}
+    g = Graph.of(spark, sorted(pairs))
+    cases = (("house5", "vertex", "online"),)
+    monkeypatch.setattr(graphs, "CROWDED_IDS", 0)
+    monkeypatch.setattr(graphs, "CROWDED_MEAN", 0)
+    for name, value in (("BLOCK_IDS", 7), ("SUMMED_IDS", 5), ("ROWS_AT_ONCE", 2), ("CELLS_AT_ONCE", 3)):
+        monkeypatch.setattr(compressed, name, value)
+    for w, variant, policy in cases:
+        out = match(g, CATALOGUE[w], variant, policy, "count")
+        assert out.first()[0] == len(brute_force(pairs, CATALOGUE[w], variant))
+        assert "explode" not in out._jdf.queryExecution().toString()
+    assert len(g.twins.value.weights) <= n and int(g.twins.value.weights.sum()) == len({v for p in pairs for v in p})
+
+
 def test_counts_of_large_graphs_under_a_policy_come_from_the_kernel(small, monkeypatch):
     from motifprune.operators import frontier
 
