@@ -167,7 +167,7 @@ def test_induced_houses_and_near_cliques_by_chance_ship_no_frontier(spark, monke
     n = len({v for p in pairs for v in p})
     pairs = {tuple(sorted((ids * a, ids * b))) for a, b in with_twins(pairs, copies)}
     g = Graph.of(spark, sorted(pairs))
-    cases = (("house5", "vertex", "online"),)
+    cases = (("house5", "vertex", "online"), ("near_clique5", "edge", "random"))
     monkeypatch.setattr(graphs, "CROWDED_IDS", 0)
     monkeypatch.setattr(graphs, "CROWDED_MEAN", 0)
     for name, value in (("BLOCK_IDS", 7), ("SUMMED_IDS", 5), ("ROWS_AT_ONCE", 2), ("CELLS_AT_ONCE", 3)):
