@@ -1,4 +1,5 @@
 import random
+from datetime import datetime, timedelta
 
 import duckdb
 import pytest
@@ -136,3 +137,32 @@ def test_entry_imports_without_the_other_operators():
     import __spark_entry__ as e
 
     assert set(e.oracle_sql()) <= set(e.queries())
+
+
+def some_copies(spark, path, seed):
+    """coact of users of whom many have the same events, and the same graph from its edges; some have events alone, or rows without user, type or time."""
+    rng, start = random.Random(seed), datetime(2024, 1, 1)
+    held = {u: [(rng.choice("ab"), rng.randrange(1500)) for _ in range(2)] for u in range(6)} | {7: [("alone", 5)]}
+    rows = [(u + 10 * c, kind, start + timedelta(seconds=at)) for u, own in held.items() for c in range(1 + (u + seed) % 3 if u < 7 else 3) for kind, at in own * (1 + (u == 1))]
+    spark.createDataFrame([*rows, (None, "a", start), (99, None, start), (98, "a", None)], "user_id long, event_type string, ts timestamp").write.parquet(str(path / "events.parquet"))
+    g = Graph.from_testdata(spark, str(path), "coact")
+    return g, Graph(Graph.from_testdata(spark, str(path), "coact").edges)
+
+
+@pytest.mark.parametrize("seed", range(2))
+def test_users_with_the_same_events_are_one_class(spark, tmp_path, seed):
+    g, plain = some_copies(spark, tmp_path, seed)
+    assert g.crowded_whole and g.stats == plain.stats and sorted(g.degree_classes) == sorted(plain.degree_classes)
+    assert len(g.alike.weights) < g.stats.n_vertices and "adj" not in g.__dict__
+    assert sorted(g.alike.members.tolist()) == sorted(r["u"] for r in plain.adj.collect())
+
+
+def test_users_with_events_of_their_own_are_no_classes(spark):
+    assert Graph.from_testdata(spark, SF, "coact").alike is None
+
+
+@pytest.mark.parametrize("w,variant,policy", [("clique4", "edge", "online"), ("clique4", "vertex", "online")])
+def test_counts_by_class_make_no_pair_of_copies(spark, tmp_path, w, variant, policy):
+    g, plain = some_copies(spark, tmp_path, 1)
+    assert match(g, CATALOGUE[w], variant, policy, "count").first()[0] == match(plain, CATALOGUE[w], variant, "none", "count").first()[0] > 0
+    assert "adj" not in g.__dict__
