@@ -5,7 +5,7 @@ import duckdb
 import pytest
 
 from motifprune import queries
-from motifprune.operators import counting, surface
+from motifprune.operators import counting, metrics, surface
 from motifprune.operators.frontier import make_plan, match
 from motifprune.plans.pattern import CATALOGUE
 from motifprune.sources import graphs
@@ -166,3 +166,16 @@ def test_counts_by_class_make_no_pair_of_copies(spark, tmp_path, w, variant, pol
     g, plain = some_copies(spark, tmp_path, 1)
     assert match(g, CATALOGUE[w], variant, policy, "count").first()[0] == match(plain, CATALOGUE[w], variant, "none", "count").first()[0] > 0
     assert "adj" not in g.__dict__
+
+
+def test_cost_model_is_audited_by_class(spark, tmp_path):
+    g, plain = some_copies(spark, tmp_path, 1)
+    got, want = ({(r["aux"], r["degree_bucket"]): (r["lists"], r["false_builds"], r["missed_builds"], r["reuse_ratio"], r["overlap_ratio"]) for r in metrics.audit_cost_model(x, CATALOGUE["clique4"]).collect()} for x in (g, plain))
+    assert got.keys() == want.keys() and all(got[k] == pytest.approx(want[k]) for k in want)
+    assert "adj" not in g.__dict__
+
+
+def test_gain_is_guessed_by_class(spark, tmp_path):
+    g, plain = some_copies(spark, tmp_path, 1)
+    assert sorted(map(tuple, queries._guess(g).collect())) == sorted(map(tuple, queries._guess(plain).collect()))
+    assert "adj" not in g.__dict__
