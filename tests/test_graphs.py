@@ -161,7 +161,7 @@ def test_users_with_events_of_their_own_are_no_classes(spark):
     assert Graph.from_testdata(spark, SF, "coact").alike is None
 
 
-@pytest.mark.parametrize("w,variant,policy", [("clique4", "edge", "online"), ("clique4", "vertex", "online"), ("wheel6", "edge", "online"), ("house5", "edge", "online"), ("near_clique5", "edge", "online")])
+@pytest.mark.parametrize("w,variant,policy", [("clique4", "edge", "online"), ("clique4", "vertex", "online"), ("wheel6", "edge", "online"), ("house5", "edge", "online"), ("near_clique5", "edge", "online"), ("near_clique5", "edge", "random")])
 def test_counts_by_class_make_no_pair_of_copies(spark, tmp_path, w, variant, policy):
     g, plain = some_copies(spark, tmp_path, 1)
     assert match(g, CATALOGUE[w], variant, policy, "count").first()[0] == match(plain, CATALOGUE[w], variant, "none", "count").first()[0] > 0
