@@ -2,13 +2,14 @@ import random
 from datetime import datetime, timedelta
 
 import duckdb
+import numpy as np
 import pytest
 
 from motifprune import queries
 from motifprune.operators import counting, metrics, surface
 from motifprune.operators.frontier import make_plan, match
 from motifprune.plans.pattern import CATALOGUE
-from motifprune.sources import graphs
+from motifprune.sources import compressed, graphs
 from motifprune.sources.graphs import Graph, edges_sql, read_edge_list
 from motifprune.streaming.deltas import delta_matches, running_matches, windowed_activity
 
@@ -143,6 +144,7 @@ def some_copies(spark, path, seed):
     """coact of users of whom many have the same events, and the same graph from its edges; some have events alone, or rows without user, type or time."""
     rng, start = random.Random(seed), datetime(2024, 1, 1)
     held = {u: [(rng.choice("ab"), rng.randrange(1500)) for _ in range(2)] for u in range(6)} | {7: [("alone", 5)]}
+    held |= {51 + v: [(str(pair), 0) for pair in CATALOGUE["house5"].edges if v in pair] for v in range(5)}
     rows = [(u + 10 * c, kind, start + timedelta(seconds=at)) for u, own in held.items() for c in range(1 + (u + seed) % 3 if u < 7 else 3) for kind, at in own * (1 + (u == 1))]
     spark.createDataFrame([*rows, (None, "a", start), (99, None, start), (98, "a", None)], "user_id long, event_type string, ts timestamp").write.parquet(str(path / "events.parquet"))
     g = Graph.from_testdata(spark, str(path), "coact")
@@ -161,7 +163,7 @@ def test_users_with_events_of_their_own_are_no_classes(spark):
     assert Graph.from_testdata(spark, SF, "coact").alike is None
 
 
-@pytest.mark.parametrize("w,variant,policy", [("clique4", "edge", "online"), ("clique4", "vertex", "online"), ("wheel6", "edge", "online"), ("house5", "edge", "online"), ("near_clique5", "edge", "online"), ("near_clique5", "edge", "random")])
+@pytest.mark.parametrize("w,variant,policy", [("clique4", "edge", "online"), ("clique4", "vertex", "online"), ("wheel6", "edge", "online"), ("house5", "edge", "online"), ("near_clique5", "edge", "online"), ("near_clique5", "edge", "random"), ("house5", "vertex", "online")])
 def test_counts_by_class_make_no_pair_of_copies(spark, tmp_path, w, variant, policy):
     g, plain = some_copies(spark, tmp_path, 1)
     assert match(g, CATALOGUE[w], variant, policy, "count").first()[0] == match(plain, CATALOGUE[w], variant, "none", "count").first()[0] > 0
@@ -179,3 +181,17 @@ def test_gain_is_guessed_by_class(spark, tmp_path):
     g, plain = some_copies(spark, tmp_path, 1)
     assert sorted(map(tuple, queries._guess(g).collect())) == sorted(map(tuple, queries._guess(plain).collect()))
     assert "adj" not in g.__dict__
+
+
+def test_classes_are_counted_in_blocks(spark, tmp_path, monkeypatch):
+    known = some_copies(spark, tmp_path, 1)[0].alike
+
+    def totals():
+        c = compressed.TwinCounter(known)
+        lists = [sorted(zip(*(np.concatenate(x).tolist() for x in zip(*c.later_lists(v))))) for v in range(len(known.weights)) if known.degrees[v]]
+        return [sum(count(v) for v in range(len(known.weights))) for count in (c.induced_houses5, c.near_cliques5, c.houses5, c.wheels6)], lists
+
+    want = totals()
+    for name, value in (("BLOCK_IDS", 7), ("SQUARE", 0), ("ROWS_AT_ONCE", 2), ("CELLS_AT_ONCE", 3), ("FOURTH_POWER", 0)):
+        monkeypatch.setattr(compressed, name, value)
+    assert totals() == want and want[0][0] > 0
